@@ -69,13 +69,13 @@ class DigestIndex:
         fresh = batch.drop("group_size").withColumn("first_batch", F.lit(number))
         fresh = fresh.join(known.select("text_sha256").hint("merge"), "text_sha256", "left_anti")
         self.append(fresh)
-        index = self.table()
-        sizes = batch.where("group_size > 1").select("text_sha256", "group_size")
-        joined = rows.join(index, "text_sha256").join(sizes, "text_sha256", "left")
+        # One row for each text first: the rows then need one join only, whose hot keys adaptive execution can split.
+        places = self.table().join(batch.select("text_sha256", "group_size"), "text_sha256")
+        joined = rows.join(stored(places, "index-places"), "text_sha256")
         kept = (F.col("first_batch") == number) & (F.col("keep_row") == F.col("_row"))
         keep_id = F.when(F.col("keep_id") == _LAST, F.col("doc_id")).otherwise(F.col("keep_id"))
         return joined.select(*[c for c in names if c != "text"], keep_id.alias("keep_id"),
-                             F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"), kept.alias("kept"),
+                             "group_size", kept.alias("kept"),
                              "text_sha256", "_row")
 
 

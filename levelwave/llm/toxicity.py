@@ -28,11 +28,12 @@ _U = np.uint64
 
 @dataclass(frozen=True)
 class Settings:
-    alpha: float = 0.2
+    alpha: float = 2.0
     beta: float = 1.0
-    l1: float = 0.5
-    l2: float = 0.5
-    epochs: int = 3
+    l1: float = 5.0
+    l2: float = 0.0
+    epochs: int = 8
+    positive: float = 1.0  # weight of a toxic row
     bits: int = BITS
 
 
@@ -69,7 +70,7 @@ def fit(rows: list[tuple[np.ndarray, int]], settings: Settings = Settings()) ->
         for buckets, label in rows:
             at = np.append(buckets, size)
             w = weights(at)
-            g = 1 / (1 + np.exp(-np.clip(w.sum(), -35, 35))) - label
+            g = (1 / (1 + np.exp(-np.clip(w.sum(), -35, 35))) - label) * (s.positive if label else 1.0)
             before = n[at]
             z[at] += g - (np.sqrt(before + g * g) - np.sqrt(before)) / s.alpha * w
             n[at] = before + g * g
