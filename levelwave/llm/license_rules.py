@@ -1,0 +1,120 @@
+"""Signature rules of licence statements, over texts of lower-case words that are one space apart.
+
+A rule is (label, keyword, pattern, priority). A text is only held against a pattern if it has the keyword. Priorities:
+3 for a notice that grants or refers to a licence in full, 2 for a full name or an identifier, 1 for a short mention.
+"""
+
+from __future__ import annotations
+
+# --- fixed values: the words of each licence's name, its label, its short names and its usual versions ----------------
+BASE_PHRASES = [("gnu general public license", "gpl"), ("apache license", "apache"), ("cc by", "cc-by"), ("mit license", "mit")]
+
+#: label: (keyword, full name, short identifiers, versions)
+FAMILIES = {
+    "gpl": ("general public", r"gnu general public licen[cs]e", "gpl", "1 0|2 0|3 0|1|2|3"),
+    "lgpl": ("lesser general", r"gnu (?:lesser|library) general public licen[cs]e", "lgpl", "2 0|2 1|3 0|2|3"),
+    "agpl": ("affero", r"(?:gnu )?affero general public licen[cs]e", "agpl", "1 0|3 0|1|3"),
+    "gfdl": ("free documentation", r"gnu free documentation licen[cs]e", "gfdl", "1 1|1 2|1 3"),
+    "apache": ("apache", r"apache (?:software )?licen[cs]e", "asl", "1 0|1 1|2 0|2"),
+    "mit": ("mit", r"mit licen[cs]e", "expat", ""),
+    "bsd": ("bsd", r"(?:(?:2|3|4|two|three|four) clause )?bsd licen[cs]e", "bsd", "2 clause|3 clause|4 clause"),
+    "mpl": ("mozilla", r"mozilla public licen[cs]e", "mpl", "1 0|1 1|2 0"),
+    "epl": ("eclipse", r"eclipse public licen[cs]e", "epl", "1 0|2 0"),
+    "edl": ("eclipse", r"eclipse distribution licen[cs]e", "edl", "1 0"),
+    "cddl": ("common development", r"common development and distribution licen[cs]e", "cddl", "1 0|1 1"),
+    "cpl": ("common public", r"common public licen[cs]e", "cpl", "1 0"),
+    "eupl": ("european union", r"european union public licen[cs]e", "eupl", "1 0|1 1|1 2"),
+    "artistic": ("artistic", r"artistic licen[cs]e", "artistic", "1 0|2 0"),
+    "boost": ("boost", r"boost software licen[cs]e", "bsl", "1 0"),
+    "zlib": ("zlib", r"zlib(?: libpng)? licen[cs]e", "zlib", ""),
+    "isc": ("isc", r"isc licen[cs]e", "isc", ""),
+    "unlicense": ("unlicen", r"(?:the )?unlicen[cs]e", "unlicense", ""),
+    "wtfpl": ("public licen", r"do what the \w+ you want to public licen[cs]e", "wtfpl", "1|2"),
+    "python": ("python", r"python software foundation licen[cs]e", "psf", "2 0|2"),
+    "php": ("php", r"php licen[cs]e", "php", "3 0|3 01"),
+    "ruby": ("ruby", r"ruby licen[cs]e", "ruby", ""),
+    "perl": ("perl", r"same terms as perl(?: itself)?", "perl", "5"),
+    "openssl": ("openssl", r"openssl licen[cs]e", "openssl", ""),
+    "qpl": ("q public", r"q public licen[cs]e", "qpl", "1 0"),
+    "sleepycat": ("sleepycat", r"sleepycat licen[cs]e", "sleepycat", ""),
+    "w3c": ("w3c", r"w3c software (?:notice and )?licen[cs]e", "w3c", ""),
+    "ofl": ("open font", r"(?:sil )?open font licen[cs]e", "ofl", "1 0|1 1"),
+    "ms-pl": ("microsoft", r"microsoft public licen[cs]e", "ms pl", ""),
+    "ms-rl": ("microsoft", r"microsoft reciprocal licen[cs]e", "ms rl", ""),
+    "apsl": ("apple", r"apple public source licen[cs]e", "apsl", "1 0|1 1|1 2|2 0"),
+    "osl": ("open software", r"open software licen[cs]e", "osl", "1 0|2 0|2 1|3 0"),
+    "afl": ("academic free", r"academic free licen[cs]e", "afl", "1 1|2 0|2 1|3 0"),
+    "ecl": ("educational community", r"educational community licen[cs]e", "ecl", "1 0|2 0"),
+    "upl": ("universal permissive", r"universal permissive licen[cs]e", "upl", "1 0"),
+    "ncsa": ("illinois", r"university of illinois(?: ncsa)? open source licen[cs]e", "ncsa", ""),
+    "nasa": ("nasa", r"nasa open source agreement", "nosa", "1 3"),
+    "ipl": ("ibm", r"ibm public licen[cs]e", "ipl", "1 0"),
+    "spl": ("sun public", r"sun public licen[cs]e", "spl", "1 0"),
+    "vsl": ("vovida", r"vovida software licen[cs]e", "vsl", "1 0"),
+    "zpl": ("zope", r"zope public licen[cs]e", "zpl", "1 1|2 0|2 1"),
+    "postgresql": ("postgresql", r"postgresql licen[cs]e", "postgresql", ""),
+    "mulan": ("mulan", r"mulan (?:permissive|public) (?:software )?licen[cs]e", "mulanpsl", "1 0|2 0|1|2"),
+    "busl": ("business source", r"business source licen[cs]e", "busl", "1 1"),
+    "sspl": ("server side", r"server side public licen[cs]e", "sspl", "1"),
+    "elastic": ("elastic", r"elastic licen[cs]e", "elastic", "1 0|2 0"),
+    "commons-clause": ("commons clause", r"commons clause (?:licen[cs]e )?(?:condition)?", "commons clause", "1 0"),
+    "odbl": ("open database", r"open (?:data commons )?(?:open )?database licen[cs]e", "odbl", "1 0"),
+    "odc-by": ("open data", r"open data commons attribution licen[cs]e", "odc by", "1 0"),
+    "pddl": ("public domain", r"public domain dedication and licen[cs]e", "pddl", "1 0"),
+    "ogl": ("open government", r"open government licen[cs]e", "ogl", "1 0|2 0|3 0"),
+    "cc-by": ("cc by", r"creative commons attribution", "cc by", "1 0|2 0|2 5|3 0|4 0"),
+    "cc-by-sa": ("cc by sa", r"creative commons attribution share ?alike", "cc by sa", "1 0|2 0|2 5|3 0|4 0"),
+    "cc-by-nc": ("cc by nc", r"creative commons attribution non ?commercial", "cc by nc", "1 0|2 0|2 5|3 0|4 0"),
+    "cc-by-nd": ("cc by nd", r"creative commons attribution no ?deriv(?:ative)?s(?: works)?", "cc by nd", "1 0|2 0|2 5|3 0|4 0"),
+    "cc-by-nc-sa": ("cc by nc sa", r"creative commons attribution non ?commercial share ?alike", "cc by nc sa", "1 0|2 0|2 5|3 0|4 0"),
+    "cc-by-nc-nd": ("cc by nc nd", r"creative commons attribution non ?commercial no ?deriv(?:ative)?s", "cc by nc nd", "1 0|2 0|2 5|3 0|4 0"),
+    "cc0": ("cc0", r"creative commons zero|cc0", "cc0", "1 0"),
+}
+
+#: Notices whose words are their own: (label, keyword, pattern, priority).
+NOTICES = [
+    ("mit", "permission is hereby granted", r"permission is hereby granted free of charge to any person obtaining a copy", 3),
+    ("mit", "merchantability", r"the software is provided as is without warranty of any kind express or implied", 2),
+    ("bsd", "redistribution and use", r"redistribution and use in source and binary forms with or without modification are permitted", 3),
+    ("bsd", "endorse or promote", r"neither the name of .{1,80}? may be used to endorse or promote products", 2),
+    ("isc", "permission to use copy", r"permission to use copy modify and or distribute this software for any purpose with or without fee", 3),
+    ("gpl", "free software", r"you can redistribute it and or modify it under the terms of the gnu general public licen[cs]e", 3),
+    ("lgpl", "free software", r"you can redistribute it and or modify it under the terms of the gnu (?:lesser|library) general public licen[cs]e", 3),
+    ("agpl", "free software", r"you can redistribute it and or modify it under the terms of the gnu affero general public licen[cs]e", 3),
+    ("apache", "apache", r"licen[cs]ed under the apache licen[cs]e(?: version 2 0)? the licen[cs]e", 3),
+    ("apache", "apache", r"www apache org licenses(?: license)? 2 0", 2),
+    ("mpl", "mozilla", r"this source code form is subject to the terms of the mozilla public licen[cs]e", 3),
+    ("mpl", "mozilla", r"mozilla org mpl(?: 2 0)?", 2),
+    ("gpl", "gnu org", r"www gnu org licenses(?: gpl(?: [23] 0)?)?", 2),
+    ("unlicense", "public domain", r"free and unencumbered software released into the public domain", 3),
+    ("public-domain", "public domain", r"(?:is|are|was|been) (?:hereby )?(?:placed|released|dedicated|put) (?:in|into|to) the public domain", 3),
+    ("public-domain", "public domain", r"public domain", 1),
+    ("boost", "boost", r"www boost org license 1 0", 2),
+    ("zlib", "altered source", r"altered source versions must be plainly marked as such", 3),
+    ("cc", "creativecommons org", r"creativecommons org licenses(?: [a-z]+){1,3} [1-4] [05]", 2),
+    ("cc0", "creativecommons org", r"creativecommons org publicdomain zero 1 0", 2),
+    ("proprietary", "all rights reserved", r"all rights reserved", 1),
+    ("proprietary", "proprietary", r"proprietary and confidential", 2),
+    ("proprietary", "confidential", r"unauthori[sz]ed copying of this file .{1,40}? is strictly prohibited", 3),
+]
+# ----------------------------------------------------------------------------------------------------------------------
+
+
+def rules() -> list[tuple[int, str, str, str, int]]:
+    """(rule number, label, keyword, pattern, priority), in the order in which rules win ties."""
+    out = [(label, keyword, pattern, priority) for label, keyword, pattern, priority in NOTICES]
+    for label, (keyword, name, short, versions) in FAMILIES.items():
+        version = f"(?: (?:version|v) ?(?:{versions})| (?:{versions}))?" if versions else ""
+        later = "(?: or (?:any )?later(?: version)?| only)?"
+        word = short.split()[0]
+        # A grant, a full name, a machine-readable tag, and the short name with a licence word beside it.
+        stem = keyword if not keyword.startswith("cc ") else "creative commons"
+        out.append((label, stem, rf"(?:licen[cs]ed|released|distributed|available|published|provided) (?:to you )?under (?:the )?(?:terms of )?(?:the )?(?:{name}){version}{later}", 3))
+        out.append((label, stem, rf"(?:{name}){version}{later}", 2))
+        out.append((label, "spdx license identifier", rf"spdx license identifier {short}(?: (?:{versions or '[0-9]'}))?{later.replace('| only', '| only| or later')}", 3))
+        out.append((label, word, rf"(?:licen[cs]ed|released|distributed|available) under (?:the )?{short}{version}{later}(?: licen[cs]e)?", 3))
+        if versions:
+            out.append((label, word, rf"{short} ?(?:v|version)? ?(?:{versions}){later}", 2))
+        else:
+            out.append((label, word, rf"{short} licen[cs]ed?", 1))
+    return [(i, *rule) for i, rule in enumerate(out)]
