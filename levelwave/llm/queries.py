@@ -8,7 +8,7 @@ from importlib import import_module
 from pyspark.sql import DataFrame, SparkSession
 
 #: Module and function of each operator's query; the module's QUERY is its name and its SQL (if any) the oracle.
-_MODULES = {"tokens": "op1", "minhash": "op2", "licenses": "op3", "packing": "op4", "langid": "op5", "quality": "op6", "toxicity": "op8", "bpe": "op9", "exact": "op10"}
+_MODULES = {"tokens": "op1", "minhash": "op2", "licenses": "op3", "packing": "op4", "langid": "op5", "quality": "op6", "bloom_lm": "op7", "toxicity": "op8", "bpe": "op9", "exact": "op10"}
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
