@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, IntegerType, LongType, StructField, StructType
 
 from ..serial import adjacency, serial_levels
 
@@ -36,13 +37,13 @@ def grid_side(p: Column) -> Column:
     return F.floor(F.sqrt(p.cast("double"))).cast("int")
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def imbalance_of(counts: pd.Series) -> float:
     """Greatest over mean of a group's loads."""
     return float(counts.max() / counts.mean()) if len(counts) else float("nan")
 
 
-@udtf(returnType="graph_id bigint, vertex bigint, dist int, parent bigint")
+@udtf(returnType=StructType([StructField("graph_id", LongType()), StructField("vertex", LongType()), StructField("dist", IntegerType()), StructField("parent", LongType())]))
 class BfsSmall:
     """Traversal of many small graphs side by side: TABLE (graph_id, src, dst) PARTITION BY graph_id, from its least vertex."""
 
