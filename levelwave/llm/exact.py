@@ -86,15 +86,25 @@ def exact_dedup(docs: DataFrame, index: DigestIndex | None = None) -> DataFrame:
 
 
 def drop_copies(docs: DataFrame, index: DigestIndex | None = None) -> DataFrame:
-    """The rows of docs that stay, with their own columns and nothing else.
-
-    docs must give its rows in the same order whenever it is read, as a Parquet table does: a row is known by its place.
-    """
+    """The rows of docs that stay, with their own columns and nothing else. Rows are told apart by id and digest, so docs
+    may come in any order each time it is read; of rows that share both, any one stays."""
     index, names = index or DigestIndex(docs.sparkSession), docs.columns
-    gone = stored(index.ingest(docs.select("doc_id", "text")).where("not kept").select("_row"), "copies")
-    numbered = docs.withColumn("_row", F.monotonically_increasing_id())
-    few = gone.count() <= 1_000_000
-    return numbered.join(F.broadcast(gone) if few else gone, "_row", "left_anti").select(names)
+    key = F.coalesce(F.col("doc_id"), F.lit(_LAST))
+    judged = index.ingest(docs.select("doc_id", "text")).groupBy(key.alias("_id"), F.col("text_sha256").alias("_sha"))
+    judged = stored(judged.agg(F.max("kept").alias("stays"), F.count("*").alias("n")), "judged")
+    gone = judged.where("not stays").select("_id", "_sha")
+    out = docs.withColumns({"_id": key, "_sha": digest(F.col("text"))}).join(_small(gone), ["_id", "_sha"], "left_anti")
+    repeated = judged.where("stays and n > 1").select("_id", "_sha")
+    if not repeated.isEmpty():
+        # Only these rows are dealt out, each key's copies combined before they are.
+        once = out.join(_small(repeated), ["_id", "_sha"], "left_semi").dropDuplicates(["_id", "_sha"])
+        out = out.join(_small(repeated), ["_id", "_sha"], "left_anti").unionByName(once)
+    return out.select(names)
+
+
+def _small(keys: DataFrame, most: int = 500_000) -> DataFrame:
+    """Broadcast behind a count (80 bytes each); else a shuffled join."""
+    return F.broadcast(keys) if keys.count() <= most else keys
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -75,7 +75,6 @@ class Pieces:
         coded = mix(grid + _U(1))
         forward = np.zeros((width + 1, count, languages))
         forward[0] = 1
-        scale = np.zeros(count)
         codes: dict[int, np.ndarray] = {}  # by beginning: the hash of what was read from there
         for t in range(1, width + 1):
             n = int(np.searchsorted(-sizes, -t, side="right"))  # parts of at least t letters come first
@@ -89,10 +88,10 @@ class Pieces:
                 at = np.minimum(np.searchsorted(known[0], codes[begin][:n]), len(known[0]) - 1)
                 hit = known[0][at] == codes[begin][:n]
                 rows = np.flatnonzero(hit)
-                total[rows] += forward[begin, rows] * table[known[1][at[rows]]]
+                total[rows] += forward[begin, rows] * table[known[1][at[rows]]] * 256.0 ** (t - begin)
             codes = {b: c for b, c in codes.items() if t - b < max(self.by_length)}
-            total = np.maximum(total, forward[t - 1, :n] * UNKNOWN)
-            forward[t, :n] = total * 256.0  # keeps long products in range; taken off below
+            # A factor of 256 a letter keeps long products in range; it is taken off below.
+            forward[t, :n] = np.maximum(total, forward[t - 1, :n] * UNKNOWN * 256.0)
         scale = sizes * np.log(256.0)
         found = np.log(forward[sizes, np.arange(count)]) - scale[:, None]
         out = np.zeros((len(words), languages))
