@@ -14,7 +14,7 @@ WEIGHTS = (59, 19, 19, 5)
 # ----------------------------------------------------------------------------------------------------------------------
 
 
-def _hash(edge: Column, bit: int, seed: int) -> Column:
+def _hash(edge: Column, bit: Column, seed: int) -> Column:
     h = (edge * FIRST + bit * SECOND + SHIFT + seed * 1013904223) % MODULUS
     h = (h.bitwiseXOR(F.shiftright(h, 15)) * FIRST) % MODULUS
     h = (h.bitwiseXOR(F.shiftright(h, 12)) * SECOND) % MODULUS
@@ -25,13 +25,12 @@ def rmat_edges(spark: SparkSession, scale: int, edge_factor: int = 16, weights:
     """edge_factor * 2**scale raw edges over 2**scale ids, repeats and loops kept: a row each, made where it is used."""
     a, b, c, d = weights
     total = a + b + c + d
-    edges, src, dst = spark.range(edge_factor << scale), F.lit(0).cast("long"), F.lit(0).cast("long")
-    picks = edges.select("id", *[(_hash(F.col("id"), k, seed) % total).alias(f"x{k}") for k in range(scale)])
-    for k in range(scale):
-        x = F.col(f"x{k}")
-        src = src + F.when(x >= a + b, 1 << k).otherwise(0)
-        dst = dst + F.when((x >= a) & (x < a + b) | (x >= a + b + c), 1 << k).otherwise(0)
-    return picks.select(src.cast("long").alias("src"), dst.cast("long").alias("dst"))
+    # One array of quadrant picks a row, not an expression a bit: generated code stays small at any scale.
+    bits = F.sequence(F.lit(0).cast("long"), F.lit(scale - 1).cast("long"))
+    picks = spark.range(edge_factor << scale).select(F.transform(bits, lambda k: _hash(F.col("id"), k, seed) % total).alias("x"))
+    add = lambda hit: F.aggregate(F.transform("x", lambda x, k: F.when(hit(x), F.call_function("shiftleft", F.lit(1).cast("long"), k)).otherwise(0)), F.lit(0).cast("long"), lambda s, v: s + v)
+    src, dst = add(lambda x: x >= a + b), add(lambda x: (x >= a) & (x < a + b) | (x >= a + b + c))
+    return picks.select(src.alias("src"), dst.alias("dst"))
 
 
 def rmat(spark: SparkSession, scale: int, edge_factor: int = 16, seed: int = 0) -> Graph:
