@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from . import baselines, components, cost_model, graphs, grid, local, metrics, oracle, prep, rmat, rows, traversal_ops, validate
 from .graphs import Graph
 from .layout import GridLayout, RowLayout
-from .session import kept
+from .session import importable, kept
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -30,7 +30,11 @@ def graph(spark: SparkSession, sf_dir: str, name: str, **options: object) -> Gra
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     def add(f: Query) -> Query:
-        QUERIES[name] = f
+        def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            importable(spark)
+            return f(spark, sf_dir)
+
+        QUERIES[name] = run
         if sql:
             SQL[name] = sql
         return f

@@ -3,14 +3,30 @@
 from __future__ import annotations
 
 import os
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+_ROOT = str(Path(__file__).resolve().parents[1])
+_shipped: set[str] = set()
+
+
+def importable(spark: SparkSession) -> None:
+    """Ships this package to the Python workers, once a session, if they would not find it by themselves."""
+    app = spark.sparkContext.applicationId
+    found = [os.path.abspath(p or ".") for p in os.environ.get("PYTHONPATH", "").split(":") if p] + [os.getcwd()]
+    if app not in _shipped and _ROOT not in found:
+        place = tempfile.mkdtemp()
+        spark.sparkContext.addPyFile(shutil.make_archive(f"{place}/levelwave", "zip", _ROOT, "levelwave"))
+    _shipped.add(app)
+
+
 @contextmanager
 def settings(spark: SparkSession, **values: object) -> Iterator[None]:
     """Run-time settings, put back afterwards; names have __ for a dot."""
