@@ -18,8 +18,12 @@ from .shared import documents, stored
 QUERY = "op3_license_rules"
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"  # of a text with A-Z lower-cased
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: What a text must contain, whatever stands between words, for any phrase or keyword to be in it.
-_PREFILTER_EXTRA = r"cc[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+by"
+#: One of these must be in the lower-cased text before it is normalised; every base phrase has one. Plain substring tests
+#: cost far less than a pattern of many alternatives.
+GATE = ["licen", "cc", "gpl", "copyright", "spdx", "hereby", "merchantab", "redistribut", "permission", "domain", "reserved", "creativecommons", "creative commons", "proprietary",
+        "mozilla", "apache", "gnu", "same terms", "endorse", "altered", "unauthori", "clause", "encumbered", "boost", "public source", "open source", "open software"]
+#: What must also hold where "cc" is all that a text has.
+_CC = r"(?i)(?<![0-9a-z])cc(?:0|[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+by)(?![0-9a-z])"
 #: Strength of a detection by priority.
 WEIGHT = {3: 1.0, 2: 0.8, 1: 0.5}
 
@@ -29,9 +33,18 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
-def _prefilter(keywords: list[str]) -> str:
-    gap = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-    return "(?i)(?:licen[cs]e|" + "|".join(gap.join(k.split()) for k in sorted(set(keywords), key=len)) + f"|{_PREFILTER_EXTRA})"
+def gated(text: Column, low: Column) -> Column:
+    """Whether any rule may match; never false where a base phrase stands. Lower-casing other letters than A-Z can't hide
+    one, and can only let more through. low is the lower-cased text, as a column of its own so that it is made once."""
+    plain = reduce(lambda a, b: a | b, [F.contains(low, F.lit(w)) for w in GATE if w != "cc"])
+    return plain | (F.contains(low, F.lit("cc")) & text.rlike(_CC))
+
+
+def word_count(text: Column) -> Column:
+    """Words of a text: what lies between gaps, less an empty piece at either end."""
+    gap = r"^[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"  # capitals belong to words; lower-casing moves no bounds
+    ends = F.substring(text, 1, 1).rlike(gap).cast("long") + F.substring(text, -1, 1).rlike(gap).cast("long")
+    return F.when(text == "", F.lit(0)).otherwise(F.size(F.split(text, gap[1:] + "+", -1)) - ends).cast("long")
 
 
 def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -42,12 +55,10 @@ def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """
     spark, found = docs.sparkSession, rules()
     keywords = sorted({r[2] for r in found})
-    maybe = F.col("_text").rlike(_prefilter(keywords + [p for p, _ in BASE_PHRASES]))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("_text")).withColumn("_row", F.monotonically_increasing_id())
-    # Lower-casing changes no word's bounds, so capitals count as letters of words here.
-    count = F.regexp_count("_text", F.lit(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")).cast("long")
     norm = F.trim(F.regexp_replace(ascii_lower(F.col("_text")), BETWEEN, " "))
-    rows = rows.select("_row", "doc_id", count.alias("n_words"), F.when(maybe, norm).alias("norm"))
+    rows = rows.select("_row", "doc_id", "_text", F.lower("_text").alias("_low"))
+    rows = rows.select("_row", "doc_id", word_count(F.col("_text")).alias("n_words"), F.when(gated(F.col("_text"), F.col("_low")), norm).alias("norm"))
     padded = F.concat(F.lit(" "), F.col("norm"), F.lit(" "))
     places = [F.when(F.contains(padded, F.lit(f" {phrase} ")), _places(phrase)).otherwise(F.array().cast("array<int>")).alias(f"at_{i}") for i, (phrase, _) in enumerate(BASE_PHRASES)]
     rows = stored(rows.select("*", *places), "license-words")
