@@ -71,9 +71,12 @@ def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     words = lambda s: F.when(F.length(F.trim(s)) == 0, F.lit(0)).otherwise(F.size(F.split(F.trim(s), " ")))
     gaps = F.transform(F.split("norm", F.col("pattern"), -1), words)
     spans = F.transform("hits", words)
-    start = F.transform(F.sequence(F.lit(1), F.size("hits")), lambda i: F.aggregate(F.slice(gaps, 1, i), F.lit(0), lambda a, x: a + x) + F.aggregate(F.slice(spans, 1, i - 1), F.lit(0), lambda a, x: a + x))
-    each = tried.select("_row", "rule", "label", "priority", F.explode(F.arrays_zip(start.alias("first"), spans.alias("n"))).alias("s"))
-    each = each.select("_row", "rule", "label", "priority", F.col("s.first").alias("first"), (F.col("s.first") + F.col("s.n") - 1).alias("last")).where("last >= first")
+    # Numbered pieces: the words before a hit are those of all earlier gaps and hits, and of its own gap.
+    pieces = tried.select("_row", "rule", "label", "priority", F.posexplode(F.arrays_zip(gaps.alias("gap"), spans.alias("n"))).alias("nth", "s"))
+    pieces = pieces.select("_row", "rule", "label", "priority", "nth", F.col("s.gap").alias("gap"), F.col("s.n").alias("n")).where("n is not null").repartition("_row")
+    before = Window.partitionBy("_row", "rule").orderBy("nth").rowsBetween(Window.unboundedPreceding, -1)
+    first = (F.col("gap") + F.coalesce(F.sum(F.col("gap") + F.col("n")).over(before), F.lit(0))).cast("int")
+    each = pieces.withColumn("first", first).select("_row", "rule", "label", "priority", "first", (F.col("first") + F.col("n") - 1).alias("last")).where("last >= first")
     order = Window.partitionBy("_row").orderBy("first", F.desc("last"), F.desc("priority"), "rule").rowsBetween(Window.unboundedPreceding, -1)
     held = reduce(lambda a, b: a | b, [(F.col("priority") <= p) & (F.coalesce(F.max(F.when(F.col("priority") >= p, F.col("last"))).over(order), F.lit(-1)) >= F.col("last")) for p in (1, 2, 3)])
     # Rows of equal span come with the higher priority first, so whatever holds a detection stands before it.
@@ -81,10 +84,15 @@ def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _places(phrase: str) -> Column:
-    parts = F.split("norm", " ")
-    at = lambda i, k, w: F.get(parts, i + k) == w
-    match = lambda i: reduce(lambda a, b: a & b, [F.coalesce(at(i, k, w), F.lit(False)) for k, w in enumerate(phrase.split())])
-    return F.filter(F.sequence(F.lit(0), F.size(parts) - 1), match)
+    """Word numbers at which the phrase stands in norm. The words are bound once, as the one element of an array: an
+    expression inside a lambda would split the text anew at every word."""
+    wanted = phrase.split()
+
+    def within(parts: Column) -> Column:
+        match = lambda i: reduce(lambda a, b: a & b, [F.coalesce(F.get(parts, i + k) == w, F.lit(False)) for k, w in enumerate(wanted)])
+        return F.filter(F.sequence(F.lit(0), F.size(parts) - 1), match)
+
+    return F.get(F.transform(F.array(F.split("norm", " ")), within), F.lit(0))
 
 
 def license_scan(docs: DataFrame) -> DataFrame:
