@@ -5,8 +5,9 @@ coordinate k of a signature is the least table entry k steps after a document's
 coordinates is one contiguous slice of the table.
 
 Documents of one set are one class, of which only the smallest id goes on. Each class is first compared with the heaviest
-members of the buckets that it is in; what that leaves apart is compared across components, bucket by bucket,
-so no pair of a bucket whose ends are apart goes unverified, and pairs inside a component are never made.
+members of the buckets that it is in; what that leaves apart is compared across components: members
+of buckets whose ends are apart, by the rarest of their shingles, of which any two sets that are similar enough share one.
+So no link of a bucket is lost, and pairs inside a component are never made.
 """
 
 from __future__ import annotations
@@ -114,6 +115,33 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: int = SIMILARITY) ->
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
+def rare_shingles(sets: DataFrame, docs: DataFrame, similarity: int = SIMILARITY) -> DataFrame:
+    """(shingle, doc_id, component, m, rest): of each set of docs (doc_id, m: its size, component, floor: the least size of a
+    partner) as many of its rarest shingles as leave fewer than a link needs to have in common. rest is how many the set has from this one on.
+
+    Rarity is counted over these sets, ties by shingle, so two sets that are similar enough share one of these; those that
+    no other set has are counted, but not returned. Sets just under the similarity have rare shingles of their own and meet
+    few others, however many there are.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for doc, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                shingles = np.frombuffer(raw.as_buffer(), np.int64)
+                for at in range(0, len(shingles), 1 << 18):
+                    part = shingles[at : at + (1 << 18)]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), doc)), pa.array(part)], ["doc_id", "shingle"])
+
+    each = sets.join(docs, "doc_id", "left_semi").select("doc_id", "shingles").mapInArrow(run, "doc_id long, shingle long")
+    shared = each.groupBy("shingle").agg(F.count("*").alias("n")).where("n > 1")
+    # 100 * common >= s * union means common >= s * (m + n) / (100 + s); n is at least the floor, and at least s * m / 100.
+    need = F.greatest(F.ceil(similarity * (F.col("m") + F.col("floor")) / (100 + similarity) - 1e-6), F.ceil(similarity * F.col("m") / 100 - 1e-6))
+    own = Window.partitionBy("doc_id")
+    ranked = each.join(shared, "shingle").select("*", F.row_number().over(own.orderBy("n", "shingle")).alias("nth"), F.count("*").over(own).alias("known"))
+    chosen = ranked.join(docs, "doc_id").where(F.col("nth") <= F.col("m") - need + 1 - (F.col("m") - F.col("known")))
+    return chosen.select("shingle", "doc_id", "component", "m", (F.col("known") - F.col("nth") + 1).alias("rest"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(id, component) of every end of an edge (a, b): component is the smallest id reachable.
 
@@ -172,14 +200,23 @@ def near_duplicates(docs: DataFrame, similarity: int = SIMILARITY, bands: int =
     placed = stored(placed.select("key", "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component")), "placed")
     split = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
     apart = stored(placed.join(split, "key", "left_semi"), "apart")
-    parts = apart.groupBy("key", "component").agg(F.min("n_shingles").alias("least"), F.max("n_shingles").alias("most"))
-    other = parts.select("key", F.col("component").alias("other"), F.col("least").alias("least2"), F.col("most").alias("most2"))
+    floor = apart.groupBy("key").agg(F.min("n_shingles").alias("floor"))
+    open_ = apart.join(floor, "key").groupBy("doc_id").agg(F.max("n_shingles").alias("m"), F.max("component").alias("component"), F.min("floor").alias("floor"))
+    live = stored(rare_shingles(sets, stored(open_, "open"), similarity), "rare-shingles")
+    split = live.groupBy("shingle").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("shingle")
+    live = stored(live.join(split, "shingle", "left_semi"), "rare-shared")
+    parts = live.groupBy("shingle", "component").agg(F.min("m").alias("least"), F.max("m").alias("most"), F.max("rest").alias("rest"))
+    other = parts.select("shingle", F.col("component").alias("other"), F.col("least").alias("least2"), F.col("most").alias("most2"), F.col("rest").alias("rest2"))
     sized = (100 * F.col("most2") >= similarity * F.col("least")) & (100 * F.col("most") >= similarity * F.col("least2"))
-    across = parts.join(other, "key").where((F.col("component") < F.col("other")) & sized).select("key", "component", "other")
-    left = apart.select("key", "component", F.col("doc_id").alias("a"), F.col("n_shingles").alias("m"))
-    right = apart.select("key", F.col("component").alias("other"), F.col("doc_id").alias("b"), F.col("n_shingles").alias("n"))
-    fits = 100 * F.least("m", "n") >= similarity * F.greatest("m", "n")
-    pairs = across.join(left, ["key", "component"]).join(right, ["key", "other"]).where(fits)
+    # Of two sets' first common shingle in order of rarity: no more are in common than what either has from there on.
+    sized &= (100 + similarity) * F.least("rest", "rest2") >= similarity * (F.col("least") + F.col("least2"))
+    across = parts.join(other, "shingle").where((F.col("component") < F.col("other")) & sized)
+    across = across.select("shingle", "component", "other", F.col("least2").alias("least_other"), F.col("rest2").alias("rest_other"))
+    left = live.select("shingle", "component", F.col("doc_id").alias("a"), "m", "rest")
+    right = live.select("shingle", F.col("component").alias("other"), F.col("doc_id").alias("b"), F.col("m").alias("n"), F.col("rest").alias("rest2"))
+    fits = (100 * F.least("m", "n") >= similarity * F.greatest("m", "n")) & ((100 + similarity) * F.least("rest", "rest2") >= similarity * (F.col("m") + F.col("n")))
+    some = (100 + similarity) * F.least("rest", "rest_other") >= similarity * (F.col("m") + F.col("least_other"))  # else a member fits none of the other part
+    pairs = across.join(left, ["shingle", "component"]).where(some).join(right, ["shingle", "other"]).where(fits)
     second = stored(verified(stored(pairs.select("a", "b").distinct(), "pairs"), sets, similarity), "cross-links")
     linked = components(first.union(second))
 
