@@ -137,3 +137,35 @@ def test_repeated_rows_leave_one(spark):
     assert len(got) == 5 and sum(r["kept"] for r in got) == 2
     assert sorted(exact.drop_copies(df.coalesce(1)).collect(), key=repr) == sorted([(1, "a", "en"), (None, "z", None)], key=repr)
     assert exact.exact_dedup(df.limit(0)).isEmpty()
+
+
+def test_family_around_the_similarity_equals_all_pairs(spark):
+    """Variants of one text by a few words of a small vocabulary: many lie just under the similarity, some link only to each other."""
+    import random as random_
+
+    rng = random_.Random(23)
+    base = [f"w{i}" for i in range(150)]
+    texts = []
+    for _ in range(140):
+        words = list(base)
+        for at in rng.sample(range(150), rng.choice([1, 2, 3, 4, 5, 6, 7])):
+            words[at] = rng.choice(["aa", "bb", "cc"])
+        texts.append(" ".join(words))
+    sets = [frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4)) for w in map(str.split, texts)]
+    root = list(range(len(sets)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if 100 * len(a & sets[j]) >= 75 * len(a | sets[j]):
+                x, y = sorted((find(i), find(j)))
+                root[y] = x
+    from levelwave.llm.minhash import near_duplicates
+
+    got = {r["doc_id"]: r["component_id"] for r in near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got == {i: find(i) for i in range(len(texts))}
+    assert len(set(got.values())) > 1
