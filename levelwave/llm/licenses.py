@@ -7,6 +7,7 @@ one that lies within another of a higher priority, or within a longer or earlier
 
 from __future__ import annotations
 
+import re
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -18,12 +19,9 @@ from .shared import documents, stored
 QUERY = "op3_license_rules"
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"  # of a text with A-Z lower-cased
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: One of these must be in the lower-cased text before it is normalised; every base phrase has one. Plain substring tests
-#: cost far less than a pattern of many alternatives.
-GATE = ["licen", "cc", "gpl", "copyright", "spdx", "hereby", "merchantab", "redistribut", "permission", "domain", "reserved", "creativecommons", "creative commons", "proprietary",
-        "mozilla", "apache", "gnu", "same terms", "endorse", "altered", "unauthori", "clause", "encumbered", "boost", "public source", "open source", "open software"]
-#: What must also hold where "cc" is all that a text has.
-_CC = r"(?i)(?<![0-9a-z])cc(?:0|[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+by)(?![0-9a-z])"
+#: Letters of a word from which on it is looked for anywhere in a text. A shorter one stands in too many other words, so it
+#: must stand by itself, or before a version.
+PLAIN = 6
 #: Strength of a detection by priority.
 WEIGHT = {3: 1.0, 2: 0.8, 1: 0.5}
 
@@ -33,11 +31,38 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
-def gated(text: Column, low: Column) -> Column:
-    """Whether any rule may match; never false where a base phrase stands. Lower-casing other letters than A-Z can't hide
-    one, and can only let more through. low is the lower-cased text, as a column of its own so that it is made once."""
-    plain = reduce(lambda a, b: a | b, [F.contains(low, F.lit(w)) for w in GATE if w != "cc"])
-    return plain | (F.contains(low, F.lit("cc")) & text.rlike(_CC))
+def needed(pattern: str) -> str:
+    """The pattern without its alternatives and optional groups: what every match has."""
+    while m := re.search(r"\(\?:([^()]*)\)(\??)", pattern):
+        pattern = pattern[: m.start()] + ("\0" if m[2] or "|" in m[1] else m[1]) + pattern[m.end() :]
+    return pattern
+
+
+def gate() -> tuple[set[tuple[str, ...]], set[str]]:
+    """(sets of words that a text has anywhere, words that it has by themselves), of which each rule and base phrase needs
+    one: the licence word if all its matches have it, else the words of its keyword."""
+    anywhere, alone = set(), set()
+    for keyword, pattern in [r[2:4] for r in rules()] + [(phrase, phrase) for phrase, _ in BASE_PHRASES]:
+        core, words = needed(pattern), keyword.split()
+        long = tuple(w for w in words if len(w) >= PLAIN)
+        if "licen" in core:
+            anywhere.add(("licen",))
+        elif long or not re.search(rf"(?<![^ \0]){words[0]}(?![a-uw-z])", core):
+            anywhere.add(long or tuple(words))
+        else:
+            alone.add(words[0])
+    return anywhere, alone
+
+
+def gated(low: Column) -> Column:
+    """Whether any rule or base phrase may match; never false where one does. Lower-casing other letters than A-Z can't
+    hide one, and can only let more through. low is the lower-cased text, as a column of its own so that it is made once.
+    Plain substring tests cost far less than a pattern, so they come first."""
+    anywhere, alone = gate()
+    plain = [reduce(lambda a, b: a & b, [F.contains(low, F.lit(w)) for w in words]) for words in sorted(anywhere, key=lambda w: (w != ("licen",), w))]
+    heads = sorted({w[0] for w in alone})
+    by_head = "|".join(f"{h}(?:{'|'.join(sorted(w[1:] for w in alone if w[0] == h))})" for h in heads)
+    return reduce(lambda a, b: a | b, plain) | low.rlike(rf"(?<![0-9a-z])(?:{by_head})(?![a-uw-z])")
 
 
 def word_count(text: Column) -> Column:
@@ -58,7 +83,7 @@ def scan(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("_text")).withColumn("_row", F.monotonically_increasing_id())
     norm = F.trim(F.regexp_replace(ascii_lower(F.col("_text")), BETWEEN, " "))
     rows = rows.select("_row", "doc_id", "_text", F.lower("_text").alias("_low"))
-    rows = rows.select("_row", "doc_id", word_count(F.col("_text")).alias("n_words"), F.when(gated(F.col("_text"), F.col("_low")), norm).alias("norm"))
+    rows = rows.select("_row", "doc_id", word_count(F.col("_text")).alias("n_words"), F.when(gated(F.col("_low")), norm).alias("norm"))
     padded = F.concat(F.lit(" "), F.col("norm"), F.lit(" "))
     places = [F.when(F.contains(padded, F.lit(f" {phrase} ")), _places(phrase)).otherwise(F.array().cast("array<int>")).alias(f"at_{i}") for i, (phrase, _) in enumerate(BASE_PHRASES)]
     rows = stored(rows.select("*", *places), "license-words")

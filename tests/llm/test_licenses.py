@@ -3,8 +3,10 @@
 import random
 import re
 
+from pyspark.sql import functions as F
+
 from levelwave.llm.license_rules import BASE_PHRASES, rules
-from levelwave.llm.licenses import license_scan, scan
+from levelwave.llm.licenses import gated, license_scan, scan
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 LOWER = str.maketrans({chr(65 + i): chr(97 + i) for i in range(26)})
@@ -70,3 +72,48 @@ def test_suppression_equals_all_pairs(spark):
         key = lambda d: (d[1], -d[2], -d[3], d[0])
         keep = {d[:3] for d in found if not any(e != d and e[3] >= d[3] and e[1] <= d[1] and e[2] >= d[2] and key(e) < key(d) for e in found)}
         assert got.get(row, set()) == keep
+
+
+def matches(parsed, branch, most):
+    """A text that a parsed pattern matches, with one choice of alternatives and the least or greatest number of repeats."""
+    out = ""
+    for op, av in parsed:
+        op = str(op)
+        if op == "LITERAL":
+            out += chr(av)
+        elif op == "ANY":
+            out += "x"
+        elif op == "IN":
+            kind, value = av[0]
+            out += {"LITERAL": lambda v: chr(v), "RANGE": lambda v: chr(v[0]), "CATEGORY": lambda v: "a"}[str(kind)](value)
+        elif op == "BRANCH":
+            out += matches(av[1][branch % len(av[1])], branch, most)
+        elif op == "SUBPATTERN":
+            out += matches(av[3], branch, most)
+        else:
+            low, high, inner = av
+            out += matches(inner, branch, most) * (min(high, low + 3) if most else low)
+    return out
+
+
+def test_no_rule_is_gated_out(spark):
+    texts, wanted = [], []
+    for rule, label, keyword, pattern, _ in rules():
+        for branch in (0, 1, 2, 3, -1):
+            for most in (False, True):
+                text = matches(re._parser.parse(pattern), branch, most)
+                assert re.fullmatch(pattern, text), (pattern, text)
+                text = text if keyword in text else f"{text} {keyword}"
+                texts += [text, "\n".join(text.upper().split()), f"x-{'  '.join(text.title().split())}."]
+                wanted += [(rule, label)] * 3
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    shut = docs.selectExpr("doc_id", "lower(text) AS low").where(~gated(F.col("low"))).collect()
+    assert not [(wanted[r["doc_id"]], r["low"]) for r in shut]
+
+
+def test_short_names_are_found(spark):
+    wanted = {"released under the MPL 2.0": "mpl", "available under the EPL v1.0": "epl", "CDDL-1.1": "cddl", "EUPLv1.2": "eupl", "Creative\nCommons Attribution 4.0": "cc-by", "the same\nterms  as Perl itself": "perl"}
+    docs = spark.createDataFrame(list(enumerate(wanted)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in license_scan(docs).collect()}
+    for i, label in enumerate(wanted.values()):
+        assert label in got[i]["labels"].split(",") and got[i]["score"] > 0
