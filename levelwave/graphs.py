@@ -129,4 +129,12 @@ def nearvec(spark: SparkSession, sf_dir: str, k: int = 8) -> Graph:
     return _undirected(pairs.select(tag("vec_id", "vector").alias("src"), tag("other", "vector").alias("dst")))
 
 
-GRAPHS: dict[str, Callable[..., Graph]] = {f.__name__: f for f in (supply, purchase, basket, sourcing, hierarchy, weblinks, trail, dialog, copies, nearvec)}
+def nearvec_all(spark: SparkSession, sf_dir: str, k: int = 8) -> Graph:
+    """Each vector and its k nearest by cosine among all."""
+    from .operators.vectors import nearest_of_all
+
+    pairs = nearest_of_all(_table(spark, sf_dir, "embeddings"), k)
+    return _undirected(pairs.select(tag("vec_id", "vector").alias("src"), tag("other", "vector").alias("dst")))
+
+
+GRAPHS: dict[str, Callable[..., Graph]] = {f.__name__: f for f in (supply, purchase, basket, sourcing, hierarchy, weblinks, trail, dialog, copies, nearvec, nearvec_all)}

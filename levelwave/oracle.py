@@ -39,6 +39,10 @@ EDGES = {
         SELECT vec_id, other, row_number() OVER (PARTITION BY vec_id ORDER BY c DESC, other) AS k FROM (
           SELECT a.vec_id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c
           FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id)) WHERE k <= 8""",
+    "nearvec_all": f"""SELECT {tagged('vec_id', 11)} AS src, {tagged('other', 11)} AS dst FROM (
+        SELECT vec_id, other, row_number() OVER (PARTITION BY vec_id ORDER BY c DESC, other) AS k FROM (
+          SELECT a.vec_id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c
+          FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id)) WHERE k <= 8""",
 }
 DIRECTED = {"hierarchy"}
 

@@ -75,6 +75,7 @@ _levels("directed_hierarchy_grid", "hierarchy", 5, lambda g, s: grid.bfs_grid(g,
 _levels("undirected_weblinks", "weblinks", 6, lambda g, s: rows.bfs_rows(g, s).levels)
 _levels("triangle_bfs", "basket", 0, lambda g, s: rows.bfs_rows(g, s, storage="triangle").levels)
 _levels("knn_bfs", "nearvec", 11, lambda g, s: rows.bfs_rows(g, s).levels)
+_levels("knn_all_bfs", "nearvec_all", 11, lambda g, s: rows.bfs_rows(g, s).levels)
 query("directed_weblinks", oracle.levels("weblinks", 6, directed=True))(lambda s, d: rows.bfs_rows(graph(s, d, "weblinks", directed=True), 6).levels)
 _FIRST_EVENT = "(SELECT event_id * 16 + 8 FROM events WHERE user_id = 0 ORDER BY ts, event_id LIMIT 1)"
 _LAST_EVENT = "(SELECT max(event_id) * 16 + 8 FROM events WHERE user_id = (SELECT max(user_id) FROM events))"
@@ -131,6 +132,7 @@ query("simplified_edges", f"WITH e AS ({oracle.EDGES['basket']}) SELECT DISTINCT
 query("triangle_edges", f"WITH {oracle.arcs('supply')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "supply").arcs))
 query("copies_edges", f"WITH {oracle.arcs('copies')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "copies").arcs))
 query("knn_edges", f"WITH {oracle.arcs('nearvec')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec").arcs)
+query("knn_all_edges", f"WITH {oracle.arcs('nearvec_all')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec_all").arcs)
 
 
 @query("relabel_bijection", f"WITH {oracle.arcs('basket')}, n AS (SELECT count(DISTINCT src) AS n, count(*) AS m FROM arcs) SELECT mode, n AS vertices, n AS labels, m AS arcs FROM n, (VALUES ('feistel'), ('shuffle'), ('locality'), ('identity')) t(mode)")
