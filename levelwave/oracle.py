@@ -39,6 +39,9 @@ EDGES = {
         SELECT vec_id, other, row_number() OVER (PARTITION BY vec_id ORDER BY c DESC, other) AS k FROM (
           SELECT a.vec_id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c
           FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id)) WHERE k <= 8""",
+    "copies_all": f"""SELECT {tagged('hub', 10)} AS src, {tagged('doc_id', 10)} AS dst FROM (
+        SELECT doc_id, min(doc_id) OVER (PARTITION BY line) AS hub FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, trim(unnest(string_split(lower(text), chr(10))), ' ') AS line FROM documents) WHERE length(line) >= 40))
+        WHERE hub < doc_id""",
     "nearvec_all": f"""SELECT {tagged('vec_id', 11)} AS src, {tagged('other', 11)} AS dst FROM (
         SELECT vec_id, other, row_number() OVER (PARTITION BY vec_id ORDER BY c DESC, other) AS k FROM (
           SELECT a.vec_id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c

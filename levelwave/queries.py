@@ -131,6 +131,7 @@ query("simplified_edges", f"WITH e AS ({oracle.EDGES['basket']}) SELECT DISTINCT
     lambda s, d: prep.simplify(s.read.parquet(f"{d}/lineitem.parquet").selectExpr("l_partkey * 16 AS src", "l_orderkey * 16 + 3 AS dst")))
 query("triangle_edges", f"WITH {oracle.arcs('supply')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "supply").arcs))
 query("copies_edges", f"WITH {oracle.arcs('copies')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "copies").arcs))
+query("copies_all_edges", f"WITH {oracle.arcs('copies_all')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "copies_all").arcs))
 query("knn_edges", f"WITH {oracle.arcs('nearvec')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec").arcs)
 query("knn_all_edges", f"WITH {oracle.arcs('nearvec_all')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec_all").arcs)
 
