@@ -99,17 +99,23 @@ _FRONTIER = "SELECT DISTINCT src AS vertex FROM arcs ORDER BY src LIMIT 50"
 _PRODUCT = f"WITH {oracle.arcs('purchase')}, f AS ({_FRONTIER}) SELECT a.dst AS vertex, max(a.src) AS parent FROM arcs a JOIN f ON f.vertex = a.src GROUP BY a.dst"
 
 
-def _product(kernel: str) -> Query:
+_PRODUCT_ALL = f"WITH {oracle.arcs('purchase')} SELECT dst AS vertex, max(src) AS parent FROM arcs GROUP BY dst"
+
+
+def _product(kernel: str, most: int | None = 50) -> Query:
+    """By a frontier of the least vertices, or of all."""
+
     def run(s: SparkSession, d: str) -> DataFrame:
         arcs = graph(s, d, "purchase").arcs
-        frontier = arcs.select(F.col("src").alias("vertex")).distinct().orderBy("vertex").limit(50)
-        return grid.spmsv(arcs, frontier, WIDE, kernel, threads=2)
+        frontier = arcs.select(F.col("src").alias("vertex")).distinct()
+        return grid.spmsv(arcs, frontier if most is None else frontier.orderBy("vertex").limit(most), WIDE, kernel, threads=2)
 
     return run
 
 
 for _k in ("heap", "spa", "auto", "sql"):
     query(f"kernel_{_k}", _PRODUCT)(_product(_k))
+    query(f"kernel_{_k}_all", _PRODUCT_ALL)(_product(_k, None))
 
 
 @query("mask_accumulate", f"WITH RECURSIVE {oracle.with_levels('supply', 0, bound=2)} SELECT dist, count(*) AS vertices, max(vertex) AS greatest FROM lv GROUP BY dist")

@@ -53,3 +53,8 @@ def test_a_large_group_of_copies_is_linked(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     arcs = graphs.copies_all(spark, str(tmp_path)).arcs.where("src < dst").collect()
     assert sorted((r["src"] // 16, r["dst"] // 16) for r in arcs) == [(10, i) for i in range(11, 90)]
+
+
+@pytest.mark.parametrize("kernel", ["heap", "spa", "auto", "sql"])
+def test_product_by_all_vertices_equals_sql(spark, small, kernel):
+    equals_sql(spark, small, f"kernel_{kernel}_all")
