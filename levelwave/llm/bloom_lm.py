@@ -2,8 +2,9 @@
 
 Counts are gathered in shards by n-gram hash: tasks send each shard one sorted block of hashes, and a shard adds its
 blocks up. An n-gram of count c is entered once for each level up to its logarithm; a lookup probes level after level until
-one is missing. Each shard fills its own segment of the filter, so the filter is built where the counts are; its size has
-a fixed bound, kept by raising the least count that is entered, which is chosen from the histogram of all counts.
+one is missing. Each shard fills its own segment of the filter, so the filter is built where the counts are. All n-grams are
+entered and the segments grow with them: up to a bound the filter is broadcast; beyond it the segments stay with their
+shards, and the n-grams of each block of texts are sent there and their levels back. Both ways give the same scores.
 
 Beside the filter, exact counts of the commonest words are broadcast (a fixed number at most); the other words of a text
 are looked up by a shuffled join, so the base score is exact for every word at any size.
@@ -12,11 +13,12 @@ are looked up by a shuffled join, so the base score is exact for every word at a
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -24,15 +26,19 @@ from .shared import crc_bucket, documents, importable, stored
 from .textkernel import STEP, WHITE_TABLE, Texts, mix, runs, slices, texts_of
 
 QUERY = "op7_bloom_lm"
-#: Words whose exact count is broadcast at most (12 bytes each), and bytes of the filter at most.
+#: Words whose exact count is broadcast at most (12 bytes each), and bytes of a filter that is broadcast at most.
 HEAD_WORDS, FILTER_BYTES = 1 << 20, 32 << 20
-#: Hash probes of a level; bits of the filter for each entry; base of the quantisation; least count of a word pair.
-PROBES, BITS_PER_ENTRY, LOG_BASE, PAIR_COUNT = 4, 10, 2.0, 2
+#: Hash probes of a level; bits of the filter for each entry; base of the quantisation.
+PROBES, BITS_PER_ENTRY, LOG_BASE = 4, 10, 2.0
 #: Weight of the pair model where the first word is known.
 PAIR_WEIGHT = 0.6
 SMOOTH = 0.1
 #: Hashes that a task gathers before it adds up and sends.
 BUFFER = 4_000_000
+#: Tokens of a block of texts whose n-grams are looked up together (one longer text is a block of its own).
+BLOCK = 1 << 18
+#: Hashes of a row of counts.
+ROW_KEYS = 1 << 18
 _U = np.uint64
 END, BEGIN = _U(0x1F3D5B79A2C4E6F1), _U(0x7A5C3E1F9B8D6042)
 
@@ -44,11 +50,15 @@ def tokens(texts: Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     doc = np.concatenate((words.doc, np.arange(n)))
     order = np.argsort(doc, kind="stable")  # ends come after the words of their text
     doc, hashes = doc[order], np.concatenate((words.hash, np.full(n, END)))[order]
+    return doc, hashes, _before(doc, hashes)
+
+
+def _before(doc: np.ndarray, hashes: np.ndarray) -> np.ndarray:
     before = np.empty_like(hashes)
     before[1:] = hashes[:-1]
     before[:1] = BEGIN
     before[1:][doc[1:] != doc[:-1]] = BEGIN
-    return doc, hashes, before
+    return before
 
 
 def pair_hash(first: np.ndarray, second: np.ndarray) -> np.ndarray:
@@ -102,9 +112,9 @@ def _blocks(docs: DataFrame, shards: int) -> DataFrame:
     return docs.select("text").mapInArrow(run, "shard int, kind int, keys binary, counts binary")
 
 
-def ngram_counts(docs: DataFrame, shards: int, pair_count: int = PAIR_COUNT) -> DataFrame:
-    """(shard, kind, keys, counts, n, total, histogram), stored: exact counts of all words and of all pairs that were
-    seen pair_count times or more. A shard's hashes are spread evenly, so its size follows the number of shards."""
+def ngram_counts(docs: DataFrame, shards: int) -> DataFrame:
+    """(shard, kind, keys, counts, n, total, histogram), stored: exact counts of all words and of all pairs. A shard's
+    hashes are spread evenly, so its size follows the number of shards."""
 
     def add(table: pa.Table) -> pa.Table:
         kinds = table.column("kind").to_numpy()
@@ -115,12 +125,9 @@ def ngram_counts(docs: DataFrame, shards: int, pair_count: int = PAIR_COUNT) ->
             keys = np.concatenate([np.empty(0, np.uint64), *(np.frombuffer(k, np.uint64) for k in rows.column("keys").to_pylist())])
             counts = np.concatenate([np.empty(0, np.int64), *(np.frombuffer(c, np.uint32).astype(np.int64) for c in rows.column("counts").to_pylist())])
             keys, counts = _added(keys, counts)
-            total = int(counts.sum())
-            distinct = len(keys)
-            if kind == 2:
-                keys, counts = keys[counts >= pair_count], counts[counts >= pair_count]
-            levels = np.bincount(_levels(counts), minlength=64)[:64]
-            out.append((int(table.column("shard")[0].as_py()), kind, keys.tobytes(), counts.tobytes(), distinct, total, levels.tolist()))
+            for i in range(0, max(len(keys), 1), ROW_KEYS):
+                k, c = keys[i : i + ROW_KEYS], counts[i : i + ROW_KEYS]
+                out.append((int(table.column("shard")[0].as_py()), kind, k.tobytes(), c.tobytes(), len(k), int(c.sum()), np.bincount(_levels(c), minlength=64)[:64].tolist()))
         return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), [pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())], strict=True)], names=["shard", "kind", "keys", "counts", "n", "total", "histogram"])
 
     importable(docs.sparkSession)
@@ -147,7 +154,7 @@ def _places(keys: np.ndarray, level: int | np.ndarray, probe: int, bits: int) ->
 
 @dataclass
 class LogFrequencyFilter:
-    """segments[s] has the bits of shard s."""
+    """segments[s] has the bits of shard s; those of all shards, or of one alone."""
 
     segments: np.ndarray
     bits: int
@@ -166,9 +173,20 @@ class LogFrequencyFilter:
         return out
 
 
+def enter(segment: np.ndarray, keys: np.ndarray, levels: np.ndarray) -> None:
+    """Sets the bits of these n-grams in one shard's segment."""
+    for level in range(1, int(levels.max(initial=0)) + 1):
+        some = keys[levels >= level]
+        for probe in range(PROBES):
+            segment[_places(some, level, probe, len(segment))] = True
+
+
 @dataclass
 class Model:
-    filter: LogFrequencyFilter
+    """filter is None where the segments, of so many bits each, stay with their shards."""
+
+    filter: LogFrequencyFilter | None
+    bits: int
     total: int
     distinct: int
     head: np.ndarray
@@ -180,15 +198,19 @@ class Model:
         return self.total + SMOOTH * (self.distinct + 1)
 
 
-def build(counts: DataFrame, shards: int, filter_bytes: int = FILTER_BYTES, head_words: int = HEAD_WORDS) -> Model:
-    """Filter and head. Only sums, the head and the segments come to the driver, all of bounded size."""
+def build(counts: DataFrame, shards: int, filter_bytes: int = FILTER_BYTES, head_words: int = HEAD_WORDS, *, whole: bool = False) -> Model:
+    """Filter and head. Only sums, the head and the segments come to the driver, all of bounded size.
+
+    A filter that would exceed filter_bytes isn't gathered if it has to be whole; else only commoner n-grams are entered.
+    """
     sums = counts.groupBy("kind").agg(F.sum("n").alias("n"), F.sum("total").alias("total"), *[F.sum(F.col("histogram")[i]).alias(f"h{i}") for i in range(1, 64)]).toPandas().set_index("kind")
     if sums.empty:
-        return Model(LogFrequencyFilter(np.zeros((shards, 8), np.uint8), 64), 0, 0, np.empty(0, np.uint64), np.empty(0, np.int64), True)
+        return Model(LogFrequencyFilter(np.zeros((shards, 8), np.uint8), 64), 64, 0, 0, np.empty(0, np.uint64), np.empty(0, np.int64), True)
     histogram = sums[[f"h{i}" for i in range(1, 64)]].to_numpy().sum(axis=0)
     entries = histogram * np.arange(1, 64)
     least = 1  # the least level that is entered
-    while entries[least - 1 :].sum() * BITS_PER_ENTRY > filter_bytes * 8:
+    gathered = not whole or entries.sum() * BITS_PER_ENTRY <= filter_bytes * 8
+    while not whole and entries[least - 1 :].sum() * BITS_PER_ENTRY > filter_bytes * 8:
         least += 1
     bits = max(64, -(-int(entries[least - 1 :].sum() * BITS_PER_ENTRY) // shards // 64) * 64 + 64)
     words = sums.loc[1]
@@ -200,12 +222,8 @@ def build(counts: DataFrame, shards: int, filter_bytes: int = FILTER_BYTES, head
             for shard, keys, found in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 keys, levels = np.frombuffer(keys, np.uint64), _levels(np.frombuffer(found, np.int64))
                 keep = levels >= least
-                keys, levels = keys[keep], levels[keep]
                 segment = np.zeros(bits, dtype=bool)
-                for level in range(1, int(levels.max(initial=0)) + 1):
-                    some = keys[levels >= level]
-                    for probe in range(PROBES):
-                        segment[_places(some, level, probe, bits)] = True
+                enter(segment, keys[keep], levels[keep])
                 packed = np.packbits(segment, bitorder="little").tobytes()
                 yield pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([packed], pa.binary())], ["shard", "bits"])
 
@@ -216,14 +234,16 @@ def build(counts: DataFrame, shards: int, filter_bytes: int = FILTER_BYTES, head
                 keep = _levels(found) >= head_level
                 yield pa.RecordBatch.from_arrays([pa.array([keys[keep].tobytes()], pa.binary()), pa.array([found[keep].tobytes()], pa.binary())], ["keys", "counts"])
 
-    segments = np.zeros((shards, bits // 8), dtype=np.uint8)
-    for row in counts.select("shard", "keys", "counts").mapInArrow(fill, "shard int, bits binary").toLocalIterator():
-        segments[row["shard"]] |= np.frombuffer(row["bits"], np.uint8)
+    filled = None
+    if gathered:
+        filled = LogFrequencyFilter(np.zeros((shards, bits // 8), dtype=np.uint8), bits)
+        for row in counts.select("shard", "keys", "counts").mapInArrow(fill, "shard int, bits binary").toLocalIterator():
+            filled.segments[row["shard"]] |= np.frombuffer(row["bits"], np.uint8)
     rows = counts.where("kind = 1").select("keys", "counts").mapInArrow(common, "keys binary, counts binary").collect()
     head = np.concatenate([np.empty(0, np.uint64), *(np.frombuffer(r["keys"], np.uint64) for r in rows)])
     head_counts = np.concatenate([np.empty(0, np.int64), *(np.frombuffer(r["counts"], np.int64) for r in rows)])
     order = np.argsort(head)
-    return Model(LogFrequencyFilter(segments, bits), int(words["total"]), int(words["n"]), head[order], head_counts[order], len(head) == int(words["n"]))
+    return Model(filled, bits, int(words["total"]), int(words["n"]), head[order], head_counts[order], len(head) == int(words["n"]))
 
 
 def _exact(model: Model, keys: np.ndarray) -> np.ndarray:
@@ -234,22 +254,20 @@ def _exact(model: Model, keys: np.ndarray) -> np.ndarray:
     return np.where(model.head[at] == keys, model.head_counts[at], 0 if model.complete else -1)
 
 
-def score_batch(model: Model, texts: Texts) -> tuple[np.ndarray, ...]:
-    """n_tokens, n_known, base and score of each text by head and filter; then (text, word, times) left to a join."""
-    doc, hashes, before = tokens(texts)
-    n = len(texts)
+def score_tokens(model: Model, n: int, doc: np.ndarray, hashes: np.ndarray, before: np.ndarray, levels: Callable[[np.ndarray], np.ndarray]) -> tuple[np.ndarray, ...]:
+    """n_tokens, n_known, base and score of each of n texts by head and levels; then (text, word, times) left to a join."""
     keys, which = np.unique(hashes, return_inverse=True)
     exact = _exact(model, keys)[which]
     settled = exact >= 0
     base = np.bincount(doc[settled], np.log10((exact[settled] + SMOOTH) / model.unit), minlength=n)
     known = np.bincount(doc[exact > 0], minlength=n)
-    word_count = _middle(model.filter.levels(keys))
+    word_count = _middle(levels(keys))
     single = (word_count[which] + SMOOTH) / model.unit
     # The first word's count; a text's beginning is as frequent as ends are.
     context = np.full(len(hashes), BEGIN) if not len(hashes) else before
     context_keys, context_which = np.unique(np.where(context == BEGIN, END, context), return_inverse=True)
-    first = _middle(model.filter.levels(context_keys))[context_which]
-    pair = _middle(model.filter.levels(pair_hash(before, hashes)))
+    first = _middle(levels(context_keys))[context_which]
+    pair = _middle(levels(pair_hash(before, hashes)))
     share = np.minimum(pair / np.maximum(first, 1), 1.0)
     weight = np.where(first > 0, PAIR_WEIGHT, 0.0)
     score = np.bincount(doc, np.log10(weight * share + (1 - weight) * single), minlength=n)
@@ -257,6 +275,93 @@ def score_batch(model: Model, texts: Texts) -> tuple[np.ndarray, ...]:
     return np.bincount(doc, minlength=n), known, base, score, rest_key[0].astype(np.int64), rest_key[1], times
 
 
+_SCORED = "_row long, doc_id long, n_tokens long, n_known long, base double, score double, words array<long>, times array<long>"
+
+
+def _scored(rows: pa.Array, ids: pa.Array, found: tuple[np.ndarray, ...]) -> pa.RecordBatch:
+    n_tokens, known, base, score, of, words, times = found
+    cuts = np.searchsorted(of, np.arange(len(rows) + 1)).astype(np.int32)
+    lists = [pa.ListArray.from_arrays(pa.array(cuts), v) for v in (pa.array(words.view(np.int64)), pa.array(times, pa.int64()))]
+    return pa.RecordBatch.from_arrays([rows, ids, pa.array(n_tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(score), *lists], ["_row", "doc_id", "n_tokens", "n_known", "base", "score", "words", "times"])
+
+
+def _token_blocks(rows: DataFrame) -> DataFrame:
+    """(block, rows, ids, sizes, words, codes), stored: sizes has the tokens of each text, codes all of them by number in
+    words, which has each hash once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place, held, size = TaskContext.get().partitionId() << 32, [], 0
+
+        def block() -> pa.RecordBatch:
+            row, ids, sizes, hashes = zip(*held, strict=True)
+            words, codes = np.unique(np.concatenate(hashes), return_inverse=True)
+            return pa.RecordBatch.from_arrays(
+                [pa.array([place], pa.int64()), pa.array([sum(row, [])], pa.list_(pa.int64())), pa.array([sum(ids, [])], pa.list_(pa.int64())), pa.array([np.concatenate(sizes).tolist()], pa.list_(pa.int64())),
+                 pa.array([words.tobytes()], pa.binary()), pa.array([codes.astype(np.uint16 if len(words) <= 1 << 16 else np.uint32).tobytes()], pa.binary())],
+                ["block", "rows", "ids", "sizes", "words", "codes"])
+
+        for part in slices(batches):
+            doc, hashes, _ = tokens(texts_of(part.column(2)))
+            held.append((part.column(0).to_pylist(), part.column(1).to_pylist(), np.bincount(doc, minlength=part.num_rows), hashes))
+            size += len(hashes)
+            if size >= BLOCK:
+                yield block()
+                place, held, size = place + 1, [], 0
+        if held:
+            yield block()
+
+    return stored(rows.mapInArrow(run, "block long, rows array<long>, ids array<long>, sizes array<long>, words binary, codes binary"), "lm-blocks")
+
+
+def _tokens_of(sizes: np.ndarray, words: bytes, codes: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(text, hash, hash of the one before) of every token of a block; then its n-grams, each once, sorted."""
+    names = np.frombuffer(words, np.uint64)
+    hashes = names[np.frombuffer(codes, np.uint16 if len(names) <= 1 << 16 else np.uint32)]
+    doc = np.repeat(np.arange(len(sizes)), sizes)
+    before = _before(doc, hashes)
+    return doc, hashes, before, np.unique(np.concatenate((names, pair_hash(before, hashes))))
+
+
+def _scored_by_shards(rows: DataFrame, counts: DataFrame, shards: int, model: Model) -> DataFrame:
+    """_SCORED of all rows (_row, doc_id, text): each block asks every shard for the levels of its n-grams there."""
+    sent = rows.sparkSession.sparkContext.broadcast(model)
+    bits = model.bits
+    blocks = _token_blocks(rows)
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):  # row by row, as rows are large
+                block, sizes, words, codes = (c[i].as_py() for c in batch.columns)
+                keys = _tokens_of(np.array(sizes), words, codes)[3]
+                place = shard_of(keys, shards)
+                keys = keys[np.argsort(place, kind="stable")]
+                cuts = np.concatenate(([0], np.cumsum(np.bincount(place, minlength=shards))))
+                full = np.flatnonzero(np.diff(cuts))
+                yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array(np.full(len(full), block), pa.int64()), pa.array([keys[cuts[s] : cuts[s + 1]].tobytes() for s in full], pa.binary())], ["shard", "block", "asked"])
+
+    def answer(known: pa.Table, asked: pa.Table) -> pa.Table:
+        segment = np.zeros(bits, dtype=bool)
+        for keys, found in zip(known.column("keys"), known.column("counts"), strict=True):
+            enter(segment, np.frombuffer(keys.as_py(), np.uint64), _levels(np.frombuffer(found.as_py(), np.int64)))
+        one = LogFrequencyFilter(np.packbits(segment, bitorder="little")[None], bits)
+        del segment
+        levels = [one.levels(np.frombuffer(a.as_py(), np.uint64)).astype(np.uint8).tobytes() for a in asked.column("asked")]
+        return pa.table({"block": asked.column("block"), "shard": asked.column("shard"), "levels": pa.array(levels, pa.binary())})
+
+    def score(block: pa.Table, answers: pa.Table) -> pa.Table:
+        sizes = block.column("sizes").combine_chunks().flatten().to_numpy()
+        doc, hashes, before, keys = _tokens_of(sizes, block.column("words")[0].as_py(), block.column("codes")[0].as_py())
+        by_shard = dict(zip(answers.column("shard").to_pylist(), answers.column("levels").to_pylist(), strict=True))
+        levels = np.empty(len(keys), np.int64)
+        levels[np.argsort(shard_of(keys, shards), kind="stable")] = np.frombuffer(b"".join(by_shard[s] for s in sorted(by_shard)), np.uint8)
+        found = score_tokens(sent.value, len(sizes), doc, hashes, before, lambda k: levels[np.searchsorted(keys, k)])
+        return pa.Table.from_batches([_scored(block.column("rows").combine_chunks().flatten(), block.column("ids").combine_chunks().flatten(), found)])
+
+    asked = blocks.select("block", "sizes", "words", "codes").mapInArrow(ask, "shard int, block long, asked binary")
+    answers = counts.select("shard", "keys", "counts").groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(lambda a, b: answer(a, b), "block long, shard int, levels binary")
+    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda a, b: score(a, b), _SCORED)
+
+
 def bloom_scores(docs: DataFrame, shards: int | None = None, modulus: int = 10) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
 
@@ -267,19 +372,20 @@ def bloom_scores(docs: DataFrame, shards: int | None = None, modulus: int = 10)
     shards = shards or max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     held = crc_bucket(F.col("doc_id"), modulus) == 0
     counts = ngram_counts(docs.where(~held), shards)
-    model = build(counts, shards)
-    sent = spark.sparkContext.broadcast(model)
+    model = build(counts, shards, whole=True)
+    rows = docs.select(F.monotonically_increasing_id().alias("_row"), F.col("doc_id").cast("long"), "text")
+    if model.filter is None:
+        scored = _scored_by_shards(rows, counts, shards, model)
+    else:
+        sent = spark.sparkContext.broadcast(model)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = sent.value
-        for part in slices(batches):
-            n_tokens, known, base, score, of, words, times = score_batch(m, texts_of(part.column(2)))
-            cuts = np.searchsorted(of, np.arange(part.num_rows + 1)).astype(np.int32)
-            lists = [pa.ListArray.from_arrays(pa.array(cuts), v) for v in (pa.array(words.view(np.int64)), pa.array(times, pa.int64()))]
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n_tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(score), *lists], ["_row", "doc_id", "n_tokens", "n_known", "base", "score", "words", "times"])
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            m = sent.value
+            for part in slices(batches):
+                found = score_tokens(m, part.num_rows, *tokens(texts_of(part.column(2))), m.filter.levels)
+                yield _scored(part.column(0), part.column(1), found)
 
-    rows = docs.select(F.monotonically_increasing_id().alias("_row"), F.col("doc_id").cast("long"), "text")
-    scored = rows.mapInArrow(run, "_row long, doc_id long, n_tokens long, n_known long, base double, score double, words array<long>, times array<long>")
+        scored = rows.mapInArrow(run, _SCORED)
     if model.complete:
         out = scored.select("doc_id", "n_tokens", "n_known", F.col("base").alias("base_score"), "score")
     else:

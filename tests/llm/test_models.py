@@ -168,6 +168,28 @@ def test_filter_never_forgets_a_level(spark):
     assert small_filter.filter.segments.nbytes <= 24 + 3 * 16  # the bound holds, by entering commoner ones only
 
 
+@pytest.mark.parametrize("head", [1 << 20, 64])
+def test_a_filter_past_the_broadcast_bound_scores_alike(spark, small, monkeypatch, head):
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    docs = docs.unionByName(spark.createDataFrame([(70_001, None), (70_002, " "), (None, "The end")], docs.schema))
+    order = lambda df: sorted(df.collect(), key=lambda r: (r["doc_id"] is None, r["doc_id"]))
+    want = order(bloom_lm.bloom_scores(docs, shards=5))
+    monkeypatch.setattr(bloom_lm.build, "__defaults__", (24, head))
+    monkeypatch.setattr(bloom_lm, "BLOCK", 5000)
+    got = order(bloom_lm.bloom_scores(docs, shards=5))
+    assert len(got) == len(want) and [r["doc_id"] for r in got] == [r["doc_id"] for r in want]
+    for a, b in zip(got, want, strict=True):
+        assert (a["n_tokens"], a["n_known"], a["score"]) == (b["n_tokens"], b["n_known"], pytest.approx(b["score"], rel=1e-12))
+        assert a["base_score"] == pytest.approx(b["base_score"], rel=1e-9)
+
+
+def test_pairs_seen_once_are_entered(spark):
+    counted = bloom_lm.ngram_counts(spark.createDataFrame([(1, "one two three")], "doc_id long, text string"), 2)
+    model = bloom_lm.build(counted, 2)
+    _, hashes, before = bloom_lm.tokens(texts_of(pa.array(["one two three"])))
+    assert (model.filter.levels(bloom_lm.pair_hash(before, hashes)) > 0).all()
+
+
 def test_nothing_to_learn_from(spark):
     docs = spark.createDataFrame([(None, "a b")], "doc_id long, text string")
     r = bloom_lm.bloom_scores(docs).first()
