@@ -25,7 +25,7 @@ QUERY = "op6_quality_outliers"
 #: Share of a cell's rows in the estimate; steps towards it; rows of a cell that is estimated by itself.
 SHARE, STEPS, CELL_ROWS = 0.75, 3, 60
 #: Chance that a document of a normal cell is rejected, and the least deviation taken as natural, on the log scale.
-TAIL, FLOOR = 1e-10, 0.3
+TAIL, FLOOR = 1e-3, 0.3
 #: Added to a share before its logarithm: word length, symbols, other marks, capitals, repeated words, repeated lines.
 OFFSETS = (0.0, 0.01, 0.02, 0.02, 0.1, 0.1)
 D = len(OFFSETS)

@@ -64,6 +64,32 @@ def test_outliers_are_rejected_and_clean_rows_kept(spark):
     assert quality.judged(df.limit(0)).isEmpty()
 
 
+def planted_rows(clean=600, each=20):
+    """(doc_id, text, lang, source): clean rows with ids from 0, then rows of one fault each, from 1000, 2000 and so on."""
+    rng = random.Random(12)
+    word = lambda n: "".join(rng.choice("abcdefghij") for _ in range(n))
+    texts = {i: "\n".join(" ".join(word(rng.randint(2, 9)) for _ in range(rng.randint(3, 6))) for _ in range(40)) for i in range(clean)}
+    for i in range(each):
+        base = texts[i].split("\n")
+        once = [word(8) for _ in range(20)]
+        lines = [x for k, w in enumerate(once) for x in (w, once[0] if k else word(3))]
+        texts[1000 + i] = "\n".join(lines)  # half of the lines are repeated, no window of five words is
+        texts[2000 + i] = "\n".join("".join(c.upper() if rng.random() < 0.15 else c for c in x) for x in base)
+        texts[3000 + i] = "\n".join("".join("," if rng.random() < 0.15 else c for c in x) for x in base)
+        texts[4000 + i] = "\n".join("".join("#" if c != " " and rng.random() < 0.08 else c for c in x) for x in base)
+        texts[5000 + i] = "\n".join(" ".join(word(rng.randint(20, 50)) for _ in x.split()) for x in base)
+    return [(i, t, "en", "s0") for i, t in texts.items()]
+
+
+def test_one_fault_is_enough_in_a_clean_cell(spark):
+    rows = planted_rows()
+    got = {r["doc_id"]: r for r in quality.judged(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert not any(r["base_failed"] for r in got.values())
+    recall = {kind: sum(not got[i]["kept"] for i in got if i // 1000 == kind) / 20 for kind in range(1, 6)}
+    assert min(recall.values()) == 1, recall
+    assert sum(not r["kept"] for i, r in got.items() if i < 1000) <= 0.005 * 600
+
+
 def test_chi_square_by_known_values():
     assert quality.chi2_cdf(12.592, 6) == pytest.approx(0.95, abs=1e-4)
     assert quality.chi2_tail_point(0.05, 6) == pytest.approx(12.592, abs=1e-3)
