@@ -169,7 +169,7 @@ def test_base_scores_equal_brute_force(spark, small, monkeypatch, head):
     held = {i: i is None or zlib.crc32(str(i).encode()) % 10 == 0 for i, _ in rows}
     c = collections.Counter(t for i, ts in rows if not held[i] for t in ts)
     n, v = sum(c.values()), len(c)
-    got = {r["doc_id"]: r for r in bloom_lm.bloom_scores(docs, shards=5).collect()}
+    got = {r["doc_id"]: r for r in bloom_lm.bloom_scores(docs, segments=5).collect()}
     assert len(got) == len(rows)
     for i, ts in rows:
         r = got[i]
@@ -181,17 +181,52 @@ def test_base_scores_equal_brute_force(spark, small, monkeypatch, head):
 
 
 def test_filter_never_forgets_a_level(spark):
-    text = [" ".join(f"w{k}" for k in range(60) for _ in range(1 + k % 9)) for _ in range(3)]
-    docs = spark.createDataFrame([(i, t) for i, t in enumerate(text, 1)], "doc_id long, text string")
-    counted = bloom_lm.ngram_counts(docs, 3)
-    model = bloom_lm.build(counted, 3)
-    for row in counted.collect():
-        keys, found = np.frombuffer(row["keys"], np.uint64), np.frombuffer(row["counts"], np.int64)
-        assert (model.filter.levels(keys) >= bloom_lm._levels(found)).all()
-    strangers = np.random.default_rng(0).integers(0, 2**63, 5000, dtype=np.uint64)
-    assert (model.filter.levels(strangers) > 0).mean() < 0.05
-    small_filter = bloom_lm.build(counted, 3, filter_bytes=24)
-    assert small_filter.filter.segments.nbytes <= 24 + 3 * 16  # the bound holds, by entering commoner ones only
+    rng = np.random.default_rng(0)
+    keys, counts = np.unique(rng.integers(0, 2**64, 5000, dtype=np.uint64)), None
+    counts = rng.integers(1, 3000, len(keys))
+    parts = [keys[bloom_lm.segment_of(keys, 7) == s] for s in range(7)]
+    model = bloom_lm.LogFrequencyFilter.of([bloom_lm.filled(p, counts[np.searchsorted(keys, p)]) for p in parts])
+    assert (model.levels(keys) >= bloom_lm._levels(counts)).all() and (model.levels(keys) == bloom_lm._levels(counts)).mean() > 0.95
+    strangers = rng.integers(0, 2**64, 5000, dtype=np.uint64)
+    assert (model.levels(strangers) > 0).mean() < 0.05
+    assert (bloom_lm._least(bloom_lm._levels(counts)) <= counts).all() and (counts <= bloom_lm._most(bloom_lm._levels(counts))).all()
+    assert (bloom_lm.unpacked(bloom_lm.packed(keys)) == keys).all() and (bloom_lm.from_planes(bloom_lm.planes(counts), np.int64) == counts).all()
+
+
+@pytest.mark.parametrize("head", [1 << 20, 3])
+def test_scores_equal_a_brute_force_model_and_add_up(spark, monkeypatch, head):
+    """Without false positives (none at this size) a score is that of levels of counts by dictionary; all next words of a
+    context, the unknown one among them, have a probability of 1 at most together."""
+    monkeypatch.setattr(bloom_lm, "BITS_PER_ENTRY", 200)
+    monkeypatch.setattr(bloom_lm.build, "__defaults__", (bloom_lm.FILTER_BYTES, head))
+    texts = ["a b a b c", "a b b d", "e a", "", "c c c c c c c", "b a d a b"]
+    train = spark.createDataFrame([(i, t) for i, t in zip((i for i in range(1, 99) if zlib.crc32(str(i).encode()) % 10), texts * 3)], "doc_id long, text string")
+    runs = [("<", *t.split(), ">") for t in texts * 3]
+    words = collections.Counter(w for r in runs for w in r[1:])
+    pairs = collections.Counter(p for r in runs for p in itertools.pairwise(r))
+    n, v = sum(words.values()), len(words)
+    low, high = (lambda c: 2 ** int(math.log2(c)) if c else 0), (lambda c: 2 ** (int(math.log2(c)) + 1) - 1 if c else 0)
+    level = sorted((int(math.log2(c)) for c in words.values()), reverse=True)
+    cut = next(k for k in range(64) if sum(x >= k for x in level) <= head)
+    known = {w: int(math.log2(c)) >= cut for w, c in words.items()}
+
+    def probability(first, second):
+        count = words[second] if known.get(second, True) else low(words[second])
+        single = (count + 0.1) / (n + 0.1 * (v + 1))
+        context = ">" if first == "<" else first
+        under = words[context] if known.get(context, True) else high(words[context])
+        return 0.6 * min(low(pairs[first, second]) / under, 1) + 0.4 * single if under else single
+
+    for first in ["<", *words, "zz"]:
+        if first != ">":
+            assert sum(probability(first, w) for w in [*words, "zz"]) <= 1 + 1e-9
+    asked = ["a b c", "zz a zz", "", "c c e"]
+    held = [i for i in range(99) if not zlib.crc32(str(i).encode()) % 10][: len(asked)]
+    docs = train.unionByName(spark.createDataFrame(list(zip(held, asked)), train.schema))
+    got = {r["doc_id"]: r["score"] for r in bloom_lm.bloom_scores(docs, segments=3).collect()}
+    for i, t in zip(held, asked):
+        want = sum(math.log10(probability(*p)) for p in itertools.pairwise(("<", *t.split(), ">")))
+        assert got[i] == pytest.approx(want, rel=1e-9), t
 
 
 @pytest.mark.parametrize("head", [1 << 20, 64])
@@ -199,10 +234,11 @@ def test_a_filter_past_the_broadcast_bound_scores_alike(spark, small, monkeypatc
     docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
     docs = docs.unionByName(spark.createDataFrame([(70_001, None), (70_002, " "), (None, "The end")], docs.schema))
     order = lambda df: sorted(df.collect(), key=lambda r: (r["doc_id"] is None, r["doc_id"]))
-    want = order(bloom_lm.bloom_scores(docs, shards=5))
+    monkeypatch.setattr(bloom_lm.build, "__defaults__", (bloom_lm.FILTER_BYTES, head))
+    want = order(bloom_lm.bloom_scores(docs, segments=5))
     monkeypatch.setattr(bloom_lm.build, "__defaults__", (24, head))
     monkeypatch.setattr(bloom_lm, "BLOCK", 5000)
-    got = order(bloom_lm.bloom_scores(docs, shards=5))
+    got = order(bloom_lm.bloom_scores(docs, segments=5))
     assert len(got) == len(want) and [r["doc_id"] for r in got] == [r["doc_id"] for r in want]
     for a, b in zip(got, want, strict=True):
         assert (a["n_tokens"], a["n_known"], a["score"]) == (b["n_tokens"], b["n_known"], pytest.approx(b["score"], rel=1e-12))
@@ -210,8 +246,8 @@ def test_a_filter_past_the_broadcast_bound_scores_alike(spark, small, monkeypatc
 
 
 def test_pairs_seen_once_are_entered(spark):
-    counted = bloom_lm.ngram_counts(spark.createDataFrame([(1, "one two three")], "doc_id long, text string"), 2)
-    model = bloom_lm.build(counted, 2)
+    parts = bloom_lm.learned(spark.createDataFrame([(1, "one two three")], "doc_id long, text string"), 2)
+    model = bloom_lm.build(parts, 2)
     _, hashes, before = bloom_lm.tokens(texts_of(pa.array(["one two three"])))
     assert (model.filter.levels(bloom_lm.pair_hash(before, hashes)) > 0).all()
 
