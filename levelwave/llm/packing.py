@@ -1,9 +1,10 @@
 """Harmonic packing of documents into training sequences, each worker for itself and in one pass without a shuffle.
 
-Lengths fall into reciprocal classes: class i holds pieces of floor(capacity / i) ids and each of its bins takes exactly i
-of them. As documents may be cut, each one is cut into the largest classes that fit, so bins of a class are full but for
-fewer ids than a small bound. What waits in unfilled bins when a worker's rows end is laid end to end, cut at capacity,
-and its rest is cut at powers of two, which need no padding.
+Lengths fall into reciprocal classes: class i holds documents of more than capacity / (i + 1) and at most capacity / i ids,
+whole, and each of its bins takes exactly i of them. As documents may be cut, the gap that a full bin leaves isn't padded:
+it takes the next ids of a document set aside for gaps, the end of one longer than capacity where there is one. So a
+document is whole unless it is longer than capacity or fills gaps. What waits in unfilled bins when a worker's rows end is
+laid end to end, cut at capacity, and its rest is cut at powers of two, which need no padding.
 """
 
 from __future__ import annotations
@@ -24,8 +25,8 @@ from .textkernel import slices
 
 QUERY = "op4_harmonic_packing"
 CAPACITY, END_ID = 4096, 2
-#: Words remembered by a worker at most, with their ids.
-CACHE_ENTRIES = 500_000
+#: Words remembered by a worker at most, with their ids, and characters of one that is remembered.
+CACHE_ENTRIES, CACHE_LETTERS = 500_000, 256
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 #: Letters that lower-casing and composition leave as one letter each, then marks that are no letters.
@@ -94,23 +95,30 @@ class WordCoder:
             else:
                 cache[word] = self._stem(m[1].lower())
         cache.update(zip(odd, self._whole(odd), strict=True))
-        return [b"".join(map(cache.__getitem__, parts)) for parts in parted]
+        out = [b"".join(map(cache.__getitem__, parts)) for parts in parted]
+        for word in (w for w in new if len(w) > CACHE_LETTERS):
+            del cache[word]
+        for stem in [s for s in self.stems if len(s) > CACHE_LETTERS] if any(len(w) > CACHE_LETTERS for w in new) else []:
+            del self.stems[stem]
+        return out
 
 
-def classes(capacity: int) -> list[int]:
-    """Piece lengths, longest first: floor(capacity / i) for each i whose full bin leaves at most 1/256 of it empty."""
-    counts = [i for i in range(1, capacity + 1) if capacity - i * (capacity // i) <= capacity // 256]
-    return sorted({capacity // i for i in counts} | {1}, reverse=True)
+def class_of(length: int, capacity: int = CAPACITY) -> int:
+    """How many documents a bin of this length's class takes: the i for which it lies in (capacity / (i + 1), capacity / i]."""
+    return capacity // length
 
 
 class HarmonicPacker:
-    """Packs what it is given, in order, into sequences numbered from first_id; rows() hands out what is settled."""
+    """Packs what it is given, in order, into sequences numbered from first_id; rows() hands out what is settled.
+
+    Waiting are at most a bin of each class, one set of ids for gaps, and full bins only until the next document comes.
+    """
 
     def __init__(self, capacity: int = CAPACITY, first_id: int = 0):
         self.capacity, self.next_id = capacity, first_id
-        self.sizes = classes(capacity)
-        self.order = np.array(self.sizes[::-1])
-        self.waiting: dict[int, list[tuple]] = {s: [] for s in self.sizes}
+        self.open: dict[int, list[tuple]] = {}
+        self.gaps: list[tuple[list[tuple], int]] = []
+        self.aside: list[tuple] = []
         self.done: list[tuple] = []
 
     def _close(self, pieces: list[tuple]) -> None:
@@ -123,20 +131,42 @@ class HarmonicPacker:
 
     def add(self, doc_id: int | None, ids: bytes) -> None:
         """ids: little-endian 32-bit integers."""
-        total, start = len(ids) // 4, 0
-        while start < total:
-            size = int(self.order[np.searchsorted(self.order, total - start, side="right") - 1])
-            bin_ = self.waiting[size]
-            bin_.append((doc_id, start, ids[4 * start : 4 * (start + size)], total))
-            if len(bin_) == self.capacity // size:
-                self._close(bin_)
-                self.waiting[size] = []
-            start += size
+        total, start, size = len(ids) // 4, 0, 4 * self.capacity
+        while total - start >= self.capacity:
+            self._close([(doc_id, start, ids[4 * start : 4 * start + size], total)])
+            start += self.capacity
+        if start == total:
+            return
+        rest = (doc_id, start, ids[4 * start :], total)
+        if self.gaps or (start and not self.aside):
+            self.aside.append(rest)
+        else:
+            self._place(rest)
+        self._fill()
+
+    def _place(self, piece: tuple) -> None:
+        i = class_of(len(piece[2]) // 4, self.capacity)
+        bin_ = self.open.setdefault(i, [])
+        bin_.append(piece)
+        if len(bin_) == i:
+            del self.open[i]
+            room = self.capacity - sum(len(p[2]) for p in bin_) // 4
+            self.gaps.append((bin_, room)) if room else self._close(bin_)
+
+    def _fill(self) -> None:
+        while self.gaps and self.aside:
+            bin_, room = self.gaps.pop()
+            doc_id, start, ids, total = self.aside.pop()
+            n = min(room, len(ids) // 4)
+            bin_.append((doc_id, start, ids[: 4 * n], total))
+            if 4 * n < len(ids):
+                self.aside.append((doc_id, start + n, ids[4 * n :], total))
+            self.gaps.append((bin_, room - n)) if n < room else self._close(bin_)
 
     def finish(self) -> None:
         """Settles the unfilled bins."""
-        rest = [p for s in self.sizes for p in self.waiting[s]]
-        self.waiting = {s: [] for s in self.sizes}
+        rest = [p for bin_, _ in self.gaps for p in bin_] + self.aside + [p for i in sorted(self.open) for p in self.open[i]]
+        self.open, self.gaps, self.aside = {}, [], []
         left = sum(len(p[2]) // 4 for p in rest)
         room, sequence = 0, []
         for doc_id, start, ids, total in rest:

@@ -125,12 +125,37 @@ def test_pieces_cover_every_id_once(spark, small):
 
 
 def test_classes_are_reciprocal():
-    sizes = packing.classes(4096)
-    assert sizes[:3] == [4096, 2048, 1365] and sizes[-1] == 1
+    assert [packing.class_of(n, 4096) for n in (4096, 2049, 2048, 1366, 1365, 1, 64)] == [1, 1, 2, 2, 3, 4096, 64]
     packer = packing.HarmonicPacker(4096)
     for k in range(40):
-        packer.add(k, b"\1\0\0\0" * 1400)
+        packer.add(k, b"\1\0\0\0" * 1300)
     full = packer.rows()
-    assert {n: sum(r[2] == n for r in full) for n in (1365,)} == {1365: 39}  # three of a kind fill a bin
+    whole = {r[0] for r in full if r[2] == 1300}
+    bins = {}
+    for r in full:
+        bins.setdefault(r[5], []).append(r[2])
+    assert all(b[:3] == [1300] * 3 and sum(b) == 4096 for b in bins.values())  # three of a kind, then what fills the gap
+    assert len(whole) == 36 and len(bins) == 12 and len(full) == 36 + 13
     packer.finish()
-    assert sum(r[2] for r in full + packer.rows()) == 40 * 1400
+    assert sum(r[2] for r in full + packer.rows()) == 40 * 1300
+
+
+def test_packing_of_made_up_lengths():
+    rng = np.random.default_rng(4)
+    for capacity in (16, 4096):
+        for sizes in ([], [1], [capacity], [capacity + 1], rng.integers(1, capacity * 3 // 2, 700).tolist(), rng.geometric(8 / capacity, 700).tolist()):
+            packer, ids = packing.HarmonicPacker(capacity), {k: rng.integers(0, 9, n, dtype=np.uint32).astype("<u4").tobytes() for k, n in enumerate(sizes)}
+            for k, x in ids.items():
+                packer.add(k, x)
+                assert len(packer.gaps) <= 1 and len(packer.aside) <= 1 and len(packer.open) <= 2 * int(capacity**0.5)
+            packer.finish()
+            rows, bins, got = packer.rows(), {}, {}
+            for doc, start, n, crc, total, sequence, offset in rows:
+                assert crc == zlib.crc32(ids[doc][4 * start : 4 * (start + n)]) and total == sizes[doc]
+                got.setdefault(doc, []).append((start, n))
+                assert bins.setdefault(sequence, 0) == offset
+                bins[sequence] += n
+            assert all(n == capacity or n & (n - 1) == 0 for n in bins.values())
+            assert {d: sum(n for _, n in p) for d, p in got.items()} == dict(enumerate(sizes))
+            # A sequence has one piece at most that goes on in the next, beside those of documents over capacity.
+            assert len(rows) <= len(sizes) + 2 * len(bins) + sum(s // capacity for s in sizes)
