@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .shared import checked, documents, importable, stored, without
+from .shared import checked, documents, importable, stored, without_rows
 from .textkernel import STEP, WHITE_TABLE, mix, runs, shingle_sets, slices, texts_of
 
 QUERY = "op2_minhash_near_dedup"
@@ -32,7 +32,7 @@ SIMILARITY = 75  # percent
 #: Pivots that a class is compared with before components are compared.
 PIVOTS = 3
 CIRCLE = 1 << 20
-SKETCH = "doc_id long, n_shingles long, digest binary, bands array<long>"
+SKETCH = "doc_id long, mark long, n_shingles long, digest binary, bands array<long>"
 _U = np.uint64
 
 _circle: dict[tuple[int, int], np.ndarray] = {}
@@ -64,33 +64,33 @@ def band_keys(signatures: np.ndarray, bands: int = BANDS, width: int = WIDTH) ->
 
 
 def sketches(docs: DataFrame, bands: int = BANDS, width: int = WIDTH) -> DataFrame:
-    """doc_id, n_shingles, digest of the whole set (null if empty) and band keys of each text."""
+    """doc_id, mark, n_shingles, digest of the whole set (null if empty) and band keys of each text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches):
-            sets = shingle_sets(runs(texts_of(part.column(1)), WHITE_TABLE), WORDS_IN_SHINGLE)
+            sets = shingle_sets(runs(texts_of(part.column(2)), WHITE_TABLE), WORDS_IN_SHINGLE)
             sizes = [len(s) for s in sets]
             digests = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
             full = [s for s in sets if len(s)]
             keys = band_keys(np.stack([signature(s, bands * width) for s in full]), bands, width).ravel() if full else np.empty(0, np.int64)
             offsets = np.concatenate(([0], np.cumsum(np.array(sizes) > 0) * bands)).astype(np.int32)
             yield pa.RecordBatch.from_arrays(
-                [part.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys))],
-                ["doc_id", "n_shingles", "digest", "bands"])
+                [part.column(0), part.column(1), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys))],
+                ["doc_id", "mark", "n_shingles", "digest", "bands"])
 
     importable(docs.sparkSession)
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, SKETCH)
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("mark"), "text").mapInArrow(run, SKETCH)
 
 
 def full_sets(docs: DataFrame) -> DataFrame:
-    """doc_id and the sorted distinct shingles of each text, as 64-bit integers end to end."""
+    """digest and the sorted distinct shingles of each text, as 64-bit integers end to end."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches):
-            sets = shingle_sets(runs(texts_of(part.column(1)), WHITE_TABLE), WORDS_IN_SHINGLE)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([s.tobytes() for s in sets], pa.binary())], ["doc_id", "shingles"])
+            sets = [s.tobytes() for s in shingle_sets(runs(texts_of(part.column(0)), WHITE_TABLE), WORDS_IN_SHINGLE)]
+            yield pa.RecordBatch.from_arrays([pa.array([hashlib.blake2b(s, digest_size=16).digest() for s in sets], pa.binary()), pa.array(sets, pa.binary())], ["digest", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, shingles binary")
+    return docs.select("text").mapInArrow(run, "digest binary, shingles binary")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, similarity: int = SIMILARITY) -> DataFrame:
@@ -168,19 +168,28 @@ def near_duplicates(docs: DataFrame, similarity: int = SIMILARITY, bands: int =
     """doc_id, n_shingles, component_id and kept of every row of docs.
 
     A text without words (null, empty, white space) has an empty set and is linked with nothing; a text of fewer than five
-    words is one shingle. Repeated rows have equal sets, so they share a component; rows with a null id take no part and
-    have a null component. An empty table gives no rows; other columns aren't read.
+    words is one shingle. Repeated rows have equal sets, so they share a component; an id with several texts has a row and
+    a component for each; rows with a null id take no part and have a null component. An empty table gives no rows; other
+    columns aren't read.
     """
-    spark = docs.sparkSession
-    sketch = stored(sketches(docs, bands, width), "sketches")
+    out = _judged(docs, similarity, bands, width)
+    return out.select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def _judged(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, width: int = WIDTH) -> DataFrame:
+    """near_duplicates() with mark, a hash of the text, which tells rows of one id apart."""
+    # Inside, a set is known by one row that has it, as an id may come with several texts: doc_id means that row from here on.
+    sketch = stored(sketches(docs, bands, width).withColumn("_row", F.monotonically_increasing_id()), "sketches")
     real = sketch.where("digest is not null and doc_id is not null")
-    groups = stored(real.groupBy("digest").agg(F.min("doc_id").alias("rep")), "sets")
-    reps = real.select("doc_id", "bands").join(groups.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
+    groups = stored(real.groupBy("digest").agg(F.min("_row").alias("rep"), F.min("doc_id").alias("least")), "sets")
+    reps = real.select(F.col("_row").alias("doc_id"), "bands").join(groups.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
     entries = stored(reps.select("doc_id", F.explode("bands").alias("key")), "band-entries")
     buckets = entries.groupBy("key").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("last")).where("least < last").select("key")
-    members = stored(entries.join(buckets, "key"), "bucket-members").distinct()  # a repeated row is in its buckets once
+    members = stored(entries.join(buckets, "key"), "bucket-members")
     ids = stored(members.select("doc_id").distinct(), "candidates")
-    sets = stored(full_sets(docs.where("doc_id is not null").join(checked(ids), "doc_id", "left_semi")).dropDuplicates(["doc_id"]), "full-sets")
+    wanted = stored(sketch.select(F.col("_row").alias("doc_id"), F.col("doc_id").alias("id"), "digest").join(checked(ids), "doc_id", "left_semi"), "candidate-sets")
+    texts = docs.join(checked(wanted.select(F.col("id").alias("doc_id")).distinct()), "doc_id", "left_semi")
+    sets = stored(full_sets(texts).dropDuplicates(["digest"]).join(wanted.select("doc_id", "digest"), "digest").select("doc_id", "shingles"), "full-sets")
 
     # A bucket's pivot is its heaviest member, by the sizes of all buckets it is in: the text that others were copied from
     # is in more and larger buckets than they are, so comparing with it leaves few of a group apart.
@@ -195,7 +204,7 @@ def near_duplicates(docs: DataFrame, similarity: int = SIMILARITY, bands: int =
     first = stored(verified(best.select(F.col("doc_id").alias("a"), F.col("pivot").alias("b")), sets, similarity), "star-links")
     near = components(first)
 
-    sizes = real.select("doc_id", "n_shingles").join(checked(ids), "doc_id", "left_semi").distinct()
+    sizes = real.select(F.col("_row").alias("doc_id"), "n_shingles").join(checked(ids), "doc_id", "left_semi")
     placed = members.select("key", "doc_id").join(sizes, "doc_id").join(near.withColumnRenamed("id", "doc_id"), "doc_id", "left")
     placed = stored(placed.select("key", "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component")), "placed")
     split = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
@@ -220,15 +229,18 @@ def near_duplicates(docs: DataFrame, similarity: int = SIMILARITY, bands: int =
     second = stored(verified(stored(pairs.select("a", "b").distinct(), "pairs"), sets, similarity), "cross-links")
     linked = components(first.union(second))
 
-    ofset = groups.join(linked.withColumnRenamed("id", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("found"))
-    out = sketch.select("doc_id", "n_shingles", "digest").join(ofset, "digest", "left")
+    ofset = groups.join(linked.withColumnRenamed("id", "rep"), "rep", "left").select("digest", "least", F.coalesce("component", "rep").alias("component"))
+    least = ofset.groupBy("component").agg(F.min("least").alias("found"))
+    named = stored(ofset.select("digest", "component").join(least, "component").select("digest", "found"), "set-components")
+    out = sketch.select("doc_id", "mark", "n_shingles", "digest").join(named, "digest", "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("found", "doc_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return out.select("doc_id", "mark", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
 def drop_near_copies(docs: DataFrame, similarity: int = SIMILARITY) -> DataFrame:
-    """The rows of docs that stay: of each component the one with the smallest id. Rows with a null id stay."""
-    return without(docs, stored(near_duplicates(docs, similarity).where("not kept").select("doc_id"), "near-copies"))
+    """The rows of docs that stay: of each component those with the smallest id. Rows with a null id stay."""
+    rejected = stored(_judged(docs, similarity).where("not kept").select("doc_id", "mark").distinct(), "near-copies")
+    return without_rows(docs, rejected, F.xxhash64("text"))
 
 
 def op2(spark: SparkSession, sf_dir: str) -> DataFrame:

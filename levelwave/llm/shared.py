@@ -5,6 +5,7 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Callable
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -23,13 +24,38 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+_made: list[list[str]] = []
+
+
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh folder in the place that all executors share (spark.checkpoint.dir), or a local one where that is unset."""
+    """A fresh folder in the place that all executors share, spark.checkpoint.dir. Only a local session may do without that
+    setting: on a cluster a folder of one machine would lose what others write."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = os.path.join(tempfile.gettempdir(), "levelwave-scratch")
         spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/levelwave/{name}-{uuid.uuid4().hex}"
+    path = f"{base.rstrip('/')}/levelwave/{name}-{uuid.uuid4().hex}"
+    for folders in _made[-1:]:
+        folders.append(path)
+    return path
+
+
+def _folder(spark: SparkSession, path: str) -> tuple[object, object]:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()), at
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    files, at = _folder(spark, path)
+    return files.exists(at)
+
+
+def removed(spark: SparkSession, path: str) -> None:
+    """Deletes a folder, if it is there."""
+    files, at = _folder(spark, path)
+    files.delete(at, True)
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -39,6 +65,19 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def settled(spark: SparkSession, make: Callable[[], DataFrame], name: str) -> tuple[DataFrame, str]:
+    """What make() gives, stored, and its folder. All other scratch folders that it made on the way are removed."""
+    path = scratch(spark, name)
+    _made.append([])
+    try:
+        df = make()
+        df.write.parquet(path)
+    finally:
+        for folder in _made.pop():
+            removed(spark, folder)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
 def importable(spark: SparkSession) -> None:
     """Ships this package to the Python workers if they would not find it by themselves."""
     app = spark.sparkContext.applicationId
@@ -67,6 +106,13 @@ def checked(ids: DataFrame, limit: int = BROADCAST_IDS) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= limit else ids
 
 
-def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """docs whose doc_id isn't in ids; rows with a null doc_id stay. ids should be a stored table: it is counted."""
-    return docs.join(checked(ids.select("doc_id")), "doc_id", "left_anti").select(docs.columns)
+def row_mark() -> Column:
+    """Tells rows of one id apart: a hash of the text that judges them, with language and source."""
+    return F.xxhash64("text", "lang", "source")
+
+
+def without_rows(docs: DataFrame, rejected: DataFrame, mark: Column) -> DataFrame:
+    """docs less the rows whose doc_id (maybe null) and mark are in rejected (doc_id, mark), a stored table."""
+    marked = docs.withColumn("_mark", mark)
+    gone = checked(rejected.select(F.col("doc_id").alias("_gone"), F.col("mark").alias("_gone_mark")))
+    return marked.join(gone, marked["doc_id"].eqNullSafe(F.col("_gone")) & (F.col("_mark") == F.col("_gone_mark")), "left_anti").select(docs.columns)

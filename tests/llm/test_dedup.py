@@ -131,6 +131,37 @@ def test_index_grows_by_batches(spark):
     assert index.table().count() == 4
 
 
+def test_index_is_opened_again_and_a_batch_given_again(spark, tmp_path):
+    batch = lambda rows: spark.createDataFrame(rows, "doc_id long, text string")
+    said = lambda index, rows: sorted((r["doc_id"], r["keep_id"], r["kept"]) for r in index.ingest(batch(rows)).collect())
+    path, top = f"file://{tmp_path}/index", 2**63 - 1
+    rows = [(5, "a"), (6, "b"), (7, "b"), (top, "z")]
+    want = [(5, 5, True), (6, 6, True), (7, 6, False), (top, top, True)]
+    assert said(exact.DigestIndex(spark, path, buckets=4), rows) == want
+    for open_index in (lambda: exact.DigestIndex(spark, path), lambda: exact.DigestIndex(spark.newSession(), path, buckets=9)):
+        spark.sql(f"DROP TABLE {open_index().name}")  # as in a session that has never seen it
+        index = open_index()
+        assert index.buckets == 4 and index.table().count() == 3
+        assert said(index, rows) == want  # a batch that is given again
+        assert said(index, [(1, "a"), (8, "b")]) == [(1, 5, False), (8, 6, False)]
+    # A batch whose append broke off: the digests that are there already are its own.
+    index, fresh = exact.DigestIndex(spark, path), [(11, "k"), (12, "l"), (13, "l")]
+    first = said(index, fresh)
+    half = index.table().where("keep_id <> 11").collect()
+    again = exact.DigestIndex(spark, f"{path}-2", buckets=4)
+    again.append(spark.createDataFrame(half, exact.ENTRIES))
+    assert said(again, fresh) == first == [(11, 11, True), (12, 12, True), (13, 12, False)]
+    again.drop()
+    assert not (tmp_path / "index-2").exists() and again.name not in [t.name for t in spark.catalog.listTables()]
+
+
+def test_a_hot_text_is_dealt_over_keys(spark, monkeypatch):
+    monkeypatch.setattr(exact, "HOT_ROWS", 10)
+    docs = [(i, "hot" if i % 3 else f"t{i}") for i in range(1, 400)]
+    got = {r["doc_id"]: (r["keep_id"], r["group_size"], r["kept"], r["text_sha256"]) for r in exact.exact_dedup(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == exact_brute(docs)
+
+
 def test_repeated_rows_leave_one(spark):
     df = spark.createDataFrame([(1, "a", "en"), (1, "a", "en"), (None, "a", "en"), (None, "z", None), (None, "z", None)], "doc_id long, text string, lang string")
     got = exact.exact_dedup(df).collect()
