@@ -6,6 +6,7 @@ import math
 import random
 import re
 import zlib
+from fractions import Fraction
 
 import numpy as np
 import public_tokenizers as P
@@ -90,31 +91,146 @@ def test_one_fault_is_enough_in_a_clean_cell(spark):
     assert sum(not r["kept"] for i, r in got.items() if i < 1000) <= 0.005 * 600
 
 
+def brute_determinant(x, h):
+    """The least log determinant over all subsets of h rows, with the factor and floor of the operator."""
+    best = math.inf
+    for subset in itertools.combinations(range(len(x)), h):
+        cov = np.cov(x[list(subset)].T, bias=True) * quality.consistency(h / len(x)) + np.eye(x.shape[1]) * quality.FLOOR**2
+        best = min(best, np.linalg.slogdet(cov)[1])
+    return best
+
+
+def test_small_cells_reach_the_least_determinant(spark):
+    rng = np.random.default_rng(7)
+    cells, rows = {}, []
+    for k in range(6):
+        x = rng.normal(size=(16, quality.D)) @ (np.eye(quality.D) * 2 + rng.normal(size=(quality.D, quality.D)))
+        x[:4] += rng.normal(size=quality.D) * 25  # a quarter lies elsewhere
+        cells[f"c{k}"] = x
+        rows += [(f"c{k}", *map(float, v)) for v in x]
+    df = spark.createDataFrame(rows, "cell string, " + ", ".join(f"x{i} double" for i in range(quality.D))).repartition(3)
+    got = {r["cell"]: r for r in quality.estimate(df, weighed=None).collect()}
+    for name, x in cells.items():
+        assert got[name]["logdet"] <= brute_determinant(x, 12) + 0.5, name
+        d = x - np.array(got[name]["mean"])
+        far = np.einsum("ni,ij,nj->n", d, np.array(got[name]["inverse"]).reshape(quality.D, -1), d)
+        assert far[:4].min() > far[4:].max(), name
+    near = [abs(got[name]["logdet"] - brute_determinant(x, 12)) < 0.05 for name, x in cells.items()]
+    assert sum(near) >= 4  # it may end beside the least one, never far from it
+
+
+def test_verdicts_equal_a_plain_estimate(spark):
+    """One clean cell: the same steps in numpy over exact distances, to the end, then all rows within the quantile."""
+    rows = planted_rows(clean=200, each=8)
+    got = {r["doc_id"]: r for r in quality.judged(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    x = quality.statistics(texts_of(pa.array([t for _, t, *_ in rows])))["x"]
+    h, near = int(0.75 * len(x)), np.argsort((((x - np.median(x, axis=0)) / (np.std(x, axis=0) + 0.3)) ** 2).sum(axis=1))
+    for _ in range(50):
+        part = x[near[:h]]
+        cov = np.cov(part.T, bias=True) * quality.consistency() + np.eye(quality.D) * quality.FLOOR**2
+        d = x - part.mean(axis=0)
+        near = np.argsort(far := np.einsum("ni,ij,nj->n", d, np.linalg.inv(cov), d))
+    part = x[far <= quality.chi2_tail_point(0.025, quality.D)]
+    d, cov = x - part.mean(axis=0), np.cov(part.T, bias=True) * quality.consistency(0.975) + np.eye(quality.D) * quality.FLOOR**2
+    far = np.einsum("ni,ij,nj->n", d, np.linalg.inv(cov), d)
+    for (i, *_), f in zip(rows, far, strict=True):
+        assert got[i]["distance"] == pytest.approx(f, rel=0.1, abs=0.05), i
+        assert got[i]["kept"] == (f <= quality.chi2_tail_point(quality.TAIL, quality.D)) or abs(f - 22.5) < 2
+
+
+def test_null_names_are_cells_of_their_own(spark):
+    rng = random.Random(3)
+    text = lambda long: " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 9) * long)) for _ in range(120))
+    rows = [(i, text(1), "en", "s") for i in range(100)] + [(1000 + i, text(6), None, "s") for i in range(100)] + [(2000 + i, text(1), f"l{i % 2}", "s") for i in range(60)]
+    rows += [(None, text(6), "en", "s"), (None, text(1), "en", "s"), (7, text(6), "en", "s")]  # a null id, and one id with two texts
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = [(r["doc_id"], r["kept"]) for r in quality.judged(df).collect()]
+    assert all(k for i, k in got if i is not None and i != 7)  # long words are natural among the null ones, short ones in the others
+    assert sorted(k for i, k in got if i is None) == sorted(k for i, k in got if i == 7) == [False, True]
+    left = quality.drop_rejected(df).collect()
+    assert len(left) == len(rows) - 2 and sum(r["doc_id"] is None for r in left) == 1 and sum(r["doc_id"] == 7 for r in left) == 1
+
+
 def test_chi_square_by_known_values():
     assert quality.chi2_cdf(12.592, 6) == pytest.approx(0.95, abs=1e-4)
     assert quality.chi2_tail_point(0.05, 6) == pytest.approx(12.592, abs=1e-3)
     assert quality.consistency(0.999999) == pytest.approx(1, abs=1e-3)
 
 
-def test_forward_sum_equals_all_segmentations():
-    pieces = langid.Pieces(P.path("piece_bpe_32k.model"))
+@pytest.fixture(scope="module")
+def pieces():
+    return langid.Pieces(P.path("piece_bpe_32k.model"))
+
+
+def ways(pieces, word, table):
+    """The sums of all segmentations of a word with its mark, by exact fractions: one for each language."""
+    names = {pieces.library.id_to_piece(i): i for i in range(pieces.size)}
+    known = {p for p in names if p == "▁" or p.removeprefix("▁") and all(map(langid._in_word, p.removeprefix("▁")))}
+    full, sums = "▁" + word, [np.array([Fraction(1)] * table.shape[1])]
+    exact = {}
+    for t in range(1, len(full) + 1):
+        total = np.array([Fraction(0)] * table.shape[1])
+        for n in range(1, min(t, pieces.longest) + 1):
+            part = full[t - n : t]
+            if part in known:
+                total += sums[t - n] * exact.setdefault(part, np.array([Fraction(float(x)) for x in table[names[part]]]))
+            elif n == 1:
+                total += sums[t - 1] * Fraction(langid.UNKNOWN)
+        sums.append(total)
+    return [math.log(x.numerator) - math.log(x.denominator) for x in sums[-1]]
+
+
+def test_forward_sum_equals_all_segmentations(pieces):
     rng = np.random.default_rng(2)
-    table = rng.dirichlet(np.ones(pieces.size), 2).T
-    words = ["the", "an", "vous", "straße", "q", "zzzz", "漢字"]
+    table = rng.dirichlet(np.full(pieces.size, 0.3), 3).T
+    words = ["the", "an", "vous", "straße", "q", "zzzz", "漢字", "", "Ж漢q"]
+    letters = list("aeinrstlo") * 4 + list("ßé漢Ж")
+    words += ["".join(rng.choice(letters, n)) for n in (30, 31, 32, 33, 47, 60, 63, 64, 65, 95, 128, 200)]
+    words += ["donaudampfschifffahrtsgesellschaftskapitaen", "the" * 21, "a" * 130]
     got = pieces.log_probabilities(words, table)
-    names = {pieces.library.id_to_piece(i): i for i in range(pieces.size)}
     for k, word in enumerate(words):
-        full, total = "▁" + word, np.zeros(2)
+        assert got[k] == pytest.approx(ways(pieces, word, table), rel=1e-9), word
+    # All cuts written out, for a short word: the same sum as by the recursion above.
+    names = {pieces.library.id_to_piece(i): i for i in range(pieces.size)}
+    total, full = np.zeros(3), "▁vous"
+    for cuts in itertools.product([0, 1], repeat=len(full) - 1):
+        ends = [0, *(i + 1 for i, c in enumerate(cuts) if c), len(full)]
+        parts = [full[a:b] for a, b in itertools.pairwise(ends)]
+        if all(p in names for p in parts):
+            total += np.prod([table[names[p]] for p in parts], axis=0)
+    assert np.exp(got[2]) == pytest.approx(total, rel=1e-9)
+    long = "".join(rng.choice(letters, 20_000))
+    once = pieces.log_probabilities([long, "a"], table)
+    assert np.isfinite(once).all() and once[1] == pytest.approx(ways(pieces, "a", table))
+    # However the spans fall and however many are held together, the sum is the same.
+    try:
+        langid.SPAN, langid.HELD = 37, 1
+        assert pieces.log_probabilities([long[:900], "a"], table)[0] == pytest.approx(ways(pieces, long[:900], table), rel=1e-9)
+    finally:
+        langid.SPAN, langid.HELD = 64, 32 << 20
+
+
+def test_expected_counts_equal_all_segmentations(pieces):
+    rng = np.random.default_rng(5)
+    table = rng.dirichlet(np.full(pieces.size, 0.3))
+    names = {pieces.library.id_to_piece(i): i for i in range(pieces.size)}
+    words, times = ["vous", "the", "an"], [3, 1, 7]
+    want = np.zeros(pieces.size)
+    for word, n in zip(words, times):
+        full, ways_, sums = "▁" + word, [], []
         for cuts in itertools.product([0, 1], repeat=len(full) - 1):
-            parts, part = [], full[0]
-            for c, cut in zip(full[1:], cuts, strict=True):
-                parts, part = ([*parts, part], c) if cut else (parts, part + c)
-            parts.append(part)
+            ends = [0, *(i + 1 for i, c in enumerate(cuts) if c), len(full)]
+            parts = [full[a:b] for a, b in itertools.pairwise(ends)]
             if all(p in names for p in parts):
-                total += np.prod([table[names[p]] for p in parts], axis=0)
-        if (total > 1e-9).all():
-            assert np.exp(got[k]) == pytest.approx(total, rel=1e-6), word
-    assert np.isfinite(pieces.log_probabilities(["x" * 500, "a"], table)).all()
+                ways_.append([names[p] for p in parts])
+                sums.append(math.prod(table[names[p]] for p in parts))
+        for way, x in zip(ways_, sums):
+            np.add.at(want, way, n * x / sum(sums))
+    assert pieces.expected(words, np.array(times), table) == pytest.approx(want, rel=1e-6, abs=1e-9)
+
+
+def test_marks_belong_to_words():
+    assert langid.letters_of("हिन्दी,") == "हिन्दी" and langid.letters_of("12́") == "" and langid.letters_of("It's") == "its"
 
 
 def test_languages_of_held_out_rows(spark):
