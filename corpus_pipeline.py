@@ -1,7 +1,8 @@
 """The corpus pipeline: five stages over the documents table, each written as Parquet and read again as the next one's docs.
 
-Null texts count as empty: they aren't toxic, fail the quality rules and go there. Rows with a null id are judged by the
-row-wise stages and the digests but take no part in near duplicates. Repeated rows are exact copies, so one of them stays.
+Null texts count as empty: they aren't toxic, fail the quality rules and go there. Rows with a null id are judged by all
+stages but near duplicates, in which they take no part. Repeated rows are exact copies, so one of them stays; rows that share
+an id only are judged each by its own text.
 An empty table gives an empty result. Columns beside those of documents are dropped at the start.
 """
 
@@ -10,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from levelwave.llm import exact, minhash, packing, quality, toxicity
-from levelwave.llm.shared import DOCUMENT_COLUMNS, documents, stored
+from levelwave.llm.shared import DOCUMENT_COLUMNS, documents, removed, settled
 
 
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,10 +51,14 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages, one after another; what each keeps is in shared scratch space before the next one reads it."""
-    docs = documents(spark, sf_dir)
+    """All stages, one after another; what each keeps is in shared scratch space before the next one reads it, and is removed
+    when that one is done."""
+    docs, before = documents(spark, sf_dir), None
     for name, stage in STAGES:
-        docs = stored(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        docs, path = settled(spark, lambda stage=stage, docs=docs: stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        if before:
+            removed(spark, before)
+        before = path
     return docs
 
 
