@@ -2,59 +2,65 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .graphs import Graph
-from .loop import Traversal, run_levels
-from .rows import owner_sum, placed_arcs
-from .session import aligned, kept
+from .layout import RowLayout, places_for
+from .loop import Placement, Traversal, run_levels
+from .rows import placed_arcs
+from .session import kept
 
 #: Visited vertices that the replicated variant may send everywhere.
 REPLICATED_MOST = 2_000_000
 
 
-def bfs_reference(graph: Graph, source: int, p: int = 4, replicated: bool = False, trace: bool = False, **limits: object) -> Traversal:
+def bfs_reference(graph: Graph, source: int, p: int | None = None, replicated: bool = False, trace: bool = False, **limits: object) -> Traversal:
     """Every (target, source) pair is shipped, with no combining at the sender; only owners test what was visited.
 
     replicated sends the visited set to all places, which drop known targets before shipping; refused beyond a size.
     """
-    arcs = placed_arcs(graph, p)
+    layout = RowLayout(p) if p else RowLayout().sized(graph.arcs.count())
+    place = Placement(layout.p, layout.owner)
+    arcs = placed_arcs(graph.arcs, layout)
     seen: list[DataFrame] = []
 
-    def step(frontier: DataFrame) -> tuple[DataFrame, dict[str, int]]:
-        pairs = arcs.join(frontier.select(F.col("vertex").alias("src")).hint("shuffle_hash"), "src").select(F.col("dst").alias("vertex"), F.col("src").alias("parent"))
+    def step(frontier: DataFrame) -> tuple[DataFrame, dict[str, object]]:
+        near = frontier.select("owner", F.col("vertex").alias("src")).hint("shuffle_hash")
+        pairs = arcs.join(near, ["owner", "src"]).select(F.col("dst").alias("vertex"), F.col("src").alias("parent"))
         if replicated:
             seen.append(frontier.select("vertex"))
-            visited = seen[0]
-            for more in seen[1:]:
-                visited = visited.unionAll(more)
+            visited = reduce(DataFrame.unionAll, seen)
             if visited.count() > REPLICATED_MOST:
                 raise ValueError("the visited set is too large to be replicated")
             pairs = pairs.join(F.broadcast(visited), "vertex", "left_anti")
         counts = {"scanned": pairs.count()} if trace else {}
         counts |= {"shipped": counts["scanned"]} if trace else {}
-        return owner_sum(pairs.repartition(p, "vertex")), counts
+        return place.combined(place.put(pairs)), counts
 
-    return run_levels(graph.spark, source, step, p, graph.directed, **limits)
+    return run_levels(graph.spark, source, step, place, graph.directed, **limits)
 
 
-def bfs_messages(graph: Graph, source: int, p: int = 4, most_levels: int = 1000) -> DataFrame:
+def bfs_messages(graph: Graph, source: int | list[int], p: int | None = None) -> DataFrame:
     """A general vertex program: each superstep sends a message along every arc of an active vertex, through arcs that are
-    not placed beforehand, and rewrites the state of all vertices."""
-    spark = graph.spark
-    ends = graph.arcs.select(F.col("src").alias("vertex")).union(graph.arcs.select(F.col("dst").alias("vertex"))).union(spark.createDataFrame([(source,)], "vertex long")).distinct()
-    state = kept(ends.select("vertex", F.when(F.col("vertex") == source, 0).cast("int").alias("dist"), F.when(F.col("vertex") == source, F.col("vertex")).alias("parent")))
-    arcs = kept(graph.arcs.select("src", "dst").repartition(p))
-    for level in range(1, most_levels + 1):
-        active = state.where(F.col("dist") == level - 1).select(F.col("vertex").alias("src"))
-        messages = arcs.join(active, "src").select(F.col("dst").alias("vertex"), F.col("src").alias("sender")).groupBy("vertex").agg(F.max("sender").alias("sender"))
+    not placed beforehand, and rewrites the state of all vertices. It ends when no vertex is active, however deep that is."""
+    spark, p, sources = graph.spark, p or places_for(graph.arcs.count()), source if isinstance(source, list) else [source]
+    first = spark.createDataFrame([(s, s) for s in sources], "source long, vertex long")
+    ends = graph.arcs.select(F.col("src").alias("vertex")).union(graph.arcs.select(F.col("dst").alias("vertex"))).distinct()
+    ends = ends.select(F.explode(F.array(*[F.lit(s).cast("long") for s in sources])).alias("source"), "vertex").union(first).distinct()
+    own, key = F.col("vertex") == F.col("source"), ["source", "vertex"]
+    state = kept(ends.select(*key, F.when(own, 0).cast("int").alias("dist"), F.when(own, F.col("vertex")).alias("parent")))
+    arcs, level = kept(graph.arcs.select("src", "dst").repartition(p)), 0
+    while not state.where(F.col("dist") == level).isEmpty():
+        active, level = state.where(F.col("dist") == level).select("source", F.col("vertex").alias("src")), level + 1
+        messages = arcs.join(active, "src").select("source", F.col("dst").alias("vertex"), F.col("src").alias("sender")).groupBy(*key).agg(F.max("sender").alias("sender"))
         fresh = F.col("dist").isNull() & F.col("sender").isNotNull()
-        state = kept(state.join(messages, "vertex", "full_outer").select(
-            "vertex", F.when(fresh, F.lit(level)).otherwise(F.col("dist")).cast("int").alias("dist"), F.when(fresh, F.col("sender")).otherwise(F.col("parent")).alias("parent")))
-        if state.where(F.col("dist") == level).isEmpty():
-            break
-    return state.where("dist is not null")
+        state = kept(state.join(messages, key, "full_outer").select(
+            *key, F.when(fresh, F.lit(level)).otherwise(F.col("dist")).cast("int").alias("dist"), F.when(fresh, F.col("sender")).otherwise(F.col("parent")).alias("parent")))
+    out = state.where("dist is not null")
+    return out if isinstance(source, list) else out.drop("source")
 
 
 def bfs_recursive_sql(spark: SparkSession, arcs_view: str, source: int, level_bound: int) -> DataFrame:

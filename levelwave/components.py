@@ -38,4 +38,6 @@ def largest_component(graph: Graph) -> DataFrame:
 
 def sample_sources(graph: Graph, k: int = 16, seed: int = 0) -> list[int]:
     """k vertices of the largest component, by hash order: the same at any partitioning."""
-    return [r[0] for r in largest_component(graph).orderBy(F.xxhash64("vertex", F.lit(seed)), "vertex").limit(k).collect()]
+    from .rmat import shuffled
+
+    return [r[0] for r in largest_component(graph).orderBy(shuffled(F.col("vertex"), seed), "vertex").limit(k).collect()]

@@ -117,16 +117,7 @@ def long_lines(spark: SparkSession, sf_dir: str, least: int) -> DataFrame:
     return lines.where(F.length("line") >= least).select("doc_id", F.md5("line").alias("line")).distinct()
 
 
-def copies(spark: SparkSession, sf_dir: str, least: int = 40, most: int = 50) -> Graph:
-    """Documents that share a line of at least so many characters which 2 to most documents have."""
-    lines = long_lines(spark, sf_dir, least)
-    common = lines.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n").between(2, most)).select("line")
-    shared = lines.join(common, "line")
-    other = shared.select("line", F.col("doc_id").alias("other"))  # at most most rows a line
-    return _undirected(shared.join(other, "line").where("doc_id < other").select(tag("doc_id", "document").alias("src"), tag("other", "document").alias("dst")))
-
-
-def copies_all(spark: SparkSession, sf_dir: str, least: int = 40) -> Graph:
+def copies(spark: SparkSession, sf_dir: str, least: int = 40) -> Graph:
     """Documents that have a line of at least so many characters, however many do, and the first of them: a star a line."""
     lines = long_lines(spark, sf_dir, least)
     hubs = lines.groupBy("line").agg(F.min("doc_id").alias("hub"), F.count("*").alias("n")).where("n > 1").select("line", "hub")
@@ -149,4 +140,4 @@ def nearvec_all(spark: SparkSession, sf_dir: str, k: int = 8) -> Graph:
     return _undirected(pairs.select(tag("vec_id", "vector").alias("src"), tag("other", "vector").alias("dst")))
 
 
-GRAPHS: dict[str, Callable[..., Graph]] = {f.__name__: f for f in (supply, purchase, basket, sourcing, hierarchy, weblinks, trail, dialog, copies, copies_all, nearvec, nearvec_all)}
+GRAPHS: dict[str, Callable[..., Graph]] = {f.__name__: f for f in (supply, purchase, basket, sourcing, hierarchy, weblinks, trail, dialog, copies, nearvec, nearvec_all)}

@@ -1,113 +1,164 @@
 """Grid-partitioned ("2D") traversal: a level is a product of the cells of the adjacency matrix with the sparse frontier.
 
-The frontier is sent to every cell of its vertices' grid column (transpose and expand in one exchange), each cell keeps the
-greatest column of each row it reaches, and rows go to their owner, combined before they leave (fold).
+The frontier is sent from its owners to every cell of its vertices' grid column (transpose and expand in one exchange), each
+cell keeps the greatest column of each row it reaches, and rows go to their owner, combined before they leave (fold).
+Owners are cells too: all of them, those of the diagonal, or the first of each row, as the layout's vector says.
 """
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .graphs import Graph
-from .kernels import dcsc_table, spmsv_cell
-from .layout import GridLayout
-from .loop import Traversal, run_levels
-from .rows import BROADCAST_FRONTIER, owner_sum
+from .kernels import by_source, csr_cell_table, dcsc_table, gather_dense, lists_of, merge, spmsv_cell
+from .layout import GridLayout, block_bounds
+from .loop import Placement, Traversal, run_levels, seeds_of
+from .rows import BROADCAST_FRONTIER
 from .session import aligned, kept
 
-DCSC = "cell int, piece int, jc array<long>, cp array<long>, ir array<long>"
+DCSC = "cell int, piece int, jc array<long>, cp array<long>, ir array<long>, rows array<long>"
+CSR = "cell int, base long, cp array<long>, ir array<long>, rows array<long>"
+FOUND = "source long, vertex long, parent long"
+#: How a frontier meets its cell: as it comes, by hash, or as a sorted sparse vector, by merging.
+FORMS = {"stack": "shuffle_hash", "sorted": "merge"}
 
 
 def transpose_vector(frontier: DataFrame, layout: GridLayout) -> DataFrame:
     """Row-owned entries with the grid column that needs them next."""
-    return frontier.select(F.col("vertex").alias("col"), layout.column(F.col("vertex")).alias("j"))
+    keys = [c for c in frontier.columns if c == "source"]
+    return frontier.select(*keys, F.col("vertex").alias("col"), layout.column(F.col("vertex")).alias("j"))
 
 
-def expand(frontier: DataFrame, layout: GridLayout, mode: str = "replicate", only_nonempty: DataFrame | None = None) -> DataFrame:
-    """(cell, col): each entry at all cells of its grid column, or with only_nonempty at those where the column has arcs.
+def expand(frontier: DataFrame, layout: GridLayout, filled: DataFrame | None = None) -> DataFrame:
+    """(cell, col): each entry at all cells of its grid column, or with filled at those where the column has arcs.
 
-    broadcast sends a frontier of checked size to all places instead.
+    filled (owner, vertex, cells) lies with the frontier's owners, so what no cell needs isn't sent.
     """
+    if filled is not None:
+        keys = [c for c in frontier.columns if c == "source"]
+        return frontier.join(filled.hint("shuffle_hash"), ["owner", "vertex"]).select(F.explode("cells").alias("cell"), *keys, F.col("vertex").alias("col"))
     moved = transpose_vector(frontier, layout)
-    if mode == "broadcast" and frontier.count() <= BROADCAST_FRONTIER:
-        moved = F.broadcast(moved)
     cells = F.transform(F.sequence(F.lit(0), F.lit(layout.p_r - 1)), lambda i: i * layout.p_c + F.col("j"))
-    out = moved.select(F.explode(cells).alias("cell"), "col")
-    return out if only_nonempty is None else out.join(only_nonempty, ["cell", "col"], "left_semi")
+    return moved.select(F.explode(cells).alias("cell"), *moved.columns[:-1])
 
 
 def multiply(cells: DataFrame, expanded: DataFrame) -> DataFrame:
-    """(vertex, parent) of every arc from an expanded column, where the arc lies."""
-    return cells.join(expanded.hint("shuffle_hash"), ["cell", "col"]).select(F.col("row").alias("vertex"), F.col("col").alias("parent"))
+    """(cell, vertex, parent) of every arc from an expanded column, where the arc lies."""
+    keys = [c for c in expanded.columns if c == "source"]
+    return cells.join(expanded, ["cell", "col"]).select("cell", *keys, F.col("row").alias("vertex"), F.col("col").alias("parent"))
 
 
 def fold(pairs: DataFrame) -> DataFrame:
-    """The greatest parent of each row, combined in the cell before it leaves."""
-    return owner_sum(pairs)
+    """The greatest parent of each row, wherever it is wanted."""
+    return pairs.groupBy("vertex").agg(F.max("parent").alias("parent"))
 
 
 def placed_cells(graph: Graph, layout: GridLayout) -> DataFrame:
+    """(cell, row, col), each cell a partition of its own, sorted by column."""
     with aligned(graph.spark, layout.p):
-        return kept(layout.place(graph.arcs).repartition(layout.p, "cell"))
+        return kept(layout.place(graph.arcs).repartitionById(layout.p, "cell").sortWithinPartitions("cell", "col"))
+
+
+def filled_columns(graph: Graph, layout: GridLayout) -> DataFrame:
+    """(owner, vertex, cells): which cells of its grid column a vertex has arcs in, at most p_r, with the vertex's owner."""
+    found = layout.place(graph.arcs).groupBy(F.col("col").alias("vertex")).agg(F.collect_set("cell").alias("cells"))
+    with aligned(graph.spark, layout.p):
+        return kept(found.select(layout.owner(F.col("vertex")).alias("owner"), "vertex", "cells").repartitionById(layout.p, "owner"))
 
 
 def pack_dcsc(arcs: DataFrame, layout: GridLayout, threads: int = 1) -> DataFrame:
     """Cells in DCSC form, cut by rows in as many pieces as threads; piece sizes follow the grid, not the graph's hubs."""
-    size = F.pmod(F.xxhash64("row", F.lit(29)), F.lit(threads)) if layout.n is None else F.least(F.floor((F.col("row") - F.lit(0)) / F.lit(max(layout.n // threads, 1))), F.lit(threads - 1))
-    return layout.place(arcs).withColumn("piece", size.cast("int")).groupBy("cell", "piece").applyInArrow(lambda t: dcsc_table(t), DCSC)
+    piece = F.pmod(F.xxhash64("row", F.lit(29)), F.lit(threads)) if layout.n is None else F.least(F.floor(F.col("row") / F.lit(max(layout.n // threads, 1))), F.lit(threads - 1))
+    return layout.place(arcs).withColumn("piece", piece.cast("int")).groupBy("cell", "piece").applyInArrow(lambda t: dcsc_table(t), DCSC)
 
 
-def bfs_grid(graph: Graph, source: int, layout: GridLayout = GridLayout(), threads: int = 1, kernel: str = "auto", mode: str = "replicate", only_nonempty: bool = False, trace: bool = False, **limits: object) -> Traversal:
-    """threads > 1: cells in DCSC pieces of disjoint rows, multiplied by a pool of threads (the hybrid form)."""
-    spark, p = graph.spark, layout.p
-    if threads > 1:
-        places = max(p // threads, 1)
-        with aligned(spark, places):
-            packed = kept(pack_dcsc(graph.arcs, layout, threads).repartition(places, "cell"))
+def pack_csr_cells(arcs: DataFrame, layout: GridLayout) -> DataFrame:
+    """Cells with a pointer for every column of their block, empty or not: what the doubly compressed form does without."""
+    if layout.n is None:
+        raise ValueError("pointers for all columns need a layout by range")
+    bounds, columns = block_bounds(layout.n, layout.p_c), layout.p_c
+    return layout.place(arcs).groupBy("cell").applyInArrow(lambda t: csr_cell_table(t, bounds, columns), CSR)
 
-        def multiply_cell(left: pa.Table, right: pa.Table) -> pa.Table:
-            vertex, parent = spmsv_cell(left.to_pylist(), right.column("col").to_numpy(), kernel, threads)
-            return pa.table({"vertex": pa.array(vertex, pa.int64()), "parent": pa.array(parent, pa.int64())})
 
-        def step(frontier: DataFrame) -> tuple[DataFrame, dict[str, int]]:
-            pairs = packed.groupBy("cell").cogroup(expand(frontier, layout).groupBy("cell")).applyInArrow(lambda a, b: multiply_cell(a, b), "vertex long, parent long")
-            return fold(pairs), {}
+def _table(source: np.ndarray, vertex: np.ndarray, parent: np.ndarray) -> pa.Table:
+    return pa.table({"source": pa.array(source, pa.int64()), "vertex": pa.array(vertex, pa.int64()), "parent": pa.array(parent, pa.int64())})
 
-        return run_levels(spark, source, step, places, graph.directed, **limits)
 
-    cells = placed_cells(graph, layout)
-    filled = None
-    if only_nonempty:
+def _multiplier(kernel: str, threads: int, places: int):  # noqa: ANN202
+    """A cell in pieces (left) times its part of the frontier (right)."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        parts = list(lists_of(left, "jc", "cp", "ir", "rows"))
+        return _table(*by_source(right, "col", lambda frontier: spmsv_cell(parts, frontier, kernel, threads, places)))
+
+    return run
+
+
+def bfs_grid(graph: Graph, source: int | list[int], layout: GridLayout = GridLayout(), threads: int = 1, kernel: str = "auto", mode: str = "replicate", only_nonempty: bool = False, frontier_form: str = "stack",
+             trace: bool = False, **limits: object) -> Traversal:
+    """threads > 1: cells in DCSC pieces of disjoint rows, multiplied by a pool of threads (the hybrid form).
+
+    source: a vertex, or several whose searches share the supersteps (flat form; levels then have a column source). kernel:
+    heap, spa, or auto (by places and size). mode broadcast sends a frontier of checked size to all places. only_nonempty
+    sends entries only to cells that have arcs for them. frontier_form: stack, or sorted.
+    """
+    layout, spark = layout if layout.p_r else layout.sized(graph.arcs.count()), graph.spark
+    p, seeds, keys = layout.p, *((seeds_of(graph.spark, source), ("source",)) if isinstance(source, list) else (source, ()))
+    place = Placement(p, layout.owner, keys)
+    filled = filled_columns(graph, layout) if only_nonempty else None
+    if threads > 1:
         with aligned(spark, p):
-            filled = kept(cells.select("cell", "col").distinct())
+            packed = kept(pack_dcsc(graph.arcs, layout, threads).repartitionById(p, "cell"))
+        run = _multiplier(kernel, threads, p)
+
+        def hybrid(frontier: DataFrame) -> tuple[DataFrame, dict[str, object]]:
+            sent = expand(frontier, layout, filled).repartitionById(p, "cell")
+            pairs = packed.groupBy("cell").cogroup(sent.groupBy("cell")).applyInArrow(lambda a, b: run(a, b), FOUND)
+            return place.combined(place.put(pairs)), {}
+
+        return run_levels(spark, seeds, hybrid, place, graph.directed, **limits)
 
-    def step(frontier: DataFrame) -> tuple[DataFrame, dict[str, int]]:
-        sent = expand(frontier, layout, mode, filled)
+    cells = placed_cells(graph, layout)
+
+    def step(frontier: DataFrame) -> tuple[DataFrame, dict[str, object]]:
+        if mode == "broadcast" and frontier.count() <= BROADCAST_FRONTIER:
+            sent = F.broadcast(expand(frontier, layout, filled))
+        else:
+            sent = expand(frontier, layout, filled).repartitionById(p, "cell").hint(FORMS[frontier_form])
         pairs = multiply(cells, sent)
         counts = {}
         if trace:
-            each = cells.join(sent.hint("shuffle_hash"), ["cell", "col"]).groupBy("cell", "row").agg(F.count("*").alias("n"))
-            away = F.count(F.when(F.col("cell") != layout.owner(F.col("row")), 1))
+            each = kept(pairs.groupBy("cell", *keys, "vertex").agg(F.count("*").alias("n"), F.max("parent").alias("parent")))
+            away = F.count(F.when(F.col("cell") != layout.owner(F.col("vertex")), 1))
             got = each.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), away).first()
-            counts = {"scanned": got[0], "candidates": got[1], "folded": got[2], "expanded": sent.count()}
-        return fold(pairs), counts
+            at_owners = place.put(each).groupBy(F.spark_partition_id().alias("place")).count().collect()  # a row a place
+            counts = {"scanned": got[0], "candidates": got[1], "folded": got[2], "expanded": expand(frontier, layout, filled).count(), "loads": [tuple(r) for r in at_owners]}
+        return place.merged(pairs, "cell"), counts
 
-    return run_levels(spark, source, step, p, graph.directed, **limits)
+    return run_levels(spark, seeds, step, place, graph.directed, **limits)
 
 
-def spmsv(arcs: DataFrame, frontier: DataFrame, layout: GridLayout, kernel: str = "auto", threads: int = 1) -> DataFrame:
+def spmsv(arcs: DataFrame, frontier: DataFrame, layout: GridLayout, kernel: str = "auto", threads: int = 1, storage: str = "dcsc") -> DataFrame:
     """One product over the (select, max) semiring: (vertex, parent) of all rows that the frontier (vertex) reaches.
 
-    kernel sql leaves it to a hash aggregate, which spills; heap, spa and auto run on packed cells.
+    kernel sql leaves it to a hash aggregate, which spills; heap, spa and auto run on packed cells: dcsc, or csr with a
+    pointer for every column (layouts by range).
     """
+    sent = expand(frontier, layout)
     if kernel == "sql":
-        return fold(multiply(layout.place(arcs), expand(frontier, layout)))
-    packed = pack_dcsc(arcs, layout, threads)
+        return fold(multiply(layout.place(arcs), sent))
+    packed, run, places = pack_dcsc(arcs, layout, threads), _multiplier(kernel, threads, layout.p), layout.p
+    if storage == "csr":
+        packed = pack_csr_cells(arcs, layout)
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        vertex, parent = spmsv_cell(left.to_pylist(), right.column("col").to_numpy(), kernel, threads)
-        return pa.table({"vertex": pa.array(vertex, pa.int64()), "parent": pa.array(parent, pa.int64())})
+        def run(left: pa.Table, right: pa.Table) -> pa.Table:
+            def times(frontier: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+                found = [(rows, *merge(*gather_dense(base, cp, ir, np.unique(frontier)), kernel, len(rows), places)) for base, (cp, ir, rows) in zip(left.column("base").to_pylist(), lists_of(left, "cp", "ir", "rows"), strict=True)]
+                return tuple(np.concatenate([np.empty(0, np.int64), *x]) for x in ([rows[at] for rows, at, _ in found], [best for _, _, best in found]))
+
+            return _table(*by_source(right, "col", times))
 
-    return fold(packed.groupBy("cell").cogroup(expand(frontier, layout).groupBy("cell")).applyInArrow(lambda a, b: run(a, b), "vertex long, parent long"))
+    return fold(packed.groupBy("cell").cogroup(sent.groupBy("cell")).applyInArrow(lambda a, b: run(a, b), FOUND))

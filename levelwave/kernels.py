@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterable
+from collections.abc import Callable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 from threading import Lock
@@ -13,6 +13,8 @@ import pyarrow as pa
 
 #: Places (cores) up to which the sparse accumulator is the faster kernel, and its bytes a row: value, flag.
 SWITCH_AT, SPA_BYTES = 10_000, 9
+#: Bytes that an accumulator may take in a task.
+SPA_MEMORY = 512 << 20
 
 
 def _compress(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -23,22 +25,46 @@ def _compress(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndar
     return distinct, np.append(first, len(keys)).astype(np.int64), values
 
 
-def _single(values: dict[str, object], lists: list[str]) -> pa.Table:
-    return pa.table({k: pa.array([v.tolist()], pa.list_(pa.int64())) if k in lists else pa.array([v]) for k, v in values.items()})
+def _packed(table: pa.Table, numbers: dict[str, pa.DataType], **lists: np.ndarray) -> pa.Table:
+    """One row: the table's first value of each named column, then the lists."""
+    out = {k: pa.array([table.column(k)[0].as_py()], t) for k, t in numbers.items()}
+    for name, values in lists.items():
+        out[name] = pa.ListArray.from_arrays(pa.array([0, len(values)], pa.int32()), pa.array(values, pa.int64()))
+    return pa.table(out)
+
+
+def lists_of(table: pa.Table, *names: str) -> Iterator[tuple[np.ndarray, ...]]:
+    """The named list columns of each row, as arrays on Arrow's own memory."""
+    columns = [table.column(n) for n in names]
+    for k in range(table.num_rows):
+        yield tuple(c[k].values.to_numpy() for c in columns)
 
 
 def csr_table(table: pa.Table) -> pa.Table:
-    """One row (block, piece, base, vertices, offsets, targets) from the arcs of a block's piece."""
+    """One row (block, piece, slot, vertices, offsets, targets) from the arcs of a block's piece."""
     vertices, offsets, targets = _compress(table.column("src").to_numpy(), table.column("dst").to_numpy())
-    out = _single({"block": table.column("block")[0].as_py(), "piece": table.column("piece")[0].as_py(), "base": int(vertices[0]), "vertices": vertices, "offsets": offsets, "targets": targets}, ["vertices", "offsets", "targets"])
-    return out.cast(pa.schema([("block", pa.int32()), ("piece", pa.int32()), ("base", pa.int64()), *((n, pa.list_(pa.int64())) for n in ("vertices", "offsets", "targets"))]))
+    return _packed(table, {"block": pa.int32(), "piece": pa.int32(), "slot": pa.int32()}, vertices=vertices, offsets=offsets, targets=targets)
 
 
 def dcsc_table(table: pa.Table) -> pa.Table:
-    """One row (cell, piece, jc, cp, ir): non-empty columns, their pointers, and row ids."""
-    jc, cp, ir = _compress(table.column("col").to_numpy(), table.column("row").to_numpy())
-    out = _single({"cell": table.column("cell")[0].as_py(), "piece": table.column("piece")[0].as_py(), "jc": jc, "cp": cp, "ir": ir}, ["jc", "cp", "ir"])
-    return out.cast(pa.schema([("cell", pa.int32()), ("piece", pa.int32()), *((n, pa.list_(pa.int64())) for n in ("jc", "cp", "ir"))]))
+    """One row (cell, piece, jc, cp, ir, rows): non-empty columns, their pointers, row numbers within the piece, and the rows
+    that these numbers stand for, sorted."""
+    rows, number = np.unique(table.column("row").to_numpy(), return_inverse=True)
+    jc, cp, ir = _compress(table.column("col").to_numpy(), number)
+    return _packed(table, {"cell": pa.int32(), "piece": pa.int32()}, jc=jc, cp=cp, ir=ir, rows=rows)
+
+
+def csr_cell_table(table: pa.Table, bounds: list[tuple[int, int]], columns: int) -> pa.Table:
+    """One row (cell, base, cp, ir, rows) with a pointer for every column of the cell's block, empty ones too: what DCSC saves.
+    bounds: first and end column of each grid column."""
+    cell = table.column("cell")[0].as_py()
+    first, end = bounds[cell % columns]
+    rows, number = np.unique(table.column("row").to_numpy(), return_inverse=True)
+    jc, cp, ir = _compress(table.column("col").to_numpy(), number)
+    pointers = np.zeros(end - first + 1, dtype=np.int64)
+    pointers[jc - first + 1] = np.diff(cp)
+    out = _packed(table, {"cell": pa.int32()}, cp=np.cumsum(pointers), ir=ir, rows=rows)
+    return out.add_column(1, "base", pa.array([first], pa.int64()))
 
 
 def gather(keys: np.ndarray, offsets: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -46,19 +72,29 @@ def gather(keys: np.ndarray, offsets: np.ndarray, values: np.ndarray, wanted: np
     if not len(keys) or not len(wanted):
         return np.empty(0, np.int64), np.empty(0, np.int64)
     at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
-    at = at[keys[at] == wanted]
+    return _entries(keys, offsets, values, at[keys[at] == wanted])
+
+
+def gather_dense(base: int, offsets: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same where every column has a pointer: no search, one read a column."""
+    at = wanted[(wanted >= base) & (wanted < base + len(offsets) - 1)] - base
+    source, value = _entries(np.arange(len(offsets) - 1), offsets, values, at)
+    return source + base, value
+
+
+def _entries(keys: np.ndarray, offsets: np.ndarray, values: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     begin, size = offsets[at], offsets[at + 1] - offsets[at]
     total = int(size.sum())
     index = np.arange(total) - np.repeat(np.cumsum(size) - size, size) + np.repeat(begin, size)
     return np.repeat(keys[at], size), values[index]
 
 
-def merge_spa(sources: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Greatest source of each row by a dense accumulator over the rows' range, whose indices are sorted at the end."""
+def merge_spa(sources: np.ndarray, rows: np.ndarray, size: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Greatest source of each row by a dense accumulator over the row numbers below size, whose indices are sorted at the end."""
     if not len(rows):
         return np.empty(0, np.int64), np.empty(0, np.int64)
-    low = int(rows.min())
-    value = np.full(int(rows.max()) - low + 1, -1, dtype=np.int64)
+    low = 0 if size is not None else int(rows.min())
+    value = np.full(size if size is not None else int(rows.max()) - low + 1, -1, dtype=np.int64)
     np.maximum.at(value, rows - low, sources)
     occupied = np.flatnonzero(value >= 0)
     return occupied + low, value[occupied]
@@ -76,25 +112,63 @@ def merge_heap(sources: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.nd
     return np.array(out_row, dtype=np.int64), np.array(out_source, dtype=np.int64)
 
 
-def choose_kernel(places: int, n: int, p_c: int, memory: int = 512 << 20, switch_at: int = SWITCH_AT) -> str:
+def choose_kernel(places: int, n: int, p_c: int, memory: int = SPA_MEMORY, switch_at: int = SWITCH_AT) -> str:
     """Accumulator at low concurrency while its dense vectors fit in memory, else the heap."""
     return "spa" if places < switch_at and SPA_BYTES * n / max(p_c, 1) <= memory else "heap"
 
 
-def merge(sources: np.ndarray, rows: np.ndarray, kernel: str) -> tuple[np.ndarray, np.ndarray]:
-    """kernel: spa, heap, or auto, which takes the accumulator while the rows' range is within 64 times their number."""
+def merge(sources: np.ndarray, rows: np.ndarray, kernel: str, size: int | None = None, places: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """kernel: spa, heap, or auto, which is chosen by the number of places and the accumulator's size."""
     if kernel == "auto":
-        kernel = "spa" if len(rows) and int(rows.max()) - int(rows.min()) <= 64 * len(rows) + 1024 else "heap"
-    return merge_spa(sources, rows) if kernel == "spa" else merge_heap(sources, rows)
+        span = size if size is not None else int(rows.max()) - int(rows.min()) + 1 if len(rows) else 0
+        kernel = choose_kernel(places, span, 1)
+    return merge_spa(sources, rows, size) if kernel == "spa" else merge_heap(sources, rows)
+
+
+class Bag:
+    """A set of blocks as pennants: place k is empty or holds a tree of 2**k blocks. Adding and joining carry like binary
+    numbers, so two bags are joined by as many steps as they have places, whatever they hold."""
+
+    def __init__(self) -> None:
+        self.places: list[object | None] = []
+
+    def _carry(self, tree: object, k: int) -> None:
+        while len(self.places) <= k:
+            self.places.append(None)
+        while self.places[k] is not None:
+            tree, self.places[k], k = (self.places[k], tree), None, k + 1
+            if k == len(self.places):
+                self.places.append(None)
+        self.places[k] = tree
+
+    def add(self, block: np.ndarray) -> None:
+        self._carry(block, 0)
+
+    def join(self, other: Bag) -> None:
+        for k, tree in enumerate(other.places):
+            if tree is not None:
+                self._carry(tree, k)
+
+    def blocks(self) -> Iterator[np.ndarray]:
+        waiting = [t for t in self.places if t is not None]
+        while waiting:
+            tree = waiting.pop()
+            if isinstance(tree, tuple):
+                waiting += tree
+            else:
+                yield tree
 
 
 class Stacks:
-    """Where threads put what they find: a list each (local), one list under a lock (shared), or blocks in a bag."""
+    """Where threads put what they find: a list each (local), one list under a lock (shared), or a bag each, joined at the
+    end (bag)."""
 
     def __init__(self, kind: str, threads: int):
-        self.kind, self.lock = kind, Lock()
+        if kind not in ("local", "shared", "bag"):
+            raise ValueError(f"no frontier store called {kind!r}")
+        self.kind, self.lock, self.block = kind, Lock(), 128
         self.parts: list[list] = [[] for _ in range(threads if kind == "local" else 1)]
-        self.block = 128
+        self.bags = [Bag() for _ in range(threads)]
 
     def push(self, thread: int, values: np.ndarray) -> None:
         if self.kind == "local":
@@ -102,16 +176,18 @@ class Stacks:
         elif self.kind == "shared":
             with self.lock:
                 self.parts[0].extend(values.tolist())
-        elif self.kind == "bag":
-            blocks = [values[k : k + self.block] for k in range(0, len(values), self.block)]
-            with self.lock:
-                self.parts[0].extend(blocks)
         else:
-            raise ValueError(f"no frontier store called {self.kind!r}")
+            for k in range(0, len(values), self.block):
+                self.bags[thread].add(values[k : k + self.block])
 
     def all(self) -> np.ndarray:
         if self.kind == "shared":
             return np.array(self.parts[0], dtype=np.int64)
+        if self.kind == "bag":
+            whole = Bag()
+            for bag in self.bags:
+                whole.join(bag)
+            return np.concatenate([np.empty(0, np.int64), *whole.blocks()])
         return np.concatenate([np.empty(0, np.int64), *(x for part in self.parts for x in part)])
 
 
@@ -127,16 +203,12 @@ class BlockCsr:
     offsets: np.ndarray
     targets: np.ndarray
 
-    @classmethod
-    def of(cls, row: dict) -> BlockCsr:
-        return cls(*(np.array(row[k], dtype=np.int64) for k in ("vertices", "offsets", "targets")))
-
     @classmethod
     def from_arcs(cls, src: np.ndarray, dst: np.ndarray) -> BlockCsr:
         return cls(*_compress(src, dst))
 
-    def neighbours(self, frontier: np.ndarray, threads: int = 1, visit_check: str = "benign") -> tuple[list[int], list[int], list[int]]:
-        """Targets of the frontier's arcs with their greatest source, and the arcs scanned (with the first of each piece).
+    def neighbours(self, frontier: np.ndarray, threads: int = 1, visit_check: str = "benign") -> tuple[np.ndarray, np.ndarray, int]:
+        """Targets of the frontier's arcs with their greatest source, and the number of arcs scanned.
 
         Threads merge their own part of the frontier; a target that several parts reach comes out several times unless
         visit_check is atomic, which merges the parts again.
@@ -145,33 +217,42 @@ class BlockCsr:
 
         def expand(part: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
             source, target = gather(self.vertices, self.offsets, self.targets, part)
-            return *merge(source, target, "auto"), len(target)
+            return *_greatest(source, target), len(target)
 
         with ThreadPoolExecutor(threads) as pool:
             found = list(pool.map(expand, parts))
-        if visit_check == "atomic" and found:
-            source, target = np.concatenate([f[1] for f in found]), np.concatenate([f[0] for f in found])
-            order = np.lexsort((target, source))
-            found = [(*merge_spa(source[order], target[order]), sum(f[2] for f in found))]
-        vertex, parent, pushed = [], [], []
-        for v, s, scanned in found:
-            vertex += v.tolist()
-            parent += s.tolist()
-            pushed += [scanned] + [0] * (len(v) - 1) if len(v) else []
-        return vertex, parent, pushed
-
-
-def spmsv_piece(jc: np.ndarray, cp: np.ndarray, ir: np.ndarray, frontier: np.ndarray, kernel: str) -> tuple[np.ndarray, np.ndarray]:
+        vertex = np.concatenate([np.empty(0, np.int64), *(f[0] for f in found)])
+        parent = np.concatenate([np.empty(0, np.int64), *(f[1] for f in found)])
+        if visit_check == "atomic":
+            vertex, parent = _greatest(parent, vertex)
+        return vertex, parent, sum(f[2] for f in found)
+
+
+def by_source(frontier: pa.Table, column: str, run: Callable[[np.ndarray], tuple[np.ndarray, ...]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(source, vertex, parent) of run() over the frontier's entries of each source; all have source 0 where there is no such
+    column."""
+    names, entries = frontier.column_names, frontier.column(column).to_numpy()
+    source = frontier.column("source").to_numpy() if "source" in names else np.zeros(len(entries), np.int64)
+    found = [(s, *run(entries[source == s])[:2]) for s in np.unique(source).tolist()]
+    return tuple(np.concatenate([np.empty(0, np.int64), *(np.full(len(f[1]), f[0]) if k == 0 else f[k] for f in found)]) for k in range(3))
+
+
+def _greatest(source: np.ndarray, target: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct targets with their greatest source, whatever range the ids span."""
+    distinct, number = np.unique(target, return_inverse=True)
+    at, best = merge_spa(source, number, len(distinct))
+    return distinct[at], best
+
+
+def spmsv_piece(jc: np.ndarray, cp: np.ndarray, ir: np.ndarray, rows: np.ndarray, frontier: np.ndarray, kernel: str, places: int = 1) -> tuple[np.ndarray, np.ndarray]:
     """Rows of one DCSC piece that the frontier's columns reach, sorted, with the greatest column of each."""
-    return merge(*gather(jc, cp, ir, frontier), kernel)
+    at, best = merge(*gather(jc, cp, ir, frontier), kernel, len(rows), places)
+    return rows[at], best
 
 
-def spmsv_cell(rows: Iterable[dict], frontier: np.ndarray, kernel: str = "auto", threads: int = 1) -> tuple[np.ndarray, np.ndarray]:
-    """One cell: its pieces hold disjoint rows, so threads need no merge afterwards."""
+def spmsv_cell(parts: list[tuple[np.ndarray, ...]], frontier: np.ndarray, kernel: str = "auto", threads: int = 1, places: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """One cell: its pieces (jc, cp, ir, rows) hold disjoint rows, so threads need no merge afterwards."""
     frontier = np.unique(frontier)
-    arrays = [tuple(np.array(r[k], dtype=np.int64) for k in ("jc", "cp", "ir")) for r in rows]
     with ThreadPoolExecutor(max(threads, 1)) as pool:
-        found = list(pool.map(lambda a: spmsv_piece(*a, frontier, kernel), arrays))
-    if not found:
-        return np.empty(0, np.int64), np.empty(0, np.int64)
-    return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+        found = list(pool.map(lambda a: spmsv_piece(*a, frontier, kernel, places), parts))
+    return tuple(np.concatenate([np.empty(0, np.int64), *(f[k] for f in found)]) for k in range(2))

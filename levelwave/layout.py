@@ -3,11 +3,18 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+#: Arcs of a place, where no number of places is given: 16 bytes each, so 64 MB; and the fewest places then.
+PLACE_ARCS, LEAST_PLACES = 4_000_000, 4
+
+
+def places_for(arcs: int) -> int:
+    return max(LEAST_PLACES, -(-arcs // PLACE_ARCS))
+
 
 def block(vertex: Column, blocks: int, n: int | None) -> Column:
     """Block of a vertex. With n (ids 0..n-1): equal blocks of floor(n / blocks), the last takes the rest; else by hash."""
@@ -31,11 +38,14 @@ def closest_square(p: int) -> tuple[int, int]:
 
 @dataclass(frozen=True)
 class RowLayout:
-    """p owners of vertices with all their outgoing arcs."""
+    """p owners of vertices with all their outgoing arcs. Without p it follows the number of arcs."""
 
-    p: int = 4
+    p: int | None = None
     n: int | None = None
 
+    def sized(self, arcs: int) -> RowLayout:
+        return self if self.p else replace(self, p=places_for(arcs))
+
     def owner(self, vertex: Column) -> Column:
         return block(vertex, self.p, self.n)
 
@@ -47,13 +57,27 @@ class RowLayout:
 class GridLayout:
     """p_r by p_c cells of the transposed adjacency matrix: a cell holds arcs by blocks of target (row) and source (column).
 
-    vector says who owns a vertex's state: grid (all cells), diagonal, or row_head (the first cell of each row).
+    vector says who owns a vertex's state: grid (all cells), diagonal, or row_head (the first cell of each row). Without
+    sides the grid follows the number of arcs: a square, or with wide one more column than rows.
     """
 
-    p_r: int = 2
-    p_c: int = 2
+    p_r: int | None = None
+    p_c: int | None = None
     n: int | None = None
     vector: str = "grid"
+    wide: bool = False
+
+    def __post_init__(self) -> None:
+        if self.vector not in ("grid", "diagonal", "row_head"):
+            raise ValueError(f"no vector placement called {self.vector!r}")
+        if self.vector == "diagonal" and self.p_r != self.p_c:
+            raise ValueError("a diagonal needs a square grid")
+
+    def sized(self, arcs: int) -> GridLayout:
+        if self.p_r and self.p_c:
+            return self
+        side = math.isqrt(places_for(arcs) - 1) + 1
+        return replace(self, p_r=side, p_c=side + self.wide)
 
     @property
     def p(self) -> int:
@@ -69,16 +93,12 @@ class GridLayout:
         return self.row(dst) * self.p_c + self.column(src)
 
     def owner(self, vertex: Column) -> Column:
-        """The cell that owns a vertex's entry of every vector."""
+        """The cell that owns a vertex's entry of every vector: one of the vertex's grid row."""
         row = self.row(vertex)
         if self.vector == "grid":
             within = F.pmod(F.xxhash64(vertex, F.lit(17)), F.lit(self.p_c)) if self.n is None else F.pmod(vertex, F.lit(self.p_c))
             return (row * self.p_c + within).cast("int")
-        if self.vector == "diagonal":
-            return (row * self.p_c + F.least(row, F.lit(self.p_c - 1))).cast("int")
-        if self.vector == "row_head":
-            return (row * self.p_c).cast("int")
-        raise ValueError(f"no vector placement called {self.vector!r}")
+        return (row * self.p_c + (row if self.vector == "diagonal" else 0)).cast("int")
 
     def place(self, arcs: DataFrame) -> DataFrame:
         return arcs.select(self.cell(F.col("src"), F.col("dst")).alias("cell"), F.col("dst").alias("row"), F.col("src").alias("col"))

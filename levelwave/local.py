@@ -22,16 +22,26 @@ def fits(graph: Graph, most: int = MOST_ARCS) -> bool:
     return graph.arcs.limit(most + 1).count() <= most
 
 
-def bfs_local(graph: Graph, source: int, threads: int = 4, frontier_store: str = "local", visit_check: str = "benign", most_arcs: int = MOST_ARCS, max_level: int | None = None) -> DataFrame:
-    """(vertex, dist, parent); frontier_store local, shared or bag; visit_check benign or atomic."""
+def bfs_local(graph: Graph, source: int | list[int], threads: int = 4, frontier_store: str = "local", visit_check: str = "benign", most_arcs: int = MOST_ARCS, max_level: int | None = None) -> DataFrame:
+    """(vertex, dist, parent), with source before it for several; frontier_store local, shared or bag; visit_check benign or
+    atomic."""
     if not fits(graph, most_arcs):
         raise ValueError(f"more than {most_arcs} arcs: use bfs_rows or bfs_grid")
 
-    def run(table: pa.Table) -> pa.Table:
-        vertex, dist, parent, _ = array_levels(table.column("src").to_numpy(), table.column("dst").to_numpy(), source, threads, frontier_store, visit_check, max_level)
-        return pa.table({"vertex": vertex, "dist": dist.astype("int32"), "parent": parent})
+    sources = source if isinstance(source, list) else [source]
 
-    return _with_source(graph, source).groupBy(F.lit(0).alias("all")).applyInArrow(lambda t: run(t), LEVELS)
+    def run(table: pa.Table) -> pa.Table:
+        src, dst, out = table.column("src").to_numpy(), table.column("dst").to_numpy(), []
+        for s in sources:
+            vertex, dist, parent, _ = array_levels(src, dst, s, threads, frontier_store, visit_check, max_level)
+            out.append(pa.table({"source": pa.array([s] * len(vertex), pa.int64()), "vertex": vertex, "dist": dist.astype("int32"), "parent": parent}))
+        return pa.concat_tables(out)
+
+    arcs = graph.arcs.select("src", "dst")
+    for s in sources:
+        arcs = _with_source(Graph(arcs), s)
+    found = arcs.groupBy(F.lit(0).alias("all")).applyInArrow(lambda t: run(t), f"source long, {LEVELS}")
+    return found if isinstance(source, list) else found.drop("source")
 
 
 def bfs_serial(graph: Graph, source: int, frontier: str = "stacks", most_arcs: int = MOST_ARCS) -> DataFrame:

@@ -12,10 +12,34 @@ from .prep import degrees
 RUNS = "graph string, method string, p int, threads int, source long, edges long, seconds double"
 
 
+class TaskMeter:
+    """What tasks did while the block ran: their seconds, those of writing to shuffles and waiting for them, and megabytes
+    through shuffles. Read from the session's own record of stages, so nothing else may run meanwhile."""
+
+    def __init__(self, spark: SparkSession):
+        self.store, self.jvm = spark._jsc.sc().statusStore(), spark._jvm
+        self.gateway = spark.sparkContext._gateway
+
+    def _totals(self) -> tuple[float, float, float]:
+        none = self.jvm.java.util.ArrayList()
+        stages = self.store.stageList(none, False, False, self.gateway.new_array(self.gateway.jvm.double, 0), none)
+        found = [stages.apply(i) for i in range(stages.size())]
+        run = sum(s.executorRunTime() for s in found) / 1e3
+        comm = sum(s.shuffleWriteTime() / 1e9 + s.shuffleFetchWaitTime() / 1e3 for s in found)
+        return run, comm, sum(s.shuffleReadBytes() + s.shuffleWriteBytes() for s in found) / 1e6
+
+    def __enter__(self) -> TaskMeter:
+        self.before = self._totals()
+        return self
+
+    def __exit__(self, *error: object) -> None:
+        self.run_seconds, self.comm_seconds, self.megabytes = (b - a for a, b in zip(self.before, self._totals(), strict=True))
+
+
 def edges_traversed(graph: Graph, levels: DataFrame) -> DataFrame:
-    """One row: input edges in what was reached; an undirected edge counts once though it is stored twice."""
-    arcs = graph.arcs.join(levels.select(F.col("vertex").alias("src")), "src", "left_semi").agg(F.count("*").alias("arcs"))
-    return arcs.select((F.col("arcs") if graph.directed else F.expr("arcs div 2")).alias("edges"))
+    """One row: input edges in what was reached, over all searches; an undirected edge counts once though it is stored twice."""
+    out = degrees(graph.arcs).join(levels.select("vertex"), "vertex").agg(F.coalesce(F.sum("degree"), F.lit(0)).alias("arcs"))
+    return out.select((F.col("arcs") if graph.directed else F.expr("arcs div 2")).alias("edges"))
 
 
 def teps(edges: float, seconds: float) -> float:
@@ -106,6 +130,28 @@ def storage_table(spark: SparkSession, points: list[tuple[int, int, int, int]])
     return spark.createDataFrame(rows, "n long, m long, p_r int, p_c int, kind string, words long")
 
 
+def storage_measured(graph: Graph, layout: GridLayout) -> DataFrame:
+    """(kind, words) of the index arrays as packed: pointers and row numbers of dcsc and of csr with all pointers, on the cells."""
+    from .grid import pack_csr_cells, pack_dcsc
+
+    size = lambda *names: sum((F.size(n) for n in names[1:]), F.size(names[0])).cast("long")
+    packs = (("dcsc", pack_dcsc(graph.arcs, layout), ("jc", "cp", "ir")), ("csr", pack_csr_cells(graph.arcs, layout), ("cp", "ir")))
+    both = [df.select(F.lit(kind).alias("kind"), size(*names).alias("words")) for kind, df, names in packs]
+    return both[0].unionAll(both[1]).groupBy("kind").agg(F.sum("words").alias("words"))
+
+
+def scaling_table(runs: DataFrame) -> DataFrame:
+    """runs (graph, method, p, mean_seconds) with speedup, over the fewest places of the method, and efficiency at p places."""
+    least = runs.groupBy("graph", "method").agg(F.min_by(F.struct(F.col("p").alias("p0"), F.col("mean_seconds").alias("s0")), "p").alias("first"))
+    out = runs.join(least, ["graph", "method"]).withColumn("speedup", F.col("first.s0") / F.col("mean_seconds"))
+    return out.select("graph", "method", "p", "mean_seconds", "speedup", (F.col("speedup") * F.col("first.p0") / F.col("p")).alias("efficiency"))
+
+
+def kernel_ratio(crossover: DataFrame) -> DataFrame:
+    """(p_c, ratio): heap time over accumulator time of the local merges, from (p_c, heap_seconds, spa_seconds)."""
+    return crossover.select("p_c", (F.col("heap_seconds") / F.col("spa_seconds")).alias("ratio"))
+
+
 def working_set(layout: RowLayout | GridLayout, n: int) -> dict[str, int]:
     """Words over which random reads spread: distances or vectors of a place."""
     if isinstance(layout, RowLayout):

@@ -30,16 +30,11 @@ EDGES = {
         UNION ALL SELECT {tagged('a.event_id', 8)}, {tagged('b.event_id', 8)} FROM f b JOIN f a ON a.user_id = b.user_id // 2 WHERE b.user_id > 0)""",
     "dialog": f"""SELECT {tagged('conv_id * 64 + turn', 12)} AS src, {tagged('conv_id * 64 + next', 12)} AS dst FROM (
         SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS next FROM (SELECT DISTINCT conv_id, turn FROM conversations)) WHERE next IS NOT NULL""",
-    "copies": f"""SELECT {tagged('a.doc_id', 10)} AS src, {tagged('b.doc_id', 10)} AS dst FROM (
-        WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, trim(unnest(string_split(lower(text), chr(10))), ' ') AS line FROM documents) WHERE length(line) >= 40)
-        SELECT doc_id, line FROM l WHERE line IN (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 50)) a
-        JOIN (WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, trim(unnest(string_split(lower(text), chr(10))), ' ') AS line FROM documents) WHERE length(line) >= 40) SELECT * FROM l) b
-        ON a.line = b.line AND a.doc_id < b.doc_id""",
     "nearvec": f"""SELECT {tagged('vec_id', 11)} AS src, {tagged('other', 11)} AS dst FROM (
         SELECT vec_id, other, row_number() OVER (PARTITION BY vec_id ORDER BY c DESC, other) AS k FROM (
           SELECT a.vec_id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c
           FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id)) WHERE k <= 8""",
-    "copies_all": f"""SELECT {tagged('hub', 10)} AS src, {tagged('doc_id', 10)} AS dst FROM (
+    "copies": f"""SELECT {tagged('hub', 10)} AS src, {tagged('doc_id', 10)} AS dst FROM (
         SELECT doc_id, min(doc_id) OVER (PARTITION BY line) AS hub FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, trim(unnest(string_split(lower(text), chr(10))), ' ') AS line FROM documents) WHERE length(line) >= 40))
         WHERE hub < doc_id""",
     "nearvec_all": f"""SELECT {tagged('vec_id', 11)} AS src, {tagged('other', 11)} AS dst FROM (
@@ -83,9 +78,41 @@ def levels(graph: str, source: int | str, **options: object) -> str:
     return f"WITH RECURSIVE {with_levels(graph, source, **options)} SELECT vertex, dist, parent FROM lv"
 
 
+def shuffled(vertex: str, seed: int = 0) -> str:
+    """The hash of an id by the generator's arithmetic."""
+    m = 1 << 31
+    h0 = f"((({vertex}) % {m}) * 739982445 + (({vertex}) // {m}) * 695872825 + 374761393 + {seed} * 1013904223) % {m}"
+    h1 = f"((xor({h0}, ({h0}) // 32768)) * 739982445) % {m}"
+    h2 = f"((xor({h1}, ({h1}) // 4096)) * 695872825) % {m}"
+    return f"xor({h2}, ({h2}) // 32768)"
+
+
+def named(name: str) -> str:
+    """The edges of a graph of the experiments: one of the tables, or rmat:scale or rmat:scale:edge_factor."""
+    if not name.startswith("rmat:"):
+        return EDGES[name]
+    scale, factor = [*map(int, name.split(":")[1:]), 16][:2]
+    return rmat_edges(scale, factor)
+
+
+def component_rows(name: str = "c") -> str:
+    """CTE text (vertex, component) over arcs."""
+    return f"""{name}(vertex, component) USING KEY (vertex) AS (
+        SELECT DISTINCT src AS vertex, src AS component FROM arcs
+        UNION SELECT a.dst, min({name}.component) FROM {name} JOIN arcs a ON a.src = {name}.vertex JOIN recurring.{name} k ON k.vertex = a.dst
+          WHERE {name}.component < k.component GROUP BY a.dst)"""
+
+
+def many(name: str, k: int = 16) -> str:
+    """WITH text: arcs of a graph, its component c, k sources s of the largest one, and lm (source, vertex, dist) of all."""
+    return f"""WITH RECURSIVE {arcs("", False, named(name))}, {component_rows()},
+      top AS (SELECT component FROM c GROUP BY component ORDER BY count(*) DESC, component LIMIT 1),
+      s AS MATERIALIZED (SELECT vertex AS source FROM c JOIN top USING (component) ORDER BY {shuffled("vertex")}, vertex LIMIT {k}),
+      lm(source, vertex, dist) USING KEY (source, vertex) AS (SELECT source, source AS vertex, 0 AS dist FROM s
+        UNION SELECT r.source, a.dst, min(r.dist) + 1 FROM lm r JOIN arcs a ON a.src = r.vertex
+          LEFT JOIN recurring.lm k ON k.source = r.source AND k.vertex = a.dst WHERE k.vertex IS NULL GROUP BY r.source, a.dst)"""
+
+
 def components(graph: str) -> str:
     """Least vertex of each component, by keyed recursion over labels."""
-    return f"""WITH RECURSIVE {arcs(graph)}, c(vertex, component) USING KEY (vertex) AS (
-        SELECT DISTINCT src AS vertex, src AS component FROM arcs
-        UNION SELECT a.dst, min(c.component) FROM c JOIN arcs a ON a.src = c.vertex JOIN recurring.c k ON k.vertex = a.dst
-          WHERE c.component < k.component GROUP BY a.dst)"""
+    return f"WITH RECURSIVE {arcs(graph)}, {component_rows()}"

@@ -13,7 +13,7 @@ def physical(df: DataFrame) -> str:
 
 def exchanges(df: DataFrame) -> int:
     """Shuffles in the plan, broadcasts left out."""
-    return len(re.findall(r"(?<!Broadcast)Exchange (?:hash|range|single|roundrobin)", physical(df), re.IGNORECASE))
+    return len(re.findall(r"(?<!Broadcast)Exchange (?:hash|range|single|roundrobin|shufflepartitionid)", physical(df), re.IGNORECASE))
 
 
 def joins(df: DataFrame) -> list[str]:

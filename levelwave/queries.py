@@ -15,7 +15,8 @@ from .session import importable, kept
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
-SQUARE, WIDE = GridLayout(2, 2), GridLayout(2, 3)
+#: Grids whose size follows the graph.
+SQUARE, WIDE = GridLayout(), GridLayout(wide=True)
 _arcs: dict[tuple, Graph] = {}
 
 
@@ -53,13 +54,14 @@ _levels("rows_flat_sourcing", "sourcing", 2, lambda g, s: rows.bfs_rows(g, s).le
 _levels("rows_merge_join", "supply", 0, lambda g, s: rows.bfs_rows(g, s, strategy="merge").levels)
 _levels("rows_broadcast_frontier", "purchase", 0, lambda g, s: rows.bfs_rows(g, s, strategy="broadcast").levels)
 for _g in ("supply", "basket"):
-    _levels(f"rows_hybrid_{_g}", _g, 0, lambda g, s: rows.bfs_rows(g, s, RowLayout(8), threads=4).levels)
+    _levels(f"rows_hybrid_{_g}", _g, 0, lambda g, s: rows.bfs_rows(g, s, threads=2).levels)
 for _g in ("supply", "purchase"):
     _levels(f"grid_flat_{_g}", _g, 0, lambda g, s: grid.bfs_grid(g, s, SQUARE).levels)
 _levels("grid_flat_rect_basket", "basket", 0, lambda g, s: grid.bfs_grid(g, s, WIDE).levels)
 _levels("grid_hybrid_purchase", "purchase", 0, lambda g, s: grid.bfs_grid(g, s, SQUARE, threads=2).levels)
-_levels("grid_diagonal_vector", "supply", 0, lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 2, vector="diagonal")).levels)
-_levels("grid_rowhead_vector", "supply", 0, lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 2, vector="row_head")).levels)
+_levels("grid_diagonal_vector", "supply", 0, lambda g, s: grid.bfs_grid(g, s, GridLayout(vector="diagonal")).levels)
+_levels("grid_rowhead_vector", "supply", 0, lambda g, s: grid.bfs_grid(g, s, GridLayout(vector="row_head")).levels)
+_levels("grid_sorted_frontier", "supply", 0, lambda g, s: grid.bfs_grid(g, s, SQUARE, frontier_form="sorted").levels)
 _levels("grid_nonempty_expand", "purchase", 0, lambda g, s: grid.bfs_grid(g, s, SQUARE, only_nonempty=True).levels)
 _levels("grid_broadcast_expand", "purchase", 0, lambda g, s: grid.bfs_grid(g, s, SQUARE, mode="broadcast").levels)
 for _store in ("local", "shared", "bag"):
@@ -95,27 +97,24 @@ def _recursive(s: SparkSession, d: str) -> DataFrame:
 
 
 # --- the product of one level ------------------------------------------------------------------------------------------
-_FRONTIER = "SELECT DISTINCT src AS vertex FROM arcs ORDER BY src LIMIT 50"
-_PRODUCT = f"WITH {oracle.arcs('purchase')}, f AS ({_FRONTIER}) SELECT a.dst AS vertex, max(a.src) AS parent FROM arcs a JOIN f ON f.vertex = a.src GROUP BY a.dst"
-
-
-_PRODUCT_ALL = f"WITH {oracle.arcs('purchase')} SELECT dst AS vertex, max(src) AS parent FROM arcs GROUP BY dst"
+_PRODUCT = f"WITH {oracle.arcs('purchase')} SELECT dst AS vertex, max(src) AS parent FROM arcs GROUP BY dst"
+_DENSE = 1 << 17
 
 
-def _product(kernel: str, most: int | None = 50) -> Query:
-    """By a frontier of the least vertices, or of all."""
+def _product(kernel: str, storage: str = "dcsc") -> Query:
+    """By a frontier of all vertices."""
 
     def run(s: SparkSession, d: str) -> DataFrame:
         arcs = graph(s, d, "purchase").arcs
-        frontier = arcs.select(F.col("src").alias("vertex")).distinct()
-        return grid.spmsv(arcs, frontier if most is None else frontier.orderBy("vertex").limit(most), WIDE, kernel, threads=2)
+        layout = GridLayout(2, 3, _DENSE) if storage == "csr" else WIDE.sized(arcs.count())
+        return grid.spmsv(arcs, arcs.select(F.col("src").alias("vertex")).distinct(), layout, kernel, threads=2, storage=storage)
 
     return run
 
 
 for _k in ("heap", "spa", "auto", "sql"):
     query(f"kernel_{_k}", _PRODUCT)(_product(_k))
-    query(f"kernel_{_k}_all", _PRODUCT_ALL)(_product(_k, None))
+query("kernel_csr_cells", _PRODUCT)(_product("auto", "csr"))
 
 
 @query("mask_accumulate", f"WITH RECURSIVE {oracle.with_levels('supply', 0, bound=2)} SELECT dist, count(*) AS vertices, max(vertex) AS greatest FROM lv GROUP BY dist")
@@ -137,15 +136,14 @@ query("simplified_edges", f"WITH e AS ({oracle.EDGES['basket']}) SELECT DISTINCT
     lambda s, d: prep.simplify(s.read.parquet(f"{d}/lineitem.parquet").selectExpr("l_partkey * 16 AS src", "l_orderkey * 16 + 3 AS dst")))
 query("triangle_edges", f"WITH {oracle.arcs('supply')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "supply").arcs))
 query("copies_edges", f"WITH {oracle.arcs('copies')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "copies").arcs))
-query("copies_all_edges", f"WITH {oracle.arcs('copies_all')} SELECT src, dst FROM arcs WHERE src < dst")(lambda s, d: prep.triangle(graph(s, d, "copies_all").arcs))
 query("knn_edges", f"WITH {oracle.arcs('nearvec')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec").arcs)
 query("knn_all_edges", f"WITH {oracle.arcs('nearvec_all')} SELECT src, dst FROM arcs")(lambda s, d: graph(s, d, "nearvec_all").arcs)
 
 
-@query("relabel_bijection", f"WITH {oracle.arcs('basket')}, n AS (SELECT count(DISTINCT src) AS n, count(*) AS m FROM arcs) SELECT mode, n AS vertices, n AS labels, m AS arcs FROM n, (VALUES ('feistel'), ('shuffle'), ('locality'), ('identity')) t(mode)")
+@query("relabel_bijection", f"WITH {oracle.arcs('basket')}, n AS (SELECT count(DISTINCT src) AS n, count(*) AS m FROM arcs) SELECT mode, n AS vertices, n AS labels, m AS arcs FROM n, (VALUES ('feistel'), ('shuffle'), ('locality'), ('rank'), ('identity')) t(mode)")
 def _relabel(s: SparkSession, d: str) -> DataFrame:
     out = None
-    for mode in ("feistel", "shuffle", "locality", "identity"):
+    for mode in ("feistel", "shuffle", "locality", "rank", "identity"):
         arcs, mapping = prep.relabel(graph(s, d, "basket").arcs, mode)
         one = mapping.agg(F.countDistinct("old").alias("vertices"), F.countDistinct("new").alias("labels")).join(F.broadcast(arcs.distinct().agg(F.count("*").alias("arcs"))), F.lit(True))
         one = one.select(F.lit(mode).alias("mode"), "vertices", "labels", "arcs")
@@ -165,13 +163,12 @@ def _relabel_bfs(s: SparkSession, d: str) -> DataFrame:
 
 @query("csr_pack", f"WITH {oracle.arcs('supply')} SELECT src AS vertex, count(*) AS degree, min(dst) AS first, max(dst) AS last FROM arcs GROUP BY src")
 def _csr(s: SparkSession, d: str) -> DataFrame:
-    packed = rows.pack_csr(graph(s, d, "supply").arcs, RowLayout(4), 4)
+    packed, _, _ = rows.pack_csr(graph(s, d, "supply").arcs, RowLayout(4))
     each = packed.select(F.posexplode("vertices").alias("k", "vertex"), "offsets", "targets")
     own = F.slice("targets", F.get("offsets", F.col("k")).cast("int") + 1, (F.get("offsets", F.col("k") + 1) - F.get("offsets", F.col("k"))).cast("int"))
     return each.select("vertex", F.size(own).cast("long").alias("degree"), F.get(own, F.lit(0)).alias("first"), F.element_at(own, -1).alias("last"))
 
 
-_DENSE = 1 << 17
 _CELL = f"least(dst // {_DENSE // 2}, 1) * 3 + least(src // {_DENSE // 3}, 2)"
 
 
@@ -179,7 +176,13 @@ _CELL = f"least(dst // {_DENSE // 2}, 1) * 3 + least(src // {_DENSE // 3}, 2)"
 def _dcsc(s: SparkSession, d: str) -> DataFrame:
     packed = grid.pack_dcsc(graph(s, d, "supply").arcs, GridLayout(2, 3, _DENSE))
     spread = F.aggregate(F.transform("jc", lambda c, k: c * (F.get("cp", k + 1) - F.get("cp", k))), F.lit(0).cast("long"), lambda a, x: a + x)
-    return packed.select("cell", F.size("jc").cast("long").alias("nzc"), F.size("ir").cast("long").alias("nnz"), spread.alias("columns"), F.aggregate("ir", F.lit(0).cast("long"), lambda a, x: a + x).alias("rows"))
+    return packed.select("cell", F.size("jc").cast("long").alias("nzc"), F.size("ir").cast("long").alias("nnz"), spread.alias("columns"), F.aggregate("ir", F.lit(0).cast("long"), lambda a, x: a + F.get("rows", x.cast("int"))).alias("rows"))
+
+
+query("csr_cells_pack", f"WITH {oracle.arcs('supply')}, b(j, columns) AS (VALUES (0, {_DENSE // 3}), (1, {_DENSE // 3}), (2, {_DENSE - 2 * (_DENSE // 3)})) SELECT cell, columns + 1 AS pointers, nnz FROM (SELECT CAST({_CELL} AS INT) AS cell, count(*) AS nnz FROM arcs GROUP BY 1) JOIN b ON j = cell % 3")(
+    lambda s, d: grid.pack_csr_cells(graph(s, d, "supply").arcs, GridLayout(2, 3, _DENSE)).select("cell", F.size("cp").cast("long").alias("pointers"), F.size("ir").cast("long").alias("nnz")))
+query("storage_measured", f"WITH {oracle.arcs('supply')}, k AS (SELECT {_CELL} AS cell, count(DISTINCT src) AS nzc, count(*) AS nnz FROM arcs GROUP BY 1) SELECT 'dcsc' AS kind, sum(2 * nzc + 1 + nnz)::BIGINT AS words FROM k UNION ALL SELECT 'csr', sum(CASE cell % 3 WHEN 2 THEN {_DENSE - 2 * (_DENSE // 3)} ELSE {_DENSE // 3} END + 1 + nnz)::BIGINT FROM k")(
+    lambda s, d: metrics.storage_measured(graph(s, d, "supply"), GridLayout(2, 3, _DENSE)))
 
 
 @query("block_bounds", "SELECT cell, first_row, end_row, first_col, end_col FROM (SELECT CAST(i * 3 + j AS INT) AS cell, i * 3 AS first_row, CASE i WHEN 1 THEN 7 ELSE 3 END AS end_row, j * 2 AS first_col, CASE j WHEN 2 THEN 7 ELSE j * 2 + 2 END AS end_col FROM range(2) a(i), range(3) b(j))")
@@ -234,7 +237,10 @@ query("edge_cut", f"WITH {oracle.arcs('purchase')} SELECT count(*) AS arcs, coun
 query("degree_topk", f"WITH {oracle.arcs('supply')} SELECT src AS vertex, count(*) AS degree FROM arcs GROUP BY src ORDER BY degree DESC, vertex LIMIT 20")(lambda s, d: metrics.degree_topk(graph(s, d, "supply"), 20))
 query("degree_stats", f"WITH {oracle.arcs('supply')}, g AS (SELECT src, count(*) AS degree FROM arcs GROUP BY src) SELECT count(*) AS n, sum(degree)::BIGINT AS arcs, min(degree) AS least, round(avg(degree), 6) AS mean, quantile_cont(degree, 0.5) AS p50, quantile_cont(degree, 0.99) AS p99, max(degree) AS most FROM g")(
     lambda s, d: prep.degree_stats(graph(s, d, "supply").arcs, exact=True))
-query("redundant_rate")(lambda s, d: metrics.redundant_rate(local.redundancy(graph(s, d, "supply"), 0)))
+query("redundant_rate", f"""WITH RECURSIVE {oracle.with_levels('supply', 0)}, f AS (SELECT vertex, dist, (row_number() OVER (PARTITION BY dist ORDER BY vertex) - 1) % 6 AS thread FROM lv),
+    p AS (SELECT count(*) AS pushes FROM (SELECT DISTINCT f.dist, thread, dst FROM f JOIN arcs ON src = f.vertex JOIN lv t ON t.vertex = dst WHERE t.dist = f.dist + 1))
+    SELECT pushes, pushes - (SELECT count(*) - 1 FROM lv) AS redundant, round((pushes - (SELECT count(*) - 1 FROM lv)) / pushes, 6) AS rate FROM p""")(
+    lambda s, d: metrics.redundant_rate(local.redundancy(graph(s, d, "supply"), 0)))
 _POINTS = [(1 << 29, 1 << 33, 16, 16), (1 << 32, 1 << 36, 64, 64), (1 << 33, 1 << 37, 100, 100)]
 _POINTS_SQL = ", ".join(f"({n}::BIGINT, {m}::BIGINT, {a}, {b})" for n, m, a, b in _POINTS)
 query("storage_words", f"SELECT n, m, p_r, p_c, kind, CASE kind WHEN 'csr' THEN n + m WHEN 'csr_grid' THEN n * p_r + m WHEN 'spa' THEN n * p_c ELSE m END AS words FROM (VALUES {_POINTS_SQL}) t(n, m, p_r, p_c), (SELECT unnest(['csr', 'csr_grid', 'dcsc', 'heap', 'spa']) AS kind)")(
@@ -275,10 +281,10 @@ query("common_reach", _TWO % "INTERSECT")(_two(lambda a, b: a.intersect(b)))
 query("reach_difference", _TWO % "EXCEPT")(_two(lambda a, b: a.exceptAll(b)))
 
 
-@query("reach_counts_many", "WITH RECURSIVE " + oracle.with_levels("purchase", 0) + "".join(f", {oracle.with_levels('purchase', 16 * k, name=f's{k}', first=False)}" for k in range(1, 4))
-       + " SELECT 0::BIGINT AS source, dist, count(*) AS vertices FROM lv GROUP BY dist" + "".join(f" UNION ALL SELECT {16 * k}::BIGINT, dist, count(*) FROM s{k} GROUP BY dist" for k in range(1, 4)))
+@query("reach_counts_many", "WITH RECURSIVE " + oracle.with_levels("purchase", 0) + "".join(f", {oracle.with_levels('purchase', 16 * k, name=f's{k}', first=False)}" for k in range(1, 16))
+       + " SELECT 0::BIGINT AS source, dist, count(*) AS vertices FROM lv GROUP BY dist" + "".join(f" UNION ALL SELECT {16 * k}::BIGINT, dist, count(*) FROM s{k} GROUP BY dist" for k in range(1, 16)))
 def _many(s: SparkSession, d: str) -> DataFrame:
-    return traversal_ops.bfs_many(graph(s, d, "purchase"), [0, 16, 32, 48]).groupBy("source", "dist").agg(F.count("*").alias("vertices"))
+    return traversal_ops.bfs_many(graph(s, d, "purchase"), [16 * k for k in range(16)]).groupBy("source", "dist").agg(F.count("*").alias("vertices"))
 
 
 @query("subtree_sizes", f"WITH RECURSIVE {oracle.with_levels('supply', 0)}, up AS (SELECT vertex AS leaf, vertex, parent FROM lv UNION SELECT u.leaf, l.vertex, l.parent FROM up u JOIN lv l ON l.vertex = u.parent) SELECT vertex, count(DISTINCT leaf) AS size FROM up GROUP BY vertex")
@@ -286,6 +292,6 @@ def _sizes(s: SparkSession, d: str) -> DataFrame:
     return traversal_ops.subtree_sizes(rows.bfs_rows(graph(s, d, "supply"), 0).levels)
 
 
-@query("source_sample")
+@query("source_sample", f"{oracle.many('weblinks')} SELECT source FROM s")
 def _sources(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(v,) for v in components.sample_sources(graph(s, d, "weblinks"))], "source long")

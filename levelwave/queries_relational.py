@@ -70,13 +70,3 @@ def _stream(s: SparkSession, d: str) -> DataFrame:
     kept.start(streaming.user_type_arcs(streaming.read_events(s, f"{base}/in", 2)), f"{base}/checkpoint").awaitTermination()
     return kept.levels().where("vertex % 16 = 9").select("vertex", "dist")
 
-
-def _workloads() -> None:
-    """Experiments whose rows are counts; those that time searches are in workloads.WORKLOADS."""
-    from .workloads import REPEATABLE, WORKLOADS
-
-    for name in REPEATABLE:
-        query(f"experiment_{name}")(WORKLOADS[name])
-
-
-_workloads()

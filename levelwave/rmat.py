@@ -21,6 +21,11 @@ def _hash(edge: Column, bit: Column, seed: int) -> Column:
     return h.bitwiseXOR(F.shiftright(h, 15))
 
 
+def shuffled(vertex: Column, seed: int = 0) -> Column:
+    """A hash of an id by the same arithmetic, which any SQL engine can repeat; for orders that look random."""
+    return _hash(vertex % MODULUS, F.shiftright(vertex, 31), seed)
+
+
 def rmat_edges(spark: SparkSession, scale: int, edge_factor: int = 16, weights: tuple[int, int, int, int] = WEIGHTS, seed: int = 0) -> DataFrame:
     """edge_factor * 2**scale raw edges over 2**scale ids, repeats and loops kept: a row each, made where it is used."""
     a, b, c, d = weights

@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .graphs import Graph
-from .layout import RowLayout
+from .grid import bfs_grid
+from .layout import GridLayout, RowLayout
 from .loop import Traversal
-from .rows import bfs_rows, placed_arcs
-from .session import aligned, kept
+from .rows import bfs_rows
+from .session import kept
 
 
 def khop(graph: Graph, source: int, k: int, layout: RowLayout = RowLayout()) -> DataFrame:
@@ -76,30 +77,10 @@ def bipartite_check(graph: Graph, levels: DataFrame) -> DataFrame:
     return graph.arcs.join(a, "src").join(b, "dst").where("x = y").agg(F.count("*").alias("arcs_within"))
 
 
-def bfs_many(graph: Graph, sources: list[int], p: int = 4, max_level: int | None = None) -> DataFrame:
-    """(source, vertex, dist, parent) of several traversals that share every superstep."""
-    spark = graph.spark
-    arcs = placed_arcs(graph, p)
-    with aligned(spark, p):
-        frontier = kept(spark.createDataFrame([(s, s, s) for s in sources], "source long, vertex long, parent long").repartition(p, "vertex"))
-        levels, level = [frontier], 0
-        while max_level is None or level < max_level:
-            level += 1
-            pairs = arcs.join(levels[-1].select("source", F.col("vertex").alias("src")).hint("shuffle_hash"), "src").select("source", F.col("dst").alias("vertex"), F.col("src").alias("parent"))
-            best = pairs.repartition(p, "vertex").groupBy("vertex", "source").agg(F.max("parent").alias("parent"))
-            old = levels[-2:] if not graph.directed else levels
-            seen = old[0].select("vertex", "source")
-            for more in old[1:]:
-                seen = seen.unionAll(more.select("vertex", "source"))
-            new = kept(best.join(seen, ["vertex", "source"], "left_anti").select("source", "vertex", "parent"))
-            if new.isEmpty():
-                break
-            levels.append(new)
-        out = None
-        for k, df in enumerate(levels):
-            part = df.select("source", "vertex", F.lit(k).cast("int").alias("dist"), "parent")
-            out = part if out is None else out.unionAll(part)
-        return out
+def bfs_many(graph: Graph, sources: list[int], layout: RowLayout | GridLayout = RowLayout(), **limits: object) -> DataFrame:
+    """(source, vertex, dist, parent) of several traversals that share every superstep, on rows or a grid."""
+    run = bfs_grid if isinstance(layout, GridLayout) else bfs_rows
+    return run(graph, sources, layout, **limits).levels
 
 
 def visit_counts(graph: Graph, source: int, layout: RowLayout = RowLayout()) -> tuple[Traversal, list[tuple[int, int]]]:

@@ -1,15 +1,16 @@
 """The experiments, on the given tables and generated graphs: each gives a table of runs or counts.
 
-p is a logical number of places. On one machine the counts (volume, balance, levels, redundancy) are the evidence;
-seconds are measured too, and compare methods on equal footing only.
+p is a logical number of places. On one machine the counts (volume, balance, levels, redundancy) are the evidence; seconds
+are measured too, and compare methods on equal footing only. Rates are those of 16 sources of the largest component, whose
+searches share their supersteps; construction is not timed.
 """
 
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
-import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,69 +19,117 @@ from .graphs import Graph
 from .layout import GridLayout, RowLayout, closest_square
 from .session import kept
 
-METHODS: dict[str, Callable[[Graph, int, int, int], DataFrame]] = {
+#: Searches of a rate, threads of a process on the two machines, and places of the scaling runs.
+SEARCHES, FEW_THREADS, MORE_THREADS, PLACES = 16, 4, 6, (1, 4, 9, 16, 36)
+FOUR = ("rows_flat", "rows_hybrid", "grid_flat", "grid_hybrid")
+#: Points of equal edges and falling density: scale and edge factor.
+DENSITIES = ((13, 64), (15, 16), (17, 4))
+METHODS: dict[str, Callable[[Graph, list[int], int, int], DataFrame]] = {
     "rows_flat": lambda g, s, p, t: rows.bfs_rows(g, s, RowLayout(p)).levels,
     "rows_hybrid": lambda g, s, p, t: rows.bfs_rows(g, s, RowLayout(p), threads=t).levels,
     "grid_flat": lambda g, s, p, t: grid.bfs_grid(g, s, GridLayout(*closest_square(p))).levels,
-    "grid_hybrid": lambda g, s, p, t: grid.bfs_grid(g, s, GridLayout(*closest_square(p)), threads=t).levels,
-    "reference": lambda g, s, p, t: baselines.bfs_reference(g, s, p).levels,
+    "grid_hybrid": lambda g, s, p, t: grid.bfs_grid(g, s, GridLayout(*closest_square(max(p // t, 1))), threads=t).levels,
+    "reference": lambda g, s, p, t: _each(g, s, lambda one: baselines.bfs_reference(g, one, p).levels),
     "messages": lambda g, s, p, t: baselines.bfs_messages(g, s, p),
     "local": lambda g, s, p, t: local.bfs_local(g, s, t),
     "local_shared": lambda g, s, p, t: local.bfs_local(g, s, t, "shared"),
     "local_bag": lambda g, s, p, t: local.bfs_local(g, s, t, "bag"),
 }
+RUNS = "graph string, method string, p int, threads int, searches int, reached long, farthest int, edges long, mean_seconds double, teps double"
+_loaded: dict[tuple, Graph] = {}
+
+
+def _each(graph: Graph, sources: list[int], run: Callable[[int], DataFrame]) -> DataFrame:
+    out = None
+    for s in sources:
+        one = run(s).select(F.lit(s).cast("long").alias("source"), "*")
+        out = one if out is None else out.unionAll(one)
+    return out
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> Graph:
-    """A table graph by name, or rmat:scale or rmat:scale:edge_factor."""
-    if name.startswith("rmat:"):
-        made = rmat.rmat(spark, *map(int, name.split(":")[1:]))
-    else:
-        made = graphs.GRAPHS[name](spark, sf_dir)
-    return Graph(kept(made.arcs), made.directed)
+    """A table graph by name, or rmat:scale or rmat:scale:edge_factor; its arcs are checkpointed once a session."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _loaded:
+        made = rmat.rmat(spark, *map(int, name.split(":")[1:])) if name.startswith("rmat:") else graphs.GRAPHS[name](spark, sf_dir)
+        _loaded[key] = Graph(kept(made.arcs), made.directed)
+    return _loaded[key]
+
 
+_sampled: dict[tuple, list[int]] = {}
 
-def top_hub(graph: Graph) -> int:
-    return metrics.degree_topk(graph, 1).first()["vertex"]
 
+def sources(spark: SparkSession, sf_dir: str, name: str, k: int = SEARCHES) -> list[int]:
+    key = (spark.sparkContext.applicationId, sf_dir, name, k)
+    if key not in _sampled:
+        _sampled[key] = components.sample_sources(load(spark, sf_dir, name), k)
+    return _sampled[key]
 
-def teps_runs(spark: SparkSession, sf_dir: str, names: list[str], methods: list[str], places: list[int], threads: int = 2, searches: int = 1) -> DataFrame:
-    """(graph, method, p, threads, source, edges, seconds): construction apart, sources of the largest component."""
+
+def runs(spark: SparkSession, sf_dir: str, names: list[str], methods: tuple[str, ...], places: tuple[int, ...], threads: int = 2, searches: int = SEARCHES) -> DataFrame:
+    """RUNS: for each graph, method and number of places what all searches reached together, and their mean time and rate."""
     out = []
     for name in names:
-        g = load(spark, sf_dir, name)
-        sources = components.sample_sources(g, searches) if searches > 1 else [top_hub(g)]
+        g, found = load(spark, sf_dir, name), sources(spark, sf_dir, name, searches)
         for method in methods:
             for p in places:
-                for source in sources:
-                    began = time.perf_counter()
-                    levels = kept(METHODS[method](g, source, p, threads))
-                    seconds = time.perf_counter() - began
-                    out.append((name, method, p, threads, source, metrics.edges_traversed(g, levels).first()[0], seconds))
-    return spark.createDataFrame(out, metrics.RUNS)
+                began = time.perf_counter()
+                levels = kept(METHODS[method](g, found, p, threads))
+                seconds = (time.perf_counter() - began) / len(found)
+                reached, farthest = levels.agg(F.count("*"), F.max("dist")).first()
+                edges = metrics.edges_traversed(g, levels).first()[0]
+                out.append((name, method, p, threads, len(found), reached, farthest, edges, seconds, metrics.teps(edges / len(found), seconds)))
+    return spark.createDataFrame(out, RUNS)
 
 
-def strong_rows_vs_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return teps_runs(spark, sf_dir, ["rmat:11", "purchase"], ["rows_flat", "rows_hybrid", "grid_flat", "grid_hybrid"], [4, 16])
+def strong_rows_vs_grid(spark: SparkSession, sf_dir: str, places: tuple[int, ...] = PLACES) -> DataFrame:
+    return runs(spark, sf_dir, ["rmat:14", "purchase", "supply"], FOUR, places, FEW_THREADS)
 
 
-def strong_six_threads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return teps_runs(spark, sf_dir, ["rmat:11"], ["rows_flat", "rows_hybrid", "grid_flat", "grid_hybrid"], [12], threads=6)
+def strong_six_threads(spark: SparkSession, sf_dir: str, places: tuple[int, ...] = (12, 36)) -> DataFrame:
+    return runs(spark, sf_dir, ["rmat:14", "purchase"], FOUR, places, MORE_THREADS)
 
 
-def strong_comm(spark: SparkSession, sf_dir: str, name: str = "purchase", places: tuple[int, ...] = (4, 16, 64)) -> DataFrame:
-    """(p, rows_shipped, grid_expanded, grid_folded): words that leave their place in the whole search."""
+def one_search(spark: SparkSession, sf_dir: str, name: str) -> tuple[Graph, DataFrame]:
+    """A graph and the levels from the first of its sources."""
     g = load(spark, sf_dir, name)
-    levels, out = kept(rows.bfs_rows(g, top_hub(g)).levels), []
+    return g, kept(rows.bfs_rows(g, sources(spark, sf_dir, name)[0]).levels)
+
+
+def strong_comm(spark: SparkSession, sf_dir: str, name: str = "purchase", places: tuple[int, ...] = (4, 16, 64)) -> DataFrame:
+    """(p, rows_shipped, grid_expanded, grid_folded): words that leave their place in a whole search, ids dealt in turn."""
+    (g, levels), out = one_search(spark, sf_dir, name), []
+    g, levels, n = dense(g, levels)
     for p in places:
-        shipped = metrics.volume_rows(g, levels, RowLayout(p)).agg(F.sum("shipped")).first()[0]
-        split = metrics.phase_split(metrics.volume_grid(g, levels, GridLayout(*closest_square(p)))).first()
+        shipped = metrics.volume_rows(g, levels, RowLayout(p, n)).agg(F.sum("shipped")).first()[0]
+        split = metrics.phase_split(metrics.volume_grid(g, levels, GridLayout(*closest_square(p), n))).first()
         out.append((p, shipped, split["expanded"], split["folded"]))
     return spark.createDataFrame(out, "p int, rows_shipped long, grid_expanded long, grid_folded long")
 
 
-def comm_share(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(n, m, p, method, share): the model's communication share as places grow."""
+def dense(graph: Graph, levels: DataFrame) -> tuple[Graph, DataFrame, int]:
+    """Both on shuffled dense ids, so that layouts go by range, and the number of ids."""
+    arcs, mapping = prep.relabel(graph.arcs, "shuffle")
+    mapping = kept(mapping)
+    moved = levels.join(mapping.withColumnRenamed("old", "vertex"), "vertex").select(F.col("new").alias("vertex"), "dist")
+    return Graph(kept(arcs), graph.directed), kept(moved), mapping.count()
+
+
+def comm_share(spark: SparkSession, sf_dir: str, name: str = "rmat:12", places: tuple[int, ...] = (4, 16)) -> DataFrame:
+    """(method, p, megabytes, run_seconds, comm_seconds, share) by the tasks' own metrics: what was written to and read from
+    shuffles, and how long tasks wrote and waited for it. Work of the level loop only."""
+    g, out = load(spark, sf_dir, name), []
+    source = sources(spark, sf_dir, name)[0]
+    for p in places:
+        for method in ("rows_flat", "grid_flat", "grid_hybrid"):
+            with metrics.TaskMeter(spark) as meter:
+                kept(METHODS[method](g, [source], p, 2))
+            out.append((method, p, meter.megabytes, meter.run_seconds, meter.comm_seconds, meter.comm_seconds / max(meter.run_seconds, 1e-9)))
+    return spark.createDataFrame(out, "method string, p int, megabytes double, run_seconds double, comm_seconds double, share double")
+
+
+def comm_share_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(n, m, p, method, share): the model's communication share at the published sizes."""
     out = []
     for p in (1024, 4096, 10_000, 20_000, 40_000):
         n, m = 1 << 32, 1 << 36
@@ -89,142 +138,137 @@ def comm_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(out, "n long, m long, p int, method string, share double")
 
 
-def weak(spark: SparkSession, sf_dir: str) -> DataFrame:
+def weak(spark: SparkSession, sf_dir: str, points: tuple[tuple[int, int], ...] = ((10, 1), (12, 4), (14, 16))) -> DataFrame:
     """Edges a place fixed: scale and places grow together."""
     out = None
-    for scale, p in ((9, 1), (11, 4), (13, 16)):
-        runs = teps_runs(spark, sf_dir, [f"rmat:{scale}"], ["rows_flat", "grid_flat"], [p])
-        out = runs if out is None else out.unionAll(runs)
+    for scale, p in points:
+        one = runs(spark, sf_dir, [f"rmat:{scale}"], FOUR, (p,))
+        out = one if out is None else out.unionAll(one)
     return out
 
 
-def density(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return teps_runs(spark, sf_dir, ["rmat:8:64", "rmat:10:16", "rmat:12:4", "sourcing", "supply", "basket"], ["rows_flat", "grid_flat"], [9])
+def density(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = (*(f"rmat:{s}:{f}" for s, f in DENSITIES), "sourcing", "supply", "purchase", "basket"), p: int = 9) -> DataFrame:
+    return runs(spark, sf_dir, list(names), ("rows_flat", "grid_flat"), (p,))
 
 
-def phase_table(spark: SparkSession, sf_dir: str, points: tuple[tuple[int, int], ...] = ((8, 64), (10, 16), (12, 4)), places: tuple[int, ...] = (4, 9, 16)) -> DataFrame:
-    """(scale, edge_factor, p, expanded, folded, expand_share): equal edges, density and places varied."""
+def phase_table(spark: SparkSession, sf_dir: str, points: tuple[tuple[int, int], ...] = DENSITIES, places: tuple[int, ...] = (4, 9, 16)) -> DataFrame:
+    """(scale, edge_factor, p, expanded, folded, expand_share): equal edges, density and places varied; shuffled ids."""
     out = []
     for scale, factor in points:
-        g = load(spark, sf_dir, f"rmat:{scale}:{factor}")
-        levels = kept(rows.bfs_rows(g, top_hub(g)).levels)
+        g, levels, n = dense(*one_search(spark, sf_dir, f"rmat:{scale}:{factor}"))
         for p in places:
-            r = metrics.phase_split(metrics.volume_grid(g, levels, GridLayout(*closest_square(p)))).first()
+            r = metrics.phase_split(metrics.volume_grid(g, levels, GridLayout(*closest_square(p), n))).first()
             out.append((scale, factor, p, r["expanded"], r["folded"], r["expand_share"]))
     return spark.createDataFrame(out, "scale int, edge_factor int, p int, expanded long, folded long, expand_share double")
 
 
 def deep_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(method, levels, reached, seconds) on the deepest graph, which a task holds, and on the web graph."""
-    out = []
-    for name, method in (("trail", "local"), ("weblinks", "local"), ("weblinks", "grid_flat")):
-        g = load(spark, sf_dir, name)
-        source = g.arcs.agg(F.max("src") if name == "trail" else F.min("src")).first()[0]
-        began = time.perf_counter()
-        levels = kept(METHODS[method](g, source, 4, 2))
-        seconds = time.perf_counter() - began
-        r = levels.agg(F.max("dist"), F.count("*")).first()
-        out.append((name, method, r[0], r[1], seconds))
-    return spark.createDataFrame(out, "graph string, method string, levels int, reached long, seconds double")
+    """RUNS of the deepest graph, which a task holds, and of the web graph by all forms."""
+    deep = runs(spark, sf_dir, ["trail"], ("local",), (1,))
+    return deep.unionAll(runs(spark, sf_dir, ["weblinks"], ("local", "grid_flat", "grid_hybrid"), (4,)))
 
 
-def versus_reference(spark: SparkSession, sf_dir: str, name: str = "rmat:11") -> DataFrame:
-    """(p, own_shipped, reference_shipped, ratio): words shipped by level, combined before they leave or not."""
+def versus_reference(spark: SparkSession, sf_dir: str, name: str = "rmat:11", places: tuple[int, ...] = (4, 8, 16)) -> DataFrame:
+    """(p, own_shipped, reference_shipped, ratio): pairs sent to owners, combined before they leave or not."""
     g, out = load(spark, sf_dir, name), []
-    source = top_hub(g)
-    for p in (4, 8, 16):
-        own = rows.bfs_rows(g, source, RowLayout(p), trace=True).trace.agg(F.sum("shipped")).first()[0]
+    source = sources(spark, sf_dir, name)[0]
+    for p in places:
+        own = rows.bfs_rows(g, source, RowLayout(p, 1 << 11), trace=True).trace.agg(F.sum("candidates")).first()[0]
         ref = baselines.bfs_reference(g, source, p, trace=True).trace.agg(F.sum("shipped")).first()[0]
         out.append((p, own, ref, round(ref / own, 6)))
     return spark.createDataFrame(out, "p int, own_shipped long, reference_shipped long, ratio double")
 
 
-def versus_library(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return teps_runs(spark, sf_dir, ["rmat:12"], ["grid_flat", "messages"], [4, 9])
+def versus_library(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("rmat:12", "rmat:14"), places: tuple[int, ...] = (4, 9)) -> DataFrame:
+    return runs(spark, sf_dir, list(names), ("grid_flat", "messages"), places)
 
 
-def single_node(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return teps_runs(spark, sf_dir, ["rmat:12", "supply", "nearvec"], ["local", "local_shared", "local_bag"], [1], threads=4)
+def single_node(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("rmat:14", "supply", "nearvec")) -> DataFrame:
+    return runs(spark, sf_dir, list(names), ("local", "local_shared", "local_bag"), (1,), FEW_THREADS)
 
 
-def kernel_crossover(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(p_c, heap_seconds, spa_seconds, spa_words, heap_words): one product's local merges as the grid gets wider."""
-    arcs = load(spark, sf_dir, "purchase").arcs.toPandas()  # the bounded input of a microbenchmark
-    out = []
-    for p_c in (1, 4, 16):
-        part = arcs[arcs["src"] % p_c == 0]
-        src, dst = part["src"].to_numpy(), part["dst"].to_numpy()
-        csr = kernels.BlockCsr.from_arcs(src, dst)
-        source, target = kernels.gather(csr.vertices, csr.offsets, csr.targets, csr.vertices[: max(len(csr.vertices) // 2, 1)])
-        times = []
-        for merge in (kernels.merge_heap, kernels.merge_spa):
-            began = time.perf_counter()
-            merge(source, target)
-            times.append(time.perf_counter() - began)
-        n = int(np.max(dst)) + 1
-        out.append((p_c, *times, metrics.storage_words("spa", n, len(src), p_c, p_c), len(src)))
-    return spark.createDataFrame(out, "p_c int, heap_seconds double, spa_seconds double, spa_words long, heap_words long")
-
-
-def vector_placement(spark: SparkSession, sf_dir: str, name: str = "rmat:11") -> DataFrame:
-    """(vector, active, most, imbalance) of the rows that owners merge on a 16 by 16 grid."""
-    g, out = load(spark, sf_dir, name), []
-    levels = kept(rows.bfs_rows(g, top_hub(g)).levels)
+def kernel_crossover(spark: SparkSession, sf_dir: str, columns: tuple[int, ...] = (1, 2, 4, 8, 16, 32)) -> DataFrame:
+    """(p_c, cells, entries, spa_words, heap_words, heap_seconds, spa_seconds): the merges of all cells of a grid of one row,
+    by every column, each in a task of its own, as the grid gets wider."""
+    g, n, out = load(spark, sf_dir, "purchase"), 1 << 15, []
+
+    def timed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for r in frame.itertuples():
+                source, row = kernels.gather(r.jc, r.cp, r.ir, r.jc)
+                seconds = []
+                for kernel in ("heap", "spa"):
+                    began = time.perf_counter()
+                    kernels.merge(source, row, kernel, len(r.rows))
+                    seconds.append(time.perf_counter() - began)
+                yield pd.DataFrame([(r.cell, len(row), len(r.rows), *seconds)], columns=["cell", "entries", "rows", "heap", "spa"])
+
+    for p_c in columns:
+        packed = grid.pack_dcsc(g.arcs, GridLayout(1, p_c, n))
+        r = packed.mapInPandas(timed, "cell int, entries long, rows long, heap double, spa double").agg(F.count("*"), F.sum("entries"), F.sum("rows"), F.sum("heap"), F.sum("spa")).first()
+        out.append((p_c, r[0], r[1], r[2], r[1], r[3], r[4]))
+    return spark.createDataFrame(out, "p_c int, cells long, entries long, spa_words long, heap_words long, heap_seconds double, spa_seconds double")
+
+
+def vector_placement(spark: SparkSession, sf_dir: str, name: str = "rmat:14", side: int = 16) -> DataFrame:
+    """(vector, active, rows, most, imbalance): rows that each place of the grid merged, counted in a search, by where the
+    vectors lie."""
+    g, out, n = load(spark, sf_dir, name), [], 1 << int(name.split(":")[1])
     for vector in ("grid", "diagonal", "row_head"):
-        r = metrics.imbalance(metrics.merged_per_owner(g, levels, GridLayout(16, 16, vector=vector)), "owner", 256).first()
-        out.append((vector, r["active"], r["most"], r["imbalance"]))
-    return spark.createDataFrame(out, "vector string, active long, most long, imbalance double")
+        done = grid.bfs_grid(g, sources(spark, sf_dir, name)[0], GridLayout(side, side, n, vector), trace=True)
+        each = done.loads.groupBy("place").agg(F.sum("rows").alias("rows"))
+        r = each.agg(F.count("*").alias("active"), F.sum("rows").alias("rows"), F.max("rows").alias("most")).first()
+        out.append((vector, r["active"], r["rows"], r["most"], round(r["most"] * side * side / r["rows"], 6)))
+    return spark.createDataFrame(out, "vector string, active long, rows long, most long, imbalance double")
 
 
 def redundancy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(graph, pushes, redundant, rate): an upper bound, as every thread checks the state of the level's beginning."""
     out = []
     for name in ("rmat:11", "supply", "purchase", "basket"):
-        g = load(spark, sf_dir, name)
-        r = metrics.redundant_rate(local.redundancy(g, top_hub(g))).first()
+        r = metrics.redundant_rate(local.redundancy(load(spark, sf_dir, name), sources(spark, sf_dir, name)[0])).first()
         out.append((name, r["pushes"], r["redundant"], r["rate"]))
     return spark.createDataFrame(out, "graph string, pushes long, redundant long, rate double")
 
 
-def relabel_balance(spark: SparkSession, sf_dir: str, name: str = "rmat:11") -> DataFrame:
-    """(mode, imbalance, cut_share) of arcs on 16 row blocks by range, under each labelling."""
-    g, out = load(spark, sf_dir, name), []
-    for mode in ("identity", "shuffle", "locality"):
-        arcs, mapping = prep.relabel(g.arcs, mode)
-        arcs = kept(arcs)
-        n = mapping.agg(F.max("new")).first()[0] + 1
-        layout = RowLayout(16, n)
-        cut = metrics.edge_cut(Graph(arcs), layout).first()
-        out.append((mode, metrics.imbalance(layout.place(arcs), "owner", 16).first()["imbalance"], round(cut["cut"] / cut["arcs"], 6)))
-    return spark.createDataFrame(out, "mode string, imbalance double, cut_share double")
-
-
-def nonempty_expand(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(graph, all_sent, nonempty_sent): entries expanded with and without the extra round."""
+def relabel_balance(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("rmat:11", "supply"), blocks: int = 16) -> DataFrame:
+    """(graph, mode, most, imbalance, cut, cut_share) of arcs on row blocks by range, under each labelling."""
     out = []
-    for name in ("rmat:9", "basket"):
+    for name in names:
         g = load(spark, sf_dir, name)
-        sent = [grid.bfs_grid(g, top_hub(g), GridLayout(3, 3), only_nonempty=only, trace=True).trace.agg(F.sum("expanded")).first()[0] for only in (False, True)]
+        for mode in ("rank", "shuffle", "locality"):
+            arcs, mapping = prep.relabel(g.arcs, mode)
+            arcs, layout = kept(arcs), RowLayout(blocks, mapping.count())
+            cut, load_ = metrics.edge_cut(Graph(arcs), layout).first(), metrics.imbalance(layout.place(arcs), "owner", blocks).first()
+            out.append((name, mode, load_["most"], load_["imbalance"], cut["cut"], round(cut["cut"] / cut["arcs"], 6)))
+    return spark.createDataFrame(out, "graph string, mode string, most long, imbalance double, cut long, cut_share double")
+
+
+def nonempty_expand(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("rmat:11", "basket")) -> DataFrame:
+    """(graph, all_sent, nonempty_sent): entries expanded with and without the extra round, ids by range."""
+    out = []
+    for name in names:
+        g, levels, n = dense(*one_search(spark, sf_dir, name))
+        source = levels.where("dist = 0").first()["vertex"]
+        sent = [grid.bfs_grid(g, source, GridLayout(3, 3, n), only_nonempty=only, trace=True).trace.agg(F.sum("expanded")).first()[0] for only in (False, True)]
         out.append((name, *sent))
     return spark.createDataFrame(out, "graph string, all_sent long, nonempty_sent long")
 
 
-def headline(spark: SparkSession, sf_dir: str, searches: int = 4) -> DataFrame:
-    """(graph, method, p, threads, searches, mean_seconds, teps) of the four variants."""
-    return metrics.mean_search_time(teps_runs(spark, sf_dir, ["rmat:12", "basket"], ["rows_flat", "rows_hybrid", "grid_flat", "grid_hybrid"], [4], searches=searches))
+def headline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """RUNS of the four variants on the largest graphs."""
+    return runs(spark, sf_dir, ["rmat:14", "basket"], FOUR, (4,))
 
 
-def model_check(spark: SparkSession, sf_dir: str) -> DataFrame:
+def model_check(spark: SparkSession, sf_dir: str, points: tuple[tuple[int, int], ...] = DENSITIES) -> DataFrame:
     """(scale, edge_factor, p, counted, predicted): expand over fold by counts and by the model; their ranks should agree."""
-    counted = phase_table(spark, sf_dir, places=(4, 16)).collect()
+    counted = phase_table(spark, sf_dir, points, places=(4, 16)).collect()  # six rows
     out = []
     for r in counted:
         cost = cost_model.predict(1 << r["scale"], r["edge_factor"] << r["scale"], r["p"], cost_model.Machine(alpha_net=0.0))
-        out.append((r["scale"], r["edge_factor"], r["p"], round(r["expanded"] / max(r["folded"], 1), 6), cost["expand"] / cost["fold"]))
+        out.append((r["scale"], r["edge_factor"], r["p"], round(r["expanded"] / max(r["folded"], 1), 6), round(cost["expand"] / cost["fold"], 6)))
     return spark.createDataFrame(out, "scale int, edge_factor int, p int, counted double, predicted double")
 
 
-WORKLOADS = {f.__name__: f for f in (strong_rows_vs_grid, strong_comm, strong_six_threads, comm_share, weak, density, phase_table, deep_graph, versus_reference, versus_library, single_node, kernel_crossover,
+WORKLOADS = {f.__name__: f for f in (strong_rows_vs_grid, strong_comm, strong_six_threads, comm_share, comm_share_model, weak, density, phase_table, deep_graph, versus_reference, versus_library, single_node, kernel_crossover,
                                      vector_placement, redundancy, relabel_balance, nonempty_expand, headline, model_check)}
-#: Those whose rows do not depend on the clock and take no more than some searches; the others are run by name.
-REPEATABLE = ["strong_comm", "comm_share", "phase_table", "versus_reference", "vector_placement", "redundancy", "relabel_balance", "nonempty_expand"]

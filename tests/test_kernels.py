@@ -18,6 +18,7 @@ def test_dcsc_of_a_six_by_six_matrix():
     rows, cols = zip(*[(r, c) for r, cs in SIX.items() for c in cs], strict=True)
     table = pa.table({"cell": pa.array([0] * 11, pa.int32()), "piece": pa.array([0] * 11, pa.int32()), "row": rows, "col": cols})
     out = kernels.dcsc_table(table).to_pylist()[0]
+    assert out["rows"] == [0, 1, 2, 3, 4, 5]
     assert out["jc"] == [0, 1, 2, 3, 5]
     assert out["cp"] == [0, 3, 5, 7, 10, 11]
     assert out["ir"] == [0, 1, 3, 1, 4, 3, 5, 0, 2, 3, 2]
@@ -55,12 +56,37 @@ def test_serial_forms_agree(arcs, source):
 
 def test_threads_expand_with_and_without_a_common_check():
     csr = kernels.BlockCsr.from_arcs(np.array([1, 1, 2, 3]), np.array([7, 8, 7, 7]))
-    vertex, parent, pushed = csr.neighbours(np.array([1, 2, 3]), 3)
-    assert sorted(zip(vertex, parent, strict=True)) == [(7, 1), (7, 2), (7, 3), (8, 1)] and sum(pushed) == 4
+    vertex, parent, scanned = csr.neighbours(np.array([1, 2, 3]), 3)
+    assert sorted(zip(vertex, parent, strict=True)) == [(7, 1), (7, 2), (7, 3), (8, 1)] and scanned == 4
     vertex, parent, _ = csr.neighbours(np.array([1, 2, 3]), 3, "atomic")
     assert sorted(zip(vertex, parent, strict=True)) == [(7, 3), (8, 1)]
 
 
+def test_pointers_for_all_columns_give_the_same_product():
+    rng = np.random.default_rng(3)
+    rows, cols = rng.integers(0, 50, 300), rng.integers(20, 40, 300)
+    table = pa.table({"cell": pa.array([1] * 300, pa.int32()), "piece": pa.array([0] * 300, pa.int32()), "row": rows, "col": cols})
+    dense = kernels.csr_cell_table(table, [(0, 20), (20, 45)], 2)
+    assert dense.column("base")[0].as_py() == 20 and len(dense.column("cp")[0]) == 26
+    (cp, ir, names), = kernels.lists_of(dense, "cp", "ir", "rows")
+    wanted = np.array([3, 21, 25, 39, 44, 60])
+    at, best = kernels.merge(*kernels.gather_dense(20, cp, ir, wanted), "spa", len(names))
+    row, parent = kernels.spmsv_cell(list(kernels.lists_of(kernels.dcsc_table(table), "jc", "cp", "ir", "rows")), wanted, "heap")
+    assert (names[at] == row).all() and (best == parent).all() and len(row)
+
+
+def test_bags_carry_like_numbers():
+    one, two = kernels.Bag(), kernels.Bag()
+    for k in range(5):
+        one.add(np.array([k]))
+    for k in range(5, 12):
+        two.add(np.array([k]))
+    assert [t is not None for t in one.places] == [True, False, True] and sum(t is not None for t in two.places) == 3
+    one.join(two)
+    assert [t is not None for t in one.places] == [False, False, True, True]  # 12 blocks
+    assert sorted(int(b[0]) for b in one.blocks()) == list(range(12))
+
+
 def test_floor_rule_and_squares():
     assert block_bounds(7, 3) == [(0, 2), (2, 4), (4, 7)]
     assert block_bounds(2, 4) == [(0, 1), (1, 2), (2, 2), (2, 2)]

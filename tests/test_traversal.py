@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 from levelwave import baselines, components, graphs, grid, local, metrics, plans, prep, rmat, rows, traversal_ops, validate
 from levelwave.graphs import Graph
 from levelwave.layout import GridLayout, RowLayout
+from levelwave.loop import Placement, mask_new
 from levelwave.serial import adjacency, serial_levels
 from levelwave.session import aligned, kept
 
@@ -34,6 +35,13 @@ METHODS = {
     "rows_hybrid": lambda g, s: rows.bfs_rows(g, s, RowLayout(4), threads=2).levels,
     "grid": lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 3)).levels,
     "grid_range": lambda g, s: grid.bfs_grid(g, s, GridLayout(3, 2, 12)).levels,
+    "grid_diagonal": lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 2, vector="diagonal")).levels,
+    "grid_row_head": lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 3, vector="row_head"), frontier_form="sorted").levels,
+    "grid_nonempty": lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 2), only_nonempty=True).levels,
+    "grid_broadcast": lambda g, s: grid.bfs_grid(g, s, GridLayout(), mode="broadcast").levels,
+    "rows_pieces": lambda g, s: rows.bfs_rows(g, s, RowLayout(4), threads=2, chunk=3).levels,
+    "triangle": lambda g, s: rows.bfs_rows(g, s, storage="triangle").levels,
+    "several": lambda g, s: traversal_ops.bfs_many(g, [s, 77], GridLayout(2, 2)).where(F.col("source") == s).drop("source"),
     "grid_hybrid": lambda g, s: grid.bfs_grid(g, s, GridLayout(2, 2), threads=2).levels,
     "local": lambda g, s: local.bfs_local(g, s, 3),
     "messages": lambda g, s: baselines.bfs_messages(g, s),
@@ -72,15 +80,27 @@ def test_derived_graph_and_validation(spark, small):
 
 def test_level_plans_exchange_what_they_must_and_no_more(spark, small):
     g = graphs.supply(spark, small)
-    arcs = rows.placed_arcs(g, 4)
+    layout = RowLayout(4)
+    place, arcs = Placement(4, layout.owner), rows.placed_arcs(g.arcs, layout)
     with aligned(spark, 4):
-        frontier = kept(arcs.select(F.col("src").alias("vertex"), F.col("src").alias("parent")).dropDuplicates(["vertex"]).repartition(4, "vertex"))
-        pairs = arcs.join(frontier.select(F.col("vertex").alias("src")).hint("shuffle_hash"), "src").select(F.col("dst").alias("vertex"), F.col("src").alias("parent"))
-        new = rows.owner_sum(pairs).join(frontier.select("vertex").hint("shuffle_hash"), "vertex", "left_anti")
+        frontier = kept(place.put(arcs.select(F.col("src").alias("vertex"), F.col("src").alias("parent")).dropDuplicates(["vertex"])))
+        pairs = arcs.join(frontier.select("owner", F.col("vertex").alias("src")).hint("shuffle_hash"), ["owner", "src"]).select(F.col("owner").alias("sender"), F.col("dst").alias("vertex"), F.col("src").alias("parent"))
+        new = mask_new(mask_new(place.merged(pairs, "sender"), frontier, place.by), frontier, place.by)
         assert plans.exchanges(new) == 1  # candidates to their owners
-        cells = grid.placed_cells(g, GridLayout(2, 2))
-        new = grid.fold(grid.multiply(cells, grid.expand(frontier, GridLayout(2, 2)))).join(frontier.select("vertex").hint("shuffle_hash"), "vertex", "left_anti")
-        assert plans.exchanges(new) == 2  # expand and fold
+    for vector, form in (("grid", "stack"), ("diagonal", "stack"), ("row_head", "sorted")):
+        layout = GridLayout(3, 3, vector=vector)
+        place, cells = Placement(9, layout.owner), grid.placed_cells(g, layout)
+        with aligned(spark, 9):
+            frontier = kept(place.put(arcs.select(F.col("src").alias("vertex"), F.col("src").alias("parent")).dropDuplicates(["vertex"])))
+            sent = grid.expand(frontier, layout).repartitionById(9, "cell").hint(grid.FORMS[form])
+            new = mask_new(place.merged(grid.multiply(cells, sent), "cell"), frontier, place.by)
+            assert plans.exchanges(new) == 2, vector  # expand and fold
+            assert ("SortMergeJoin" in plans.joins(new)) == (form == "sorted")
+            at = {r["place"] for r in kept(new.unionAll(frontier)).select("owner").distinct().withColumnRenamed("owner", "place").collect()}
+            assert at == {"grid": set(range(9)), "diagonal": {0, 4, 8}, "row_head": {0, 3, 6}}[vector]
+            where = frontier.select("owner", F.spark_partition_id().alias("at")).distinct().collect()
+            assert all(r["owner"] == r["at"] for r in where)  # an owner's state is in its own partition
+            assert [tuple(r) for r in cells.select("cell", F.spark_partition_id()).distinct().orderBy("cell").collect()] == [(k, k) for k in range(9)]
 
 
 def test_scans_read_two_columns(spark, small):
