@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -37,6 +38,45 @@ def grid_side(p: Column) -> Column:
     return F.floor(F.sqrt(p.cast("double"))).cast("int")
 
 
+def feistel_id(bits: int, seed: int = 0, rounds: int = 4) -> Callable[[Column], Column]:
+    """The relabelling of prep.feistel for ids that come through Python, as a scalar function over batches: a keyed bijection
+    of the integers under 2**(2 * bits), by another round function than the SQL form."""
+    mask = np.uint64((1 << bits) - 1)
+
+    @pandas_udf(LongType())
+    def run(ids: pd.Series) -> pd.Series:
+        x = ids.to_numpy(np.uint64)
+        left, right = x >> np.uint64(bits), x & mask
+        for number in range(rounds):
+            mixed = (right + np.uint64(number * 7919 + seed + 1)) * np.uint64(0x9E3779B97F4A7C15)
+            left, right = right, left ^ ((mixed ^ (mixed >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(64 - bits))
+        return pd.Series(((left << np.uint64(bits)) | right).astype(np.int64))
+
+    return run
+
+
+@udtf(returnType=StructType([StructField("tree", LongType()), StructField("step", IntegerType()), StructField("vertex", LongType())]))
+class UnfoldPath:
+    """The way down from a tree's root to a target: TABLE (tree, vertex, parent, target) PARTITION BY tree, all rows of a tree
+    with the same target. No rows if the target isn't in the tree."""
+
+    def __init__(self) -> None:
+        self.parent: dict[int, int] = {}
+        self.tree, self.target = None, None
+
+    def eval(self, row) -> None:  # noqa: ANN001
+        self.tree, self.target = row["tree"], row["target"]
+        self.parent[row["vertex"]] = row["parent"]
+
+    def terminate(self) -> Iterator[tuple]:
+        path, at = [], self.target
+        while at in self.parent and (not path or path[-1] != at):
+            path.append(at)
+            at = self.parent[at]
+        for step, vertex in enumerate(reversed(path)):
+            yield self.tree, step, vertex
+
+
 @pandas_udf(DoubleType())
 def imbalance_of(counts: pd.Series) -> float:
     """Greatest over mean of a group's loads."""
@@ -63,8 +103,10 @@ class BfsSmall:
 
 
 def register(spark: SparkSession) -> None:
-    """SQL names: levelwave_tag, levelwave_owner, levelwave_kind (temporary functions) and bfs_small (a table function)."""
+    """SQL names: levelwave_tag, levelwave_owner, levelwave_kind (temporary functions), bfs_small and unfold_path (table
+    functions)."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION levelwave_tag(key BIGINT, kind INT) RETURNS BIGINT RETURN key * 16 + kind")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION levelwave_kind(vertex BIGINT) RETURNS INT RETURN CAST(vertex % 16 AS INT)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION levelwave_owner(vertex BIGINT, places INT) RETURNS INT RETURN CAST(pmod(xxhash64(vertex), places) AS INT)")
     spark.udtf.register("bfs_small", BfsSmall)
+    spark.udtf.register("unfold_path", UnfoldPath)

@@ -134,8 +134,10 @@ def bfs_grid(graph: Graph, source: int | list[int], layout: GridLayout = GridLay
             each = kept(pairs.groupBy("cell", *keys, "vertex").agg(F.count("*").alias("n"), F.max("parent").alias("parent")))
             away = F.count(F.when(F.col("cell") != layout.owner(F.col("vertex")), 1))
             got = each.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), away).first()
-            at_owners = place.put(each).groupBy(F.spark_partition_id().alias("place")).count().collect()  # a row a place
-            counts = {"scanned": got[0], "candidates": got[1], "folded": got[2], "expanded": expand(frontier, layout, filled).count(), "loads": [tuple(r) for r in at_owners]}
+            arrived = kept(place.put(each))
+            loads = arrived.groupBy(F.spark_partition_id().alias("place")).count().collect()  # a row a place
+            counts = {"scanned": got[0], "candidates": got[1], "folded": got[2], "expanded": expand(frontier, layout, filled).count(), "loads": [tuple(r) for r in loads]}
+            return place.combined(arrived), counts
         return place.merged(pairs, "cell"), counts
 
     return run_levels(spark, seeds, step, place, graph.directed, **limits)

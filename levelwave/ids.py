@@ -20,6 +20,12 @@ def vertex_kind(vertex: Column | str) -> Column:
     return F.pmod(F.col(vertex) if isinstance(vertex, str) else vertex, F.lit(16)).cast("int")
 
 
+def untag(vertex: Column | str) -> Column:
+    """(kind, key) of a tagged id, the kind by its name."""
+    names = F.create_map(*[F.lit(x) for name, k in KINDS.items() for x in (k, name)])
+    return F.struct(F.element_at(names, vertex_kind(vertex)).alias("kind"), vertex_key(vertex).alias("key"))
+
+
 def hashed_key(text: Column) -> Column:
     """A 56-bit key of a string, from its MD5."""
     return F.conv(F.substring(F.md5(text), 1, 14), 16, 10).cast("long")

@@ -14,26 +14,27 @@ RUNS = "graph string, method string, p int, threads int, source long, edges long
 
 class TaskMeter:
     """What tasks did while the block ran: their seconds, those of writing to shuffles and waiting for them, and megabytes
-    through shuffles. Read from the session's own record of stages, so nothing else may run meanwhile."""
+    through shuffles. Read from the session's own record of its last stages (1000 by default), so nothing else may run
+    meanwhile."""
 
     def __init__(self, spark: SparkSession):
         self.store, self.jvm = spark._jsc.sc().statusStore(), spark._jvm
         self.gateway = spark.sparkContext._gateway
 
-    def _totals(self) -> tuple[float, float, float]:
+    def _stages(self) -> list:
         none = self.jvm.java.util.ArrayList()
         stages = self.store.stageList(none, False, False, self.gateway.new_array(self.gateway.jvm.double, 0), none)
-        found = [stages.apply(i) for i in range(stages.size())]
-        run = sum(s.executorRunTime() for s in found) / 1e3
-        comm = sum(s.shuffleWriteTime() / 1e9 + s.shuffleFetchWaitTime() / 1e3 for s in found)
-        return run, comm, sum(s.shuffleReadBytes() + s.shuffleWriteBytes() for s in found) / 1e6
+        return [stages.apply(i) for i in range(stages.size())]
 
     def __enter__(self) -> TaskMeter:
-        self.before = self._totals()
+        self.last = max((s.stageId() for s in self._stages()), default=-1)
         return self
 
     def __exit__(self, *error: object) -> None:
-        self.run_seconds, self.comm_seconds, self.megabytes = (b - a for a, b in zip(self.before, self._totals(), strict=True))
+        found = [s for s in self._stages() if s.stageId() > self.last]
+        self.run_seconds = sum(s.executorRunTime() for s in found) / 1e3
+        self.comm_seconds = sum(s.shuffleWriteTime() / 1e9 + s.shuffleFetchWaitTime() / 1e3 for s in found)
+        self.megabytes = sum(s.shuffleReadBytes() + s.shuffleWriteBytes() for s in found) / 1e6
 
 
 def edges_traversed(graph: Graph, levels: DataFrame) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -36,6 +36,20 @@ def fill_unreachable(levels: DataFrame, vertices: DataFrame) -> DataFrame:
     return vertices.select("vertex").join(levels, "vertex", "left").select("vertex", F.coalesce("dist", F.lit(-1)).alias("dist"), F.coalesce("parent", F.lit(-1)).cast("long").alias("parent"))
 
 
+def with_weight(edges: DataFrame, weight: Column | float = 1.0) -> DataFrame:
+    """(src, dst, weight); a null weight counts as 1."""
+    value = weight if isinstance(weight, Column) else F.lit(float(weight))
+    return edges.select("src", "dst", F.coalesce(value.cast("double"), F.lit(1.0)).alias("weight"))
+
+
+def pairs(sources: DataFrame, vertices: DataFrame, most: int = 10_000) -> DataFrame:
+    """(source, vertex) of each of a few sources with every vertex. The sources are counted and refused beyond most, so the
+    product grows with the vertices only."""
+    if sources.limit(most + 1).count() > most:
+        raise ValueError(f"more than {most} sources")
+    return vertices.select("vertex").crossJoin(F.broadcast(sources.select(F.col("vertex").alias("source")))).select("source", "vertex")
+
+
 def two_hop(arcs: DataFrame, sources: DataFrame) -> DataFrame:
     """(source, vertex) two arcs away from the given vertices."""
     first = arcs.join(sources.select(F.col("vertex").alias("src")), "src", "left_semi").select(F.col("src").alias("source"), F.col("dst").alias("mid"))

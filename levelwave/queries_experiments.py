@@ -118,7 +118,7 @@ _counts("versus_library", _runs_sql(["rmat:12"], ("grid_flat", "messages"), (4,
 _counts("single_node", _runs_sql(["rmat:14", "supply", "nearvec"], ("local", "local_shared", "local_bag"), (1,), FEW_THREADS))
 _counts("kernel_crossover", f"WITH {oracle.arcs('purchase')} " + " UNION ALL ".join(
     f"SELECT {w}::INT AS p_c, count(DISTINCT j) AS cells, count(*) AS entries, count(DISTINCT (j, dst)) AS spa_words, count(*) AS heap_words FROM (SELECT least(src // {_N // w}, {w - 1}) AS j, dst FROM arcs)" for w in _WIDTHS))
-_counts("vector_placement", _placement_sql("rmat:14", 16))
+_counts("vector_placement", _placement_sql("rmat:14", 8), side=8)
 _counts("redundancy", _redundancy_sql(("rmat:11", "supply", "purchase", "basket")))
 _counts("relabel_balance", _relabel_sql(("rmat:11", "supply"), 16))
 _counts("nonempty_expand", _nonempty_sql(("rmat:11", "basket")))

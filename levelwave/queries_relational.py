@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import functions, oracle, prep, rows, streaming
+from . import functions, ids, oracle, prep, rows, streaming
 from .operators import relational as rel
 from .queries import graph, query
 from .session import shared_folder
+from .sources import number_range
 
 
 def _levels(s: SparkSession, d: str) -> DataFrame:
@@ -70,3 +71,27 @@ def _stream(s: SparkSession, d: str) -> DataFrame:
     kept.start(streaming.user_type_arcs(streaming.read_events(s, f"{base}/in", 2)), f"{base}/checkpoint").awaitTermination()
     return kept.levels().where("vertex % 16 = 9").select("vertex", "dist")
 
+
+# --- weights, tags, products, pages, paths -----------------------------------------------------------------------------
+query("weighted_edges", "SELECT l_partkey * 16 AS src, l_suppkey * 16 + 1 AS dst, coalesce(l_quantity, 1)::DOUBLE AS weight FROM lineitem")(
+    lambda s, d: rel.with_weight(s.read.parquet(f"{d}/lineitem.parquet").selectExpr("l_partkey * 16 AS src", "l_suppkey * 16 + 1 AS dst", "l_quantity AS q").select("src", "dst", "q"), F.col("q")))
+query("untagged_kinds", f"WITH {oracle.arcs('hierarchy')} SELECT CASE v % 16 WHEN 0 THEN 'part' WHEN 1 THEN 'supplier' WHEN 2 THEN 'customer' WHEN 3 THEN 'order' WHEN 4 THEN 'nation' ELSE 'region' END AS kind, count(*) AS n, max(v // 16) AS greatest FROM (SELECT src AS v FROM arcs UNION SELECT dst FROM arcs) GROUP BY 1")(
+    lambda s, d: prep.vertices(graph(s, d, "hierarchy").arcs).select(ids.untag("vertex").alias("t")).groupBy(F.col("t.kind").alias("kind")).agg(F.count("*").alias("n"), F.max("t.key").alias("greatest")))
+query("source_pairs", f"WITH RECURSIVE {oracle.with_levels('dialog', 12)}, v AS (SELECT DISTINCT src AS vertex FROM arcs) SELECT source, count(*) AS vertices, sum(vertex)::BIGINT AS total FROM (VALUES (12::BIGINT), (28::BIGINT)) t(source), v GROUP BY source")(
+    lambda s, d: rel.pairs(s.createDataFrame([(12,), (28,)], "vertex long"), prep.vertices(graph(s, d, "dialog").arcs)).groupBy("source").agg(F.count("*").alias("vertices"), F.sum("vertex").alias("total")))
+query("degree_page", f"WITH {oracle.arcs('supply')} SELECT src AS vertex, count(*) AS degree FROM arcs GROUP BY src ORDER BY degree, vertex OFFSET 20 LIMIT 10")(
+    lambda s, d: rel.page_of(prep.degrees(graph(s, d, "supply").arcs), ["degree", "vertex"], 20, 10))
+query("id_range", "SELECT count(*) AS n, sum(vertex)::BIGINT AS total FROM range(100000) t(vertex)")(lambda s, d: number_range(s, 100_000).agg(F.count("*").alias("n"), F.sum("vertex").alias("total")))
+
+
+@query("feistel_udf", f"WITH {oracle.arcs('basket')} SELECT count(DISTINCT src) AS vertices, count(DISTINCT src) AS labels FROM arcs")
+def _feistel_udf(s: SparkSession, d: str) -> DataFrame:
+    code = functions.feistel_id(24, 5)
+    return prep.vertices(graph(s, d, "basket").arcs).select("vertex", code("vertex").alias("label")).where("label >= 0 and label < 281474976710656").agg(F.count("*").alias("vertices"), F.countDistinct("label").alias("labels"))
+
+
+@query("path_udtf", f"WITH RECURSIVE {oracle.with_levels('basket', 0)}, path AS (SELECT vertex, dist, parent FROM lv WHERE vertex = 16 UNION SELECT l.vertex, l.dist, l.parent FROM path p JOIN lv l ON l.vertex = p.parent) SELECT 1::BIGINT AS tree, dist AS step, vertex FROM path")
+def _path_udtf(s: SparkSession, d: str) -> DataFrame:
+    functions.register(s)
+    rows.bfs_rows(graph(s, d, "basket"), 0).levels.selectExpr("1L AS tree", "vertex", "parent", "16L AS target").createOrReplaceTempView("levelwave_trees")
+    return s.sql("SELECT * FROM unfold_path(TABLE(SELECT * FROM levelwave_trees) PARTITION BY tree)")

@@ -69,14 +69,14 @@ def _counts(pairs: DataFrame, layout: RowLayout) -> dict[str, object]:
 
 def pack_csr(arcs: DataFrame, layout: RowLayout, chunk: int = 4_000_000) -> tuple[DataFrame, DataFrame, int]:
     """(PACKED, slots, number of slots): sorted rows of each block. A block of more than chunk arcs, such as a hub's, is cut
-    into pieces by a hash of the target, each in a slot (and task) of its own, so no array grows with the graph. slots has
+    into pieces by a hash of the arc, each in a slot (and task) of its own, so no array grows with the graph. slots has
     one row (block, first, pieces) for each block."""
     spark = arcs.sparkSession
     sizes = {r["block"]: r["n"] for r in arcs.groupBy(layout.owner(F.col("src")).alias("block")).agg(F.count("*").alias("n")).collect()}  # a row a block
     cuts = [-(-sizes.get(b, 1) // chunk) for b in range(layout.p)]
     slots = spark.createDataFrame([(b, sum(cuts[:b]), n) for b, n in enumerate(cuts)], "block int, first int, pieces int")
     placed = arcs.select(layout.owner(F.col("src")).alias("block"), "src", "dst").join(F.broadcast(slots), "block")  # a row a block
-    piece = F.pmod(F.xxhash64("dst", F.lit(5)), F.col("pieces")).cast("int")
+    piece = F.pmod(F.xxhash64("src", "dst", F.lit(5)), F.col("pieces")).cast("int")
     placed = placed.select("block", piece.alias("piece"), (F.col("first") + piece).alias("slot"), "src", "dst")
     return placed.groupBy("block", "piece", "slot").applyInArrow(lambda t: csr_table(t), PACKED), slots, sum(cuts)
 

@@ -52,9 +52,11 @@ def aligned(spark: SparkSession, partitions: int):
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share; a local one only where the cluster names none."""
+    """The folder that all executors share, spark.checkpoint.dir. Only a local session may do without that setting."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = os.path.join(tempfile.gettempdir(), "levelwave-checkpoints")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")

@@ -12,6 +12,11 @@ from pyspark.sql.types import StructType
 EDGE_SCHEMA = "src long, dst long"
 
 
+def number_range(spark: SparkSession, n: int, partitions: int | None = None) -> DataFrame:
+    """(vertex) 0..n-1, made where it is used."""
+    return spark.range(0, n, 1, partitions).select(F.col("id").alias("vertex"))
+
+
 def require_columns(df: DataFrame, *names: str) -> DataFrame:
     missing = [n for n in names if n not in df.columns]
     if missing:
