@@ -23,8 +23,8 @@ from .shared import documents, importable
 from .textkernel import slices
 
 QUERY = "op9_byte_bpe_roundtrip"
-#: Texts remembered by a worker at most, with their ids.
-CACHE_ENTRIES = 500_000
+#: Texts remembered by a worker at most, with their ids, and characters of one that is remembered.
+CACHE_ENTRIES, CACHE_LETTERS = 500_000, 256
 #: Pairs of symbols whose rank (or lack of one) is remembered.
 PAIR_ENTRIES = 1_000_000
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -208,8 +208,11 @@ class ByteBPE:
         cache.update(zip(new, self._units([" " + p for p in new]), strict=True))
         loose = {k: self._units(units) for k, units in odd.items()}
         known = cache.__getitem__
-        return [b"".join(loose[k]) if k in loose else head + b"".join(map(known, parts))
-                for k, (head, parts) in enumerate(zip(heads, parted, strict=True))]
+        out = [b"".join(loose[k]) if k in loose else head + b"".join(map(known, parts))
+               for k, (head, parts) in enumerate(zip(heads, parted, strict=True))]
+        for long in [p for p in new if len(p) > CACHE_LETTERS]:
+            del cache[long]
+        return out
 
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_all([text])[0], dtype="<u4").tolist()

@@ -11,15 +11,16 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .shared import crc_bucket, documents, importable
+from .shared import crc_bucket, documents, importable, stored
 from .textkernel import PUNCT_TABLE, STEP, Texts, mix, runs, slices, texts_of
 
 QUERY = "op8_toxicity_ftrl"
-#: Labelled rows that a model is fitted on at most: those with the smallest hash of their id.
-TRAIN_ROWS = 20_000
+#: Labelled rows, and bytes of their whole texts, that a model is fitted on at most: those with the smallest hash of their
+#: id. One task holds the features of so many bytes: about half as many again.
+TRAIN_ROWS, TRAIN_BYTES = 20_000, 256 << 20
 #: Features are hashed into 2**BITS buckets.
 BITS = 20
 THRESHOLD = 0.7
@@ -78,14 +79,21 @@ def fit(rows: list[tuple[np.ndarray, int]], settings: Settings = Settings()) ->
     return float(weights(np.array([size]))[0]), live, weights(live)
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> DataFrame:
-    """(doc_id, label, text) of the labelled documents to learn from: crc32 of the id modulo 3 isn't 1; at most so many.
+def training_rows(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, most_bytes: int = TRAIN_BYTES) -> DataFrame:
+    """(doc_id, label, text) of the labelled documents to learn from: crc32 of the id modulo 3 isn't 1; at most so many rows
+    and bytes, whole texts in order of the hash until one would go beyond.
 
     An id that is labelled more than once counts once, as toxic if any label says so; null labels don't count.
     """
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & (crc_bucket(F.col("doc_id"), 3) != 1))
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")  # most ids bound the broadcast
+    known = stored(known, "toxicity-labels")
+    sizes = docs.select("doc_id", F.octet_length("text").alias("size")).join(F.broadcast(known.select("doc_id")), "doc_id")  # most ids bound the broadcast
+    sizes = stored(sizes.groupBy("doc_id").agg(F.sum("size").alias("size")), "toxicity-sizes")
+    if (sizes.agg(F.sum("size")).first()[0] or 0) > most_bytes:
+        upto = F.sum("size").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, 0))  # most rows
+        known = known.join(sizes.withColumn("upto", upto).where(F.col("upto") <= most_bytes).select("doc_id"), "doc_id", "left_semi")
+    return docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")
 
 
 def train(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, settings: Settings = Settings()) -> tuple[float, np.ndarray, np.ndarray] | None:

@@ -247,6 +247,39 @@ def test_languages_of_held_out_rows(spark):
     assert {r["lang_pred"] for r in nothing} == {"und"}
 
 
+def test_fit_equals_a_plain_ftrl():
+    """The update rule written out, one coordinate at a time in plain Python."""
+    rng = random.Random(2)
+    settings = toxicity.Settings(alpha=0.7, beta=1.5, l1=0.8, l2=0.3, epochs=3, positive=2.0, bits=6)
+    rows = [(sorted(rng.sample(range(64), rng.randint(0, 9))), rng.randint(0, 1)) for _ in range(120)]
+    z, n = collections.defaultdict(float), collections.defaultdict(float)
+
+    def weight(i):
+        if i == "bias":
+            return -z[i] / ((1.5 + math.sqrt(n[i])) / 0.7)
+        return 0.0 if abs(z[i]) <= 0.8 else -(z[i] - math.copysign(0.8, z[i])) / ((1.5 + math.sqrt(n[i])) / 0.7 + 0.3)
+
+    for _ in range(3):
+        for buckets, label in rows:
+            w = {i: weight(i) for i in [*buckets, "bias"]}
+            g = (1 / (1 + math.exp(-sum(w.values()))) - label) * (2.0 if label else 1.0)
+            for i, x in w.items():
+                z[i] += g - (math.sqrt(n[i] + g * g) - math.sqrt(n[i])) / 0.7 * x
+                n[i] += g * g
+    bias, live, w = toxicity.fit([(np.array(b, dtype=np.int64), y) for b, y in rows], settings)
+    want = {i: weight(i) for i in range(64) if weight(i)}
+    assert bias == pytest.approx(weight("bias")) and dict(zip(live.tolist(), w)) == pytest.approx(want) and 0 < len(want) < 64
+
+
+def test_training_text_is_bounded_in_bytes(spark):
+    docs = spark.createDataFrame([(i, "x" * 100) for i in range(60)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 0, i % 2) for i in range(60)], "doc_id long, quality int, toxic int")
+    every = toxicity.training_rows(docs, labels).collect()
+    some = toxicity.training_rows(docs, labels, most_bytes=1050).collect()
+    assert len(every) > 30 and len(some) == 10 and {r["doc_id"] for r in some} < {r["doc_id"] for r in every}
+    assert all(len(r["text"]) == 100 for r in some)
+
+
 def test_toxic_words_are_learned_from_allowed_rows_only(spark):
     rng = random.Random(8)
     words = [f"w{k}" for k in range(400)]
