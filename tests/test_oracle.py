@@ -6,9 +6,10 @@ import os
 import duckdb
 import pytest
 
-from levelwave import queries, queries_relational  # noqa: F401
+from levelwave import queries, queries_experiments, queries_relational  # noqa: F401
 
-SOME = ["rows_flat_supply", "grid_flat_rect_basket", "directed_hierarchy", "kernel_heap", "volume_grid", "relabel_bijection", "trail_deep", "rmat_edges_s11", "dialog_udtf", "asof_event"]
+SOME = ["rows_flat_supply", "grid_flat_rect_basket", "grid_rowhead_vector", "directed_hierarchy", "volume_grid", "relabel_bijection", "trail_deep", "rmat_edges_s11", "dialog_udtf", "path_udtf", "asof_event",
+        "storage_measured", "source_sample", "experiment_strong_comm", "experiment_redundancy", "experiment_relabel_balance", "experiment_versus_reference", "experiment_kernel_crossover"]
 
 
 @pytest.fixture(scope="module")

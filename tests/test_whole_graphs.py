@@ -43,18 +43,18 @@ def test_nearest_of_all_crosses_labels(spark, queries_a_task):
     assert nearest_of_all(df.limit(0), 4).isEmpty()
 
 
-def test_copies_all_equals_sql(spark, small):
-    equals_sql(spark, small, "copies_all_edges")
+def test_copies_equal_sql(spark, small):
+    equals_sql(spark, small, "copies_edges")
 
 
 def test_a_large_group_of_copies_is_linked(spark, tmp_path):
     line = "a line that many documents share, word for word"
     rows = [(i, f"{line}\nof its own {i}" if i >= 10 else f"nothing shared in document {i}, which is long enough") for i in range(90)]
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
-    arcs = graphs.copies_all(spark, str(tmp_path)).arcs.where("src < dst").collect()
+    arcs = graphs.copies(spark, str(tmp_path)).arcs.where("src < dst").collect()
     assert sorted((r["src"] // 16, r["dst"] // 16) for r in arcs) == [(10, i) for i in range(11, 90)]
 
 
-@pytest.mark.parametrize("kernel", ["heap", "spa", "auto", "sql"])
+@pytest.mark.parametrize("kernel", ["heap", "spa", "auto", "sql", "csr_cells"])
 def test_product_by_all_vertices_equals_sql(spark, small, kernel):
-    equals_sql(spark, small, f"kernel_{kernel}_all")
+    equals_sql(spark, small, f"kernel_{kernel}")
