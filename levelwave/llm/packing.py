@@ -10,11 +10,11 @@ laid end to end, cut at capacity, and its rest is cut at powers of two, which ne
 from __future__ import annotations
 
 import re
+import struct
 import zlib
 from collections.abc import Iterator
 from itertools import chain
 
-import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
@@ -36,6 +36,10 @@ _SEPARATORS = re.compile(r"[\x1c-\x1f]")
 _SPLIT = re.compile(r"[^\S\x1c-\x1f]+")
 
 
+def _little(ids: list[int]) -> bytes:
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 def byte_letters() -> list[str]:
     """The printable letter that stands for each byte in byte-level vocabularies: itself where it is visible, else the
     next one from 256 on."""
@@ -66,12 +70,12 @@ class WordCoder:
     def _stem(self, stem: str) -> bytes:
         got = self.stems.get(stem)
         if got is None:
-            mapped = "".join([self.letters[b] for b in stem.encode()])
-            got = self.stems[stem] = np.array([t.id for t in self.model.tokenize(mapped)], dtype="<u4").tobytes()
+            mapped = stem if stem.isascii() else "".join([self.letters[b] for b in stem.encode()])  # ASCII letters stand for themselves
+            got = self.stems[stem] = _little([t.id for t in self.model.tokenize(mapped)])
         return got
 
     def _whole(self, words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, dtype="<u4").tobytes() for e in self.library.encode_batch(words, add_special_tokens=False)]
+        return [_little(e.ids) for e in self.library.encode_batch(words, add_special_tokens=False)]
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
         """The ids of each text as little-endian 32-bit integers."""
