@@ -88,7 +88,12 @@ class WordCoder:
         if len(self.stems) > CACHE_ENTRIES:
             self.stems.clear()
         odd, marks = [], {}
+        known = self.stems.get
         for word in new:
+            if word.isascii() and word.isalpha():
+                stem = word.lower()
+                cache[word] = known(stem) or self._stem(stem)
+                continue
             m = _PLAIN.fullmatch(word)
             if m is None:
                 odd.append(word)
@@ -100,10 +105,10 @@ class WordCoder:
                 cache[word] = self._stem(m[1].lower())
         cache.update(zip(odd, self._whole(odd), strict=True))
         out = [b"".join(map(cache.__getitem__, parts)) for parts in parted]
-        for word in (w for w in new if len(w) > CACHE_LETTERS):
-            del cache[word]
-        for stem in [s for s in self.stems if len(s) > CACHE_LETTERS] if any(len(w) > CACHE_LETTERS for w in new) else []:
-            del self.stems[stem]
+        if long := [w for w in new if len(w) > CACHE_LETTERS]:
+            for word in long:
+                del cache[word]
+            self.stems = {s: ids for s, ids in self.stems.items() if len(s) <= CACHE_LETTERS}
         return out
 
 
