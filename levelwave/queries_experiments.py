@@ -7,8 +7,10 @@ from pyspark.sql import DataFrame, SparkSession
 from . import oracle, workloads
 from .layout import closest_square
 from .queries import query
-from .workloads import DENSITIES, FEW_THREADS, FOUR, MORE_THREADS
+from .workloads import FEW_THREADS, FOUR, MORE_THREADS
 
+#: Points of equal edges, a quarter of those that the functions take by themselves.
+DENSITIES = ((11, 64), (13, 16), (15, 4))
 CLOCK = ("mean_seconds", "teps", "heap_seconds", "spa_seconds")
 
 
@@ -109,8 +111,8 @@ _counts("strong_comm", _comm_sql("purchase", (4, 16, 64)))
 _counts("comm_share", None)
 _counts("comm_share_model", None)
 _counts("weak", " UNION ALL ".join(_runs_sql([f"rmat:{s}"], FOUR, (p,)) for s, p in ((10, 1), (12, 4), (14, 16))))
-_counts("density", _runs_sql([*(f"rmat:{s}:{f}" for s, f in DENSITIES), "sourcing", "supply", "purchase", "basket"], ("rows_flat", "grid_flat"), (9,)))
-_counts("phase_table", f"SELECT *, round(expanded / (expanded + folded), 6) AS expand_share FROM ({_phases(DENSITIES, (4, 9, 16))})")
+_counts("density", _runs_sql([*(f"rmat:{s}:{f}" for s, f in DENSITIES), "sourcing", "supply", "purchase", "basket"], ("rows_flat", "grid_flat"), (9,)), names=(*(f"rmat:{s}:{f}" for s, f in DENSITIES), "sourcing", "supply", "purchase", "basket"))
+_counts("phase_table", f"SELECT *, round(expanded / (expanded + folded), 6) AS expand_share FROM ({_phases(DENSITIES, (4, 9, 16))})", points=DENSITIES)
 _counts("deep_graph", _runs_sql(["trail"], ("local",), (1,)) + " UNION ALL " + _runs_sql(["weblinks"], ("local", "grid_flat", "grid_hybrid"), (4,)))
 _counts("versus_reference", f"""{oracle.many('rmat:11', 1)} SELECT p, own_shipped, reference_shipped, round(reference_shipped / own_shipped, 6) AS ratio FROM (
     {' UNION ALL '.join(f"SELECT {p}::INT AS p, (SELECT count(*) FROM (SELECT DISTINCT dist, least(src // {2048 // p}, {p - 1}) AS sender, dst FROM arcs JOIN lm ON vertex = src)) AS own_shipped, (SELECT count(*) FROM arcs WHERE src IN (SELECT vertex FROM lm)) AS reference_shipped" for p in (4, 8, 16))})""")
@@ -123,4 +125,4 @@ _counts("redundancy", _redundancy_sql(("rmat:11", "supply", "purchase", "basket"
 _counts("relabel_balance", _relabel_sql(("rmat:11", "supply"), 16))
 _counts("nonempty_expand", _nonempty_sql(("rmat:11", "basket")))
 _counts("headline", _runs_sql(["rmat:14", "basket"], FOUR, (4,)))
-_counts("model_check", f"SELECT scale, edge_factor, p, round(expanded / greatest(folded, 1), 6) AS counted, round((side - 1) / (edge_factor * power(side, 1.0 / 3)), 6) AS predicted FROM (SELECT *, floor(sqrt(p)) AS side FROM ({_phases(DENSITIES, (4, 16))}))")
+_counts("model_check", f"SELECT scale, edge_factor, p, round(expanded / greatest(folded, 1), 6) AS counted, round((side - 1) / (edge_factor * power(side, 1.0 / 3)), 6) AS predicted FROM (SELECT *, floor(sqrt(p)) AS side FROM ({_phases(DENSITIES, (4, 16))}))", points=DENSITIES)
