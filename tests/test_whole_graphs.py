@@ -7,7 +7,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from levelwave import graphs, queries
+from levelwave import graphs, grid, queries, rows
 from levelwave.operators.vectors import nearest_of_all
 
 
@@ -58,3 +58,23 @@ def test_a_large_group_of_copies_is_linked(spark, tmp_path):
 @pytest.mark.parametrize("kernel", ["heap", "spa", "auto", "sql", "csr_cells"])
 def test_product_by_all_vertices_equals_sql(spark, small, kernel):
     equals_sql(spark, small, f"kernel_{kernel}")
+
+
+@pytest.fixture(scope="module")
+def beyond(spark, small, tmp_path_factory):
+    """Tables whose keys go past the fixed ranges of the registered layouts."""
+    folder = tmp_path_factory.mktemp("beyond")
+    con = duckdb.connect()
+    for name, keys in {"lineitem": ("l_orderkey", "l_partkey", "l_suppkey"), "orders": ("o_orderkey", "o_custkey")}.items():
+        moved = ", ".join(f"{k} + k * 30011 AS {k}" for k in keys)
+        con.execute(f"COPY (SELECT * REPLACE ({moved}) FROM '{small}/{name}.parquet', range(2) r(k)) TO '{folder}/{name}.parquet'")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", ["dcsc_pack", "csr_pack", "csr_cells_pack", "storage_measured", "kernel_csr_cells", "kernel_spa"])
+@pytest.mark.parametrize("chunk", [700, 2_000_000])
+def test_packing_past_the_range_and_in_parts_equals_sql(spark, beyond, monkeypatch, name, chunk):
+    for module, function in ((grid, "pack_dcsc"), (grid, "pack_csr_cells"), (grid, "spmsv"), (rows, "pack_csr")):
+        whole = getattr(module, function)
+        monkeypatch.setattr(module, function, lambda *a, f=whole, **k: f(*a, **{"chunk": chunk} | k) if not (f.__name__.startswith("pack_") and len(a) > 3) else f(*a, **k))
+    equals_sql(spark, beyond, name)
