@@ -78,3 +78,17 @@ def test_packing_past_the_range_and_in_parts_equals_sql(spark, beyond, monkeypat
         whole = getattr(module, function)
         monkeypatch.setattr(module, function, lambda *a, f=whole, **k: f(*a, **{"chunk": chunk} | k) if not (f.__name__.startswith("pack_") and len(a) > 3) else f(*a, **k))
     equals_sql(spark, beyond, name)
+
+
+def test_nearest_of_a_label_by_parts(spark):
+    from levelwave.operators.vectors import nearest
+
+    rng = np.random.default_rng(6)
+    x, label = rng.integers(-3, 4, (200, 5)).astype(float), rng.integers(0, 3, 200)
+    x[(x == 0).all(axis=1)] = 1
+    df = spark.createDataFrame([(i, v.tolist(), int(label[i])) for i, v in enumerate(x)], "vec_id long, embedding array<float>, label int")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    c = np.round(unit @ unit.T, 9)
+    want = {(i, j): c[i, j] for i in range(200) for j in sorted((j for j in range(200) if j != i and label[i] == label[j]), key=lambda j: (-c[i, j], j))[:4]}
+    found = nearest(df, 4, 7)
+    assert {(r["vec_id"], r["other"]): r["similarity"] for r in found.collect()} == pytest.approx(want)
