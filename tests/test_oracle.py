@@ -41,3 +41,9 @@ def test_entry_imports_without_the_document_operators(tmp_path):
     shutil.copy(f"{root}/__spark_entry__.py", tmp_path)
     code = "import __spark_entry__ as e; q = e.queries(); assert len(q) > 80 and not any(k.startswith('op') for k in q); assert set(e.oracle_sql()) <= set(q)"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env={**os.environ, "PYTHONPATH": str(tmp_path)})
+
+
+@pytest.mark.parametrize("name", ["block_bounds", "cost_sweep", "grid_hybrid_rmat"])
+def test_moved_onto_a_table_equals_sql(spark, small, duck, name):
+    assert "lineitem" in queries.SQL[name]
+    test_query_equals_sql(spark, small, duck, name)
